@@ -38,8 +38,8 @@ class Rules:
     least_words: int = 10
     repeat_percent: int = 20
     #: The threshold is this quantile of the trusted documents' scores less the margin.
-    trusted_quantile: float = 0.01
-    margin: float = 0.25
+    trusted_quantile: float = 0.001
+    margin: float = 0.05
     #: Width of the bins from which the quantile is read.
     bin_width: float = 0.01
 
