@@ -38,8 +38,9 @@ def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    taken = mixing.sample(docs, quality_weights(spark, sf_dir))
-    return mixing.apply(docs, Scratch(spark, "stage-mix").cut(taken, "taken"))
+    weights = quality_weights(spark, sf_dir)
+    taken = Scratch(spark, "stage-mix").cut(mixing.sample(docs, weights), "taken")
+    return mixing.apply(docs, taken, weights)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

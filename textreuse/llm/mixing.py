@@ -28,7 +28,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, n_words, running_totals
+from .common import WORD, Scratch, n_words, running_totals, small_or_shuffled
 
 #: Number of values of the hash behind ``u``: 13 hexadecimal digits.
 STEPS = 1 << 52
@@ -94,17 +94,33 @@ def sample(docs: DataFrame, weights: DataFrame | None = None, mix: Mix = Mix(),
     return joined.select("doc_id", "size", "source_size", "target", (F.col("epochs") * F.col("size") + part).cast("long").alias("taken"), "source", "epochs", part.cast("long").alias("part"), "weight", "sample_key")
 
 
-def apply(docs: DataFrame, taken: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+def apply(docs: DataFrame, taken: DataFrame, weights: DataFrame | None = None, mix: Mix = Mix(), text: str = "text", key: str = "doc_id", source: str = "source") -> DataFrame:
     """The mix itself: each document as often as the mix takes it, the last time only its first ``part`` words.
 
-    Rows keep the columns of ``docs``; a document taken k times stands k times. A partial copy has its words joined by single spaces.
+    ``taken`` is what :func:`sample` gave for the same arguments. It yields one row a source: the epochs, and the last
+    document in the order of the keys of which words are taken. Each row of ``docs`` compares itself with that
+    document, so texts stay where they are. Rows keep the columns of ``docs``; a document taken k times stands k
+    times, one without words never. A partial copy has its words joined by single spaces.
     """
-    plan = taken.where("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("size").alias("_size"), F.max("epochs").alias("_epochs"), F.max("part").alias("_part"))
-    rows = docs.join(plan, F.col(key).eqNullSafe(F.col("_id")))
-    copies = F.col("_epochs") + F.when(F.col("_part") > 0, 1).otherwise(0)
-    rows = rows.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), copies.cast("long"))))
+    last = F.max(F.when(F.col("part") > 0, F.struct("sample_key", F.struct("doc_id").alias("id"), "size", "part")))
+    cuts = taken.groupBy(F.col("source").alias("_source")).agg(F.max("epochs").alias("_epochs"), last.alias("_last"))
+    cuts = Scratch(docs.sparkSession, "mix").cut(cuts, "cuts")
+    rows = docs.withColumn("_size", n_words(F.col(text)))
+    if weights is None:
+        rows = rows.withColumn("_weight", F.lit(1.0))
+    else:
+        one = weights.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("_id")).agg(F.max("weight").cast("double").alias("_weight"))
+        rows = rows.join(small_or_shuffled(one, one.count()), F.col(key) == F.col("_id"), "left").withColumn("_weight", F.coalesce("_weight", F.lit(1.0)))
+    rows = rows.withColumn("_key", sampling_key(F.col(key), F.col("_weight"), mix.seed))
+    rows = rows.join(small_or_shuffled(cuts, cuts.count()), F.col(source).eqNullSafe(F.col("_source")))
+    mine = F.struct(F.col("_key").alias("sample_key"), F.struct(F.col(key).alias("doc_id")).alias("id"), F.col("_size").alias("size"))
+    limit = F.struct(F.col("_last.sample_key").alias("sample_key"), F.col("_last.id").alias("id"), F.col("_last.size").alias("size"))
+    part = F.when(F.col("_last").isNull() | (mine > limit), F.lit(0)).when(mine < limit, F.col("_size")).otherwise(F.col("_last.part"))
+    copies = F.when(F.col("_size") > 0, F.col("_epochs") + F.when(F.col("_part") > 0, 1).otherwise(0)).otherwise(0)
+    rows = rows.withColumn("_part", part).withColumn("_copies", copies).where("_copies > 0")
+    rows = rows.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies").cast("long"))))
     cut = (F.col("_copy") > F.col("_epochs")) & (F.col("_part") < F.col("_size"))
-    short = F.array_join(F.slice(F.regexp_extract_all(F.col(text), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0)), F.lit(1), F.col("_part").cast("int")), " ")
+    short = F.array_join(F.slice(F.regexp_extract_all(F.col(text), F.lit(WORD), F.lit(0)), F.lit(1), F.col("_part").cast("int")), " ")
     rows = rows.withColumn(text, F.when(cut, short).otherwise(F.col(text)))
     if "n_chars" in docs.columns:
         rows = rows.withColumn("n_chars", F.when(cut, F.length(text).cast("long")).otherwise(F.col("n_chars")))
