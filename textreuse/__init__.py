@@ -1,0 +1 @@
+"""Text reuse in large document collections as lazy Spark plans."""
