@@ -19,8 +19,8 @@ ship_by_value()
 
 def without(docs: DataFrame, rejected: DataFrame, scratch: Scratch) -> DataFrame:
     """``docs`` less the rows whose id is in ``rejected``; texts stay where they are if the ids are few."""
-    ids = scratch.cut(rejected.select(F.col("doc_id").alias("_id")).distinct(), "rejected")
-    return docs.join(small_or_shuffled(ids, ids.count()), F.col("doc_id") == F.col("_id"), "left_anti").select(*docs.columns)
+    ids = scratch.cut(rejected.select(F.col("doc_id").alias("rejected_id")).distinct(), "rejected")
+    return docs.join(small_or_shuffled(ids, ids.count()), docs["doc_id"] == ids["rejected_id"], "left_anti")
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -205,6 +205,8 @@ def identify(docs: DataFrame, model: Model, scratch: Scratch | None = None, text
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             found = [sent.value.predict(t) for t in batch["_text"]]
-            yield pd.DataFrame({"doc_id": batch["_id"].astype("Int64"), "lang_pred": [f[0] for f in found], "score": [f[1] for f in found]})
+            yield pd.DataFrame({"doc_id": batch["_id"], "lang_pred": [f[0] for f in found], "score": [f[1] for f in found]})
 
-    return docs.select(F.col(key).cast("long").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, "doc_id long, lang_pred string, score double")
+    # Ids travel as text: a null among them would make pandas hold them as floats.
+    found = docs.select(F.col(key).cast("string").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, "doc_id string, lang_pred string, score double")
+    return found.withColumn("doc_id", F.col("doc_id").cast("long"))

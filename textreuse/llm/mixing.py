@@ -105,23 +105,24 @@ def apply(docs: DataFrame, taken: DataFrame, weights: DataFrame | None = None, m
     last = F.max(F.when(F.col("part") > 0, F.struct("sample_key", F.struct("doc_id").alias("id"), "size", "part")))
     cuts = taken.groupBy(F.col("source").alias("_source")).agg(F.max("epochs").alias("_epochs"), last.alias("_last"))
     cuts = Scratch(docs.sparkSession, "mix").cut(cuts, "cuts")
-    rows = docs.withColumn("_size", n_words(F.col(text)))
+    # The row travels as a struct, so that no column of the input can clash with those made here.
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col(key).alias("id"), F.col(source).alias("source"), n_words(F.col(text)).alias("size"))
     if weights is None:
-        rows = rows.withColumn("_weight", F.lit(1.0))
+        rows = rows.withColumn("weight", F.lit(1.0))
     else:
-        one = weights.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("_id")).agg(F.max("weight").cast("double").alias("_weight"))
-        rows = rows.join(small_or_shuffled(one, one.count()), F.col(key) == F.col("_id"), "left").withColumn("_weight", F.coalesce("_weight", F.lit(1.0)))
-    rows = rows.withColumn("_key", sampling_key(F.col(key), F.col("_weight"), mix.seed))
-    rows = rows.join(small_or_shuffled(cuts, cuts.count()), F.col(source).eqNullSafe(F.col("_source")))
-    mine = F.struct(F.col("_key").alias("sample_key"), F.struct(F.col(key).alias("doc_id")).alias("id"), F.col("_size").alias("size"))
+        one = weights.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("id")).agg(F.max("weight").cast("double").alias("weight"))
+        rows = rows.join(small_or_shuffled(one, one.count()), "id", "left").withColumn("weight", F.coalesce("weight", F.lit(1.0)))
+    rows = rows.withColumn("sample_key", sampling_key(F.col("id"), F.col("weight"), mix.seed))
+    rows = rows.join(small_or_shuffled(cuts, cuts.count()), F.col("source").eqNullSafe(F.col("_source")))
+    mine = F.struct(F.col("sample_key"), F.struct(F.col("id").alias("doc_id")).alias("id"), F.col("size"))
     limit = F.struct(F.col("_last.sample_key").alias("sample_key"), F.col("_last.id").alias("id"), F.col("_last.size").alias("size"))
-    part = F.when(F.col("_last").isNull() | (mine > limit), F.lit(0)).when(mine < limit, F.col("_size")).otherwise(F.col("_last.part"))
-    copies = F.when(F.col("_size") > 0, F.col("_epochs") + F.when(F.col("_part") > 0, 1).otherwise(0)).otherwise(0)
-    rows = rows.withColumn("_part", part).withColumn("_copies", copies).where("_copies > 0")
-    rows = rows.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies").cast("long"))))
-    cut = (F.col("_copy") > F.col("_epochs")) & (F.col("_part") < F.col("_size"))
-    short = F.array_join(F.slice(F.regexp_extract_all(F.col(text), F.lit(WORD), F.lit(0)), F.lit(1), F.col("_part").cast("int")), " ")
-    rows = rows.withColumn(text, F.when(cut, short).otherwise(F.col(text)))
-    if "n_chars" in docs.columns:
-        rows = rows.withColumn("n_chars", F.when(cut, F.length(text).cast("long")).otherwise(F.col("n_chars")))
-    return rows.select(*docs.columns)
+    part = F.when(F.col("_last").isNull() | (mine > limit), F.lit(0)).when(mine < limit, F.col("size")).otherwise(F.col("_last.part"))
+    copies = F.when(F.col("size") > 0, F.col("_epochs") + F.when(F.col("part") > 0, 1).otherwise(0)).otherwise(0)
+    rows = rows.withColumn("part", part).withColumn("copies", copies).where("copies > 0")
+    rows = rows.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies").cast("long"))))
+    cut = (F.col("copy") > F.col("_epochs")) & (F.col("part") < F.col("size"))
+    whole = F.col(f"row.`{text}`")
+    short = F.array_join(F.slice(F.regexp_extract_all(whole, F.lit(WORD), F.lit(0)), F.lit(1), F.col("part").cast("int")), " ")
+    rows = rows.withColumn("mixed", F.when(cut, short).otherwise(whole))
+    changed = {text: F.col("mixed"), "n_chars": F.when(cut, F.length("mixed").cast("long")).otherwise(F.col("row.n_chars")) if "n_chars" in docs.columns else None}
+    return rows.select(*(changed.get(c, F.col(f"row.`{c}`")).alias(c) for c in docs.columns))

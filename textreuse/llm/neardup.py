@@ -22,8 +22,8 @@ a chance of about 2e-5, and misses every chunk with one below 1e-7.
 
 Cases: null, empty and blank texts have no shingles and link with nothing. Texts
 shorter than a shingle are one shingle. Rows that repeat link as equal sets. A null
-id is never a representative; a row whose whole class has null ids gets a null
-component and is kept. Very long texts are one row of one block. An empty table
+id is never a representative: a row with a null id is kept only if it has no
+component, which is so if all ids of its class are null. Very long texts are one row of one block. An empty table
 gives an empty result.
 """
 
@@ -37,7 +37,6 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from .common import Scratch, small_or_shuffled
 from .components import components
@@ -92,7 +91,7 @@ def all_keys(sigs: np.ndarray, near: Near) -> np.ndarray:
     return np.stack(columns, axis=1).view(np.int64) if len(sigs) else np.empty((0, 0), np.int64)
 
 
-SKETCH = "doc_id long, n_shingles long, node long, check long, sig binary"
+SKETCH = "doc_id string, n_shingles long, node long, check long, sig binary"
 
 
 def sketch(docs: DataFrame, near: Near, text: str, key: str) -> DataFrame:
@@ -100,19 +99,21 @@ def sketch(docs: DataFrame, near: Near, text: str, key: str) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            rows = []
-            for doc_id, whole in zip(batch["_id"], batch["_text"], strict=True):
+            sizes, nodes, checks, sigs = [], [], [], []
+            for whole in batch["_text"]:
                 h = shingle_set(whole, near.words)
+                sizes.append(len(h))
                 if not len(h):
-                    rows.append((doc_id, 0, None, None, None))
+                    nodes.append(None), checks.append(None), sigs.append(None)
                     continue
                 node = int(mixed(h).sum(dtype=np.uint64).view(np.int64))
                 check = int((mixed(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64) + np.uint64(len(h))).view(np.int64))
-                rows.append((doc_id, len(h), node, check, signature(h, near).astype(np.uint16 if near.bits <= 16 else np.uint32).tobytes()))
-            out = pd.DataFrame(rows, columns=["doc_id", "n_shingles", "node", "check", "sig"])
-            yield out.astype({"doc_id": "Int64", "n_shingles": "int64", "node": "Int64", "check": "Int64"})
+                nodes.append(node), checks.append(check), sigs.append(signature(h, near).astype(np.uint16 if near.bits <= 16 else np.uint32).tobytes())
+            # Columns with nulls are built as nullable integers: 64-bit hashes do not survive a float.
+            yield pd.DataFrame({"doc_id": batch["_id"], "n_shingles": sizes, "node": pd.array(nodes, "Int64"), "check": pd.array(checks, "Int64"), "sig": sigs})
 
-    return docs.select(F.col(key).cast("long").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, SKETCH)
+    drawn = docs.select(F.col(key).cast("string").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, SKETCH)
+    return drawn.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def postings(classes: DataFrame, near: Near) -> DataFrame:
@@ -187,7 +188,7 @@ def confirm(block: pd.DataFrame, near: Near) -> pd.DataFrame:
     return pd.DataFrame(links, columns=["a", "b"], dtype="int64")
 
 
-BLOCK = T.StructType.fromDDL("a long, b long")
+BLOCK = "a long, b long"
 
 
 def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, text: str, key: str) -> DataFrame:
@@ -227,4 +228,4 @@ def near_duplicates(docs: DataFrame, near: Near = Near(), text: str = "text", ke
     out = drawn.select("doc_id", "n_shingles", "node", "check").join(labels, ["node", "check"], "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("_linked", "_own")).otherwise(F.col("doc_id"))
     out = out.select("doc_id", "n_shingles", component.alias("component_id"))
-    return out.withColumn("kept", F.coalesce(F.col("component_id") == F.col("doc_id"), F.lit(True)))
+    return out.withColumn("kept", F.when(F.col("doc_id").isNull(), F.col("component_id").isNull()).otherwise(F.col("component_id") == F.col("doc_id")))

@@ -5,7 +5,7 @@ duplicates, never share a bin: each bin carries a bitmap of the sources and one
 the clusters in it. Bins are ordered by what is left in them; for a piece the search
 starts at the tightest bin that is large enough and goes on to its successors until
 one is compatible. Pieces come longest first. A document longer than a bin is cut
-into full pieces, each a bin of its own, and a rest that is packed like any other.
+into full pieces, each of which opens a bin of its own, and a rest.
 
 Scale: rows are dealt by a hash of their id into packs of about ``pack_rows`` rows,
 each packed by one task with bounded memory; texts never move. A hot source or a
@@ -61,7 +61,7 @@ def best_fit(lengths: list[int], sources: list, clusters: list, capacity: int) -
     return placed
 
 
-PLACED = "doc_id long, piece long, start_word long, n_words long, source string, bin_id long, bin_offset long"
+PLACED = "doc_id string, piece long, start_word long, n_words long, source string, bin_id long, bin_offset long"
 
 
 def pack(docs: DataFrame, bins: Bins = Bins(), text: str = "text", key: str = "doc_id", source: str = "source") -> DataFrame:
@@ -75,15 +75,12 @@ def pack(docs: DataFrame, bins: Bins = Bins(), text: str = "text", key: str = "d
     pieces = pieces.withColumns({"start_word": F.col("piece") * cap, "n_words": F.least(cap, F.col("size") - F.col("piece") * cap)})
     packs = max(1, -(-rows.count() // bins.pack_rows))
     base = F.shiftleft(F.pmod(F.xxhash64("doc_id"), F.lit(packs)).cast("long"), 32)
-    # Full pieces fill a bin each; their numbers, from a hash of document and piece, are negative and so never meet the packed ones.
-    alone = pieces.where(F.col("n_words") == cap)
-    full = -1 - F.pmod(F.xxhash64("doc_id", "piece", "cluster"), F.lit(1 << 62))
-    alone = alone.select("doc_id", "piece", "start_word", "n_words", "source", full.alias("bin_id"), F.lit(0).cast("long").alias("bin_offset"))
     none = pieces.where("size = 0").select("doc_id", "piece", "start_word", "n_words", "source", F.lit(None).cast("long").alias("bin_id"), F.lit(None).cast("long").alias("bin_offset"))
-    rest = pieces.where((F.col("n_words") < cap) & (F.col("size") > 0)).select("doc_id", "piece", "start_word", "n_words", "source", "cluster", base.alias("_pack"))
+    # A full piece finds no bin with room and opens one; its residual of 0 is never looked at again. Ids travel as text, as pandas has no null integer.
+    rest = pieces.where("size > 0").select(F.col("doc_id").cast("string").alias("doc_id"), "piece", "start_word", "n_words", "source", "cluster", base.alias("_pack"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values(["n_words", "doc_id", "piece", "cluster"], ascending=[False, True, True, True], na_position="first", kind="stable")
+        group = group.assign(_n=pd.to_numeric(group["doc_id"])).sort_values(["n_words", "_n", "doc_id", "piece", "cluster"], ascending=[False, True, True, True, True], na_position="first", kind="stable")
         sources = [None if pd.isna(x) else x for x in group["source"]]
         where = best_fit(group["n_words"].tolist(), sources, group["cluster"].tolist(), bins.capacity)
         number = int(group["_pack"].iloc[0])
@@ -92,4 +89,5 @@ def pack(docs: DataFrame, bins: Bins = Bins(), text: str = "text", key: str = "d
         out["bin_offset"] = np.array([o for _, o in where], np.int64)
         return out
 
-    return rest.groupBy("_pack").applyInPandas(run, PLACED).unionByName(alone).unionByName(none)
+    packed = rest.groupBy("_pack").applyInPandas(run, PLACED)
+    return packed.withColumn("doc_id", F.col("doc_id").cast("long")).unionByName(none)

@@ -127,21 +127,34 @@ def literal_spans(text: str) -> list[tuple[int, int, str, int]]:
         for kind, what in terms:
             if kind == "of":
                 uses.setdefault(name, set()).add(what)
+    terms_of = dict(reversed(found))  # a name's first assignment
+    known: dict[str, str] = {}
+
+    def value(name: str, depth: int = 0) -> str:
+        """What a name stands for, its literals joined through other names; nesting and length are bounded, as loops may be."""
+        if name not in known:
+            known[name] = ""
+            parts = [text[what[0] : what[1]] if kind == "is" and what[2] else value(what, depth + 1) if kind == "of" and what in terms_of and depth < 16 else "" for kind, what in terms_of[name]]
+            known[name] = "".join(parts)[:4096]
+        return known[name]
+
+    carried = {name: value(name) for name in reaches}
     todo = [n for n, w in reaches.items() if w]
-    while todo:  # the weight of a name flows to the names that it is made of; it only grows, so this ends
+    while todo:  # the weight of a name flows to the names that it is made of, with its value; weights only grow, so this ends
         name = todo.pop()
         for other in uses.get(name, ()):
             if other in reaches and reaches[other] < reaches[name]:
                 reaches[other] = reaches[name]
+                carried[other] = max(carried[other], carried[name], key=len)
                 todo.append(other)
     spans = set()
     for name, terms in found:
-        literals = [what for kind, what in terms if kind == "is"]
-        joined = "".join(text[a:b] for a, b, quoted in literals if quoted)
-        for a, b, quoted in literals:
-            whole = joined if quoted else text[a:b]
-            if b - a >= 4 and (quoted or (text[a:b] not in reaches)) and reaches[name] * literal_weight(whole, quoted) >= LEAST_SCORE:
-                spans.add((a, b, "literal", a))
+        for kind, what in terms:
+            if kind == "is" and reaches[name]:
+                a, b, quoted = what
+                whole = carried[name] if quoted and text[a:b] in carried[name] else text[a:b]
+                if b - a >= 4 and (quoted or text[a:b] not in reaches) and reaches[name] * literal_weight(whole, quoted) >= LEAST_SCORE:
+                    spans.add((a, b, "literal", a))
     return sorted(spans)
 
 
@@ -178,7 +191,7 @@ def spans_text(spans: list) -> str:
     return ",".join(f"{kind}:{start}:{end}" for start, end, kind, _ in spans)
 
 
-FOUND = "doc_id long, n_assign long, n_access long, n_hex long, n_literal long, base_sha256 string, spans string"
+FOUND = "doc_id string, n_assign long, n_access long, n_hex long, n_literal long, base_sha256 string, spans string"
 
 
 def scan_secrets(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -191,10 +204,11 @@ def scan_secrets(docs: DataFrame, text: str = "text", key: str = "doc_id") -> Da
                 base, every = scan(whole)
                 n = Counter(s[2] for s in every)
                 rows.append((doc_id, *(n[k] for k in KINDS), hashlib.sha256(spans_text(base).encode()).hexdigest(), spans_text(every)))
-            out = pd.DataFrame(rows, columns=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans"])
-            yield out.astype({"doc_id": "Int64"})
+            yield pd.DataFrame(rows, columns=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans"])
 
-    return docs.select(F.col(key).cast("long").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, FOUND)
+    # Ids travel as text: a null among them would make pandas hold them as floats.
+    found = docs.select(F.col(key).cast("string").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, FOUND)
+    return found.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def redact_secrets(docs: DataFrame, text: str = "text") -> DataFrame:

@@ -67,10 +67,6 @@ def best_in_blocks(queries: np.ndarray, query_ids: np.ndarray, block: np.ndarray
             least, reach = float(score[q, -1]), float(lengths[q])
             local = least / (reach * longest) if reach * longest > 0 else (-np.inf if least <= 0 else np.inf)
             if local > 1 + 1e-9:
-                break_even = True
-            else:
-                break_even = False
-            if break_even:
                 continue
             if local >= how.coordinate_from:
                 direction = queries[q] / reach
@@ -112,6 +108,7 @@ def search(rows: DataFrame, how: TopK = TopK(), key: str = "vec_id", vector: str
     blocks, groups = max(1, -(-n // how.candidate_block)), max(1, -(-m // how.query_block))
     dealt = ints.repartitionByRange(blocks, F.col("norm").desc(), "id").withColumn("cb", F.spark_partition_id())
     dealt = scratch.cut(dealt, "blocks")
+    blocks = (dealt.agg(F.max("cb")).first()[0] or 0) + 1  # as many as were dealt
     left = asked.dropDuplicates(["id", "row"]).withColumn("qb", F.pmod(F.xxhash64("id"), F.lit(groups)).cast("int"))
     left = left.withColumn("cb", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     right = dealt.withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
