@@ -23,7 +23,8 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def spread(df: DataFrame, key: str) -> DataFrame:
     """Deal rows by ``key`` if the scan has fewer splits than the session has cores; a large table stays as it is."""
     cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores, key) if len(df.inputFiles()) < cores else df
+    splits = df._jdf.queryExecution().toRdd().getNumPartitions()
+    return df.repartition(cores, key) if splits < cores else df
 
 
 def longs(df: DataFrame) -> DataFrame:
