@@ -214,8 +214,8 @@ def brute_components(rows):
     return [(i, len(s), least[top(k)]) for k, (i, s) in enumerate(sets)]
 
 
-@pytest.mark.parametrize("block", [1_000_000, 500])
-def test_near_duplicates_match_brute_force(spark, block):
+@pytest.mark.parametrize("block, pivots", [(1_000_000, 8), (500, 8), (500, 1)])
+def test_near_duplicates_match_brute_force(spark, block, pivots):
     rng = np.random.default_rng(3)
     rows = []
     for family in range(6):
@@ -228,7 +228,7 @@ def test_near_duplicates_match_brute_force(spark, block):
     rows += [(500 + k, sentence(k, 40)) for k in range(20)] + [(600, "a b"), (601, "A b"), (602, ""), (603, None)]
     rng.shuffle(rows)
     rows = [(int(i), t) for i, t in rows]
-    near = neardup.Near(block_shingles=block)
+    near = neardup.Near(block_shingles=block, pivots=pivots)
     got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), near).collect()
     assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == sorted(brute_components(rows))
     assert all(r["kept"] == (r["doc_id"] == r["component_id"]) for r in got)

@@ -11,10 +11,15 @@
 4. The keys of all classes are joined to the first class of their bucket (a star, one
    row a member); connected stars are families. Every pair that shares a key is in
    one family.
-5. A family is dealt into blocks of bounded size, and each pair of blocks goes to one
-   task, which finds the pairs within the distance and confirms them on the full sets.
-   It returns a spanning forest of the links it found, at most a row a member.
-6. Components of those links, over classes, then give every row its label.
+5. A family is dealt into blocks of bounded size. Each block, joined by a few pivots of
+   its family, goes to one task, which finds the pairs within the distance and confirms
+   them on the full sets. It returns a spanning forest of the links, at most a row a
+   member. The data that this moves grows with the family, not with its square.
+6. A pair of classes that is not connected yet can only be linked if it shares a key.
+   Keys whose members are all connected are done with; the members of the others form
+   new, smaller families, of which each pair of blocks goes to one task that compares
+   classes of different components only. A family of true copies ends before this.
+7. Components of all links, over classes, then give every row its label.
 
 With 9 chunks of 5 slots and one error, all pairs within 17 of 45 differing slots are
 found; a pair of similarity 0.85 differs in 6.75 slots on average and is outside with
@@ -35,7 +40,7 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, small_or_shuffled
@@ -52,8 +57,13 @@ class Near:
     chunk_slots: int = 5
     errors: int = 1
     bits: int = 16
-    #: Shingles of a block; a single longer document is a block of its own.
+    #: Most shingles of a block; a single longer document is a block of its own.
     block_shingles: int = 1_000_000
+    #: A family is spread over up to ``spread`` blocks, so long as they hold ``block_least`` shingles.
+    block_least: int = 65_536
+    spread: int = 8
+    #: Members of a family that meet all its blocks at once.
+    pivots: int = 8
     seed: int = 11
 
     @property
@@ -152,7 +162,7 @@ def shingles_of(docs: DataFrame, wanted: DataFrame, rows: int, near: Near, text:
 
 
 def confirm(block: pd.DataFrame, near: Near) -> pd.DataFrame:
-    """Spanning forest of the confirmed links in a block or between two blocks of a family."""
+    """Spanning forest of the confirmed links between classes of different ``label`` in a block, or between two blocks of a family."""
     kind = np.uint16 if near.bits <= 16 else np.uint32
     links: list[tuple[int, int]] = []
     for _, family in block.drop_duplicates(["family", "node"]).groupby("family", sort=False):
@@ -164,16 +174,16 @@ def confirm(block: pd.DataFrame, near: Near) -> pd.DataFrame:
         starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
         _, ids = np.unique(np.concatenate(sets), return_inverse=True)
         mark = np.zeros(ids.max() + 1, bool)
-        root = np.arange(len(nodes))
+        _, root = np.unique(family["label"].to_numpy(np.int64), return_inverse=True)
         between = len(set(sides)) > 1
         for i in range(len(nodes) - 1):
-            rest = slice(i + 1, None)
-            near_enough = (sigs[rest] != sigs[i]).sum(axis=1) <= near.distance
-            small, large = np.minimum(sizes[rest], sizes[i]), np.maximum(sizes[rest], sizes[i])
-            todo = near_enough & (100 * small >= near.percent * large) & (root[rest] != root[i])
+            todo = root[i + 1 :] != root[i]
             if between:
-                todo &= sides[rest] != sides[i]
+                todo &= sides[i + 1 :] != sides[i]
             todo = np.flatnonzero(todo) + i + 1
+            small, large = np.minimum(sizes[todo], sizes[i]), np.maximum(sizes[todo], sizes[i])
+            todo = todo[100 * small >= near.percent * large]
+            todo = todo[(sigs[todo] != sigs[i]).sum(axis=1) <= near.distance]
             if not len(todo):
                 continue
             mine = ids[starts[i] : starts[i] + sizes[i]]
@@ -188,7 +198,46 @@ def confirm(block: pd.DataFrame, near: Near) -> pd.DataFrame:
     return pd.DataFrame(links, columns=["a", "b"], dtype="int64")
 
 
-BLOCK = "a long, b long"
+LINKS = "a long, b long"
+MEMBER = ["family", "node", "label", "sig", "shingles"]
+
+
+def confirmed(rows: DataFrame, near: Near) -> DataFrame:
+    """Links found in each group of ``_g, _i, _j``."""
+    return rows.groupBy("_g", "_i", "_j").applyInPandas(lambda block: confirm(block, near), LINKS)
+
+
+def with_blocks(members: DataFrame, near: Near) -> tuple[DataFrame, int]:
+    """``members`` with the number ``_n`` of blocks of their family, and the number of families."""
+    sizes = members.groupBy("family").agg(F.sum("n_shingles").alias("_all"))
+    least = F.least(F.lit(near.spread), F.ceil(F.col("_all") / near.block_least))
+    sizes = sizes.select("family", F.greatest(least, F.ceil(F.col("_all") / near.block_shingles)).cast("int").alias("_n"))
+    return members.join(sizes, "family"), sizes.count()
+
+
+def own_block() -> Column:
+    return F.pmod(F.xxhash64("node"), F.col("_n")).cast("int")
+
+
+def alone(placed: DataFrame, families: int) -> DataFrame:
+    """Families of one block, about a hundred to a group."""
+    groups = F.lit(max(1, families // 100))
+    return placed.where("_n = 1").select(*MEMBER, F.lit(0).alias("side"), F.pmod(F.xxhash64("family"), groups).cast("long").alias("_g"), F.lit(-1).alias("_i"), F.lit(-1).alias("_j"))
+
+
+def one_by_one(placed: DataFrame, near: Near) -> DataFrame:
+    """Each block of the families of several, with the pivots of its family."""
+    many = placed.where("_n > 1")
+    chosen = many.groupBy("family", F.pmod(F.xxhash64("node", F.lit(1)), F.lit(near.pivots))).agg(F.min("node").alias("node")).select("node")
+    pivots = many.join(chosen, "node", "left_semi").withColumn("_i", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
+    both = many.withColumn("_i", own_block()).unionByName(pivots.where(F.col("_i") != own_block()))
+    return both.select(*MEMBER, F.lit(0).alias("side"), F.col("family").alias("_g"), "_i", F.col("_i").alias("_j"))
+
+
+def block_pairs(placed: DataFrame) -> DataFrame:
+    """Each block of the families of several with itself and with each other."""
+    many = placed.where("_n > 1").withColumn("side", own_block()).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
+    return many.select(*MEMBER, "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
 
 
 def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, text: str, key: str) -> DataFrame:
@@ -196,18 +245,22 @@ def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, tex
     posted = scratch.cut(postings(classes, near), "postings")
     members = families(posted, scratch).withColumnRenamed("label", "family")
     members = scratch.cut(members.join(classes, "node"), "families")
-    sizes = members.groupBy("family").agg(F.sum("n_shingles").alias("_all"))
-    blocks = F.ceil(F.col("_all") / near.block_shingles).cast("int")
-    placed = members.join(sizes.select("family", blocks.alias("_n")), "family")
     sets = shingles_of(docs, members, members.count(), near, text, key)
-    placed = placed.join(sets.dropDuplicates(["node"]), "node")
-    side = F.pmod(F.xxhash64("node"), F.col("_n")).cast("int")
-    # One block: small families share a group by hash. More: block i meets each block j, as (min, max).
-    groups = F.greatest(F.lit(1), F.ceil(F.lit(max(1, sizes.count())) / 100)).cast("int")
-    alone = placed.where("_n = 1").select("family", "node", "sig", "shingles", F.lit(0).alias("side"), F.pmod(F.xxhash64("family"), groups).cast("long").alias("_g"), F.lit(-1).alias("_i"), F.lit(-1).alias("_j"))
-    many = placed.where("_n > 1").withColumn("side", side).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
-    many = many.select("family", "node", "sig", "shingles", "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
-    return alone.union(many).groupBy("_g", "_i", "_j").applyInPandas(lambda block: confirm(block, near), BLOCK)
+    placed, n = with_blocks(members, near)
+    placed = scratch.cut(placed.join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node")), "sets")
+    found = confirmed(alone(placed, n), near)
+    nodes = placed.where("_n > 1").select("node")
+    if nodes.isEmpty():
+        return found
+    first = scratch.cut(confirmed(one_by_one(placed, near), near), "first-links")
+    labels = nodes.join(components(first, scratch), "node", "left").select("node", F.coalesce("label", "node").alias("label"))
+    held = scratch.cut(posted.join(labels, "node"), "held")
+    unsettled = held.groupBy("key").agg(F.min("label").alias("a"), F.max("label").alias("z")).where("a <> z").select("key")
+    again = families(held.join(unsettled, "key").select("key", "node"), scratch).withColumnRenamed("label", "family")
+    rest, m = with_blocks(again.join(labels, "node").join(placed.select("node", "n_shingles", "sig", "shingles"), "node"), near)
+    rest = scratch.cut(rest, "rest")
+    second = confirmed(alone(rest, m).union(block_pairs(rest)), near)
+    return found.union(first).union(second)
 
 
 def near_duplicates(docs: DataFrame, near: Near = Near(), text: str = "text", key: str = "doc_id") -> DataFrame:
