@@ -15,10 +15,9 @@
    its family, goes to one task, which finds the pairs within the distance and confirms
    them on the full sets. It returns a spanning forest of the links, at most a row a
    member. The data that this moves grows with the family, not with its square.
-6. A pair of classes that is not connected yet can only be linked if it shares a key.
-   Keys whose members are all connected are done with; the members of the others form
-   new, smaller families, of which each pair of blocks goes to one task that compares
-   classes of different components only. A family of true copies ends before this.
+6. Only classes of different components can still be linked. The largest component of
+   a family is its core. Blocks of the rest meet each other and those of the core, in a
+   task a pair; blocks of the core never meet again. A family of true copies has no rest.
 7. Components of all links, over classes, then give every row its label.
 
 With 9 chunks of 5 slots and one error, all pairs within 17 of 45 differing slots are
@@ -207,12 +206,10 @@ def confirmed(rows: DataFrame, near: Near) -> DataFrame:
     return rows.groupBy("_g", "_i", "_j").applyInPandas(lambda block: confirm(block, near), LINKS)
 
 
-def with_blocks(members: DataFrame, near: Near) -> tuple[DataFrame, int]:
-    """``members`` with the number ``_n`` of blocks of their family, and the number of families."""
-    sizes = members.groupBy("family").agg(F.sum("n_shingles").alias("_all"))
-    least = F.least(F.lit(near.spread), F.ceil(F.col("_all") / near.block_least))
-    sizes = sizes.select("family", F.greatest(least, F.ceil(F.col("_all") / near.block_shingles)).cast("int").alias("_n"))
-    return members.join(sizes, "family"), sizes.count()
+def n_blocks(shingles: Column, near: Near) -> Column:
+    """Blocks that so many shingles are dealt into."""
+    spread = F.least(F.lit(near.spread), F.ceil(shingles / near.block_least))
+    return F.greatest(spread, F.ceil(shingles / near.block_shingles)).cast("int")
 
 
 def own_block() -> Column:
@@ -234,10 +231,19 @@ def one_by_one(placed: DataFrame, near: Near) -> DataFrame:
     return both.select(*MEMBER, F.lit(0).alias("side"), F.col("family").alias("_g"), "_i", F.col("_i").alias("_j"))
 
 
-def block_pairs(placed: DataFrame) -> DataFrame:
-    """Each block of the families of several with itself and with each other."""
-    many = placed.where("_n > 1").withColumn("side", own_block()).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
-    return many.select(*MEMBER, "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
+def across(placed: DataFrame, labels: DataFrame, near: Near) -> DataFrame:
+    """Pairs of blocks of the families of several that are not one component of ``labels`` (``node``, ``label``)."""
+    many = placed.where("_n > 1").drop("label", "_n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    parts = many.groupBy("family", "label").agg(F.sum("n_shingles").alias("_part"))
+    cores = parts.groupBy("family").agg(F.max(F.struct("_part", "label")).alias("_core"), F.sum("_part").alias("_all")).where("_all > _core._part")
+    rest = F.col("_all") - F.col("_core._part")
+    cores = cores.select("family", F.col("_core.label").alias("_core"), n_blocks(F.col("_core._part"), near).alias("_c"), n_blocks(rest, near).alias("_r"))
+    # Blocks of the core come first, then those of the rest; a core block meets only the latter.
+    rows, own = many.join(cores, "family"), F.xxhash64("node")
+    in_core = F.col("label") == F.col("_core")
+    rows = rows.withColumn("side", F.when(in_core, F.pmod(own, F.col("_c"))).otherwise(F.col("_c") + F.pmod(own, F.col("_r"))).cast("int"))
+    rows = rows.withColumn("_o", F.explode(F.sequence(F.when(in_core, F.col("_c")).otherwise(F.lit(0)), F.col("_c") + F.col("_r") - 1)))
+    return rows.select(*MEMBER, "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
 
 
 def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, text: str, key: str) -> DataFrame:
@@ -246,21 +252,14 @@ def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, tex
     members = families(posted, scratch).withColumnRenamed("label", "family")
     members = scratch.cut(members.join(classes, "node"), "families")
     sets = shingles_of(docs, members, members.count(), near, text, key)
-    placed, n = with_blocks(members, near)
-    placed = scratch.cut(placed.join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node")), "sets")
-    found = confirmed(alone(placed, n), near)
-    nodes = placed.where("_n > 1").select("node")
-    if nodes.isEmpty():
+    sizes = scratch.cut(members.groupBy("family").agg(n_blocks(F.sum("n_shingles"), near).alias("_n")), "sizes")
+    placed = members.join(sizes, "family").join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node"))
+    placed = scratch.cut(placed, "sets")
+    found = confirmed(alone(placed, sizes.count()), near)
+    if sizes.where("_n > 1").isEmpty():
         return found
     first = scratch.cut(confirmed(one_by_one(placed, near), near), "first-links")
-    labels = nodes.join(components(first, scratch), "node", "left").select("node", F.coalesce("label", "node").alias("label"))
-    held = scratch.cut(posted.join(labels, "node"), "held")
-    unsettled = held.groupBy("key").agg(F.min("label").alias("a"), F.max("label").alias("z")).where("a <> z").select("key")
-    again = families(held.join(unsettled, "key").select("key", "node"), scratch).withColumnRenamed("label", "family")
-    rest, m = with_blocks(again.join(labels, "node").join(placed.select("node", "n_shingles", "sig", "shingles"), "node"), near)
-    rest = scratch.cut(rest, "rest")
-    second = confirmed(alone(rest, m).union(block_pairs(rest)), near)
-    return found.union(first).union(second)
+    return found.union(first).union(confirmed(across(placed, components(first, scratch), near), near))
 
 
 def near_duplicates(docs: DataFrame, near: Near = Near(), text: str = "text", key: str = "doc_id") -> DataFrame:
