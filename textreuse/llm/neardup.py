@@ -231,15 +231,16 @@ def one_by_one(placed: DataFrame, near: Near) -> DataFrame:
     return both.select(*MEMBER, F.lit(0).alias("side"), F.col("family").alias("_g"), "_i", F.col("_i").alias("_j"))
 
 
-def across(placed: DataFrame, labels: DataFrame, near: Near) -> DataFrame:
+def across(placed: DataFrame, labels: DataFrame, near: Near, scratch: Scratch) -> DataFrame:
     """Pairs of blocks of the families of several that are not one component of ``labels`` (``node``, ``label``)."""
     many = placed.where("_n > 1").drop("label", "_n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     parts = many.groupBy("family", "label").agg(F.sum("n_shingles").alias("_part"))
     cores = parts.groupBy("family").agg(F.max(F.struct("_part", "label")).alias("_core"), F.sum("_part").alias("_all")).where("_all > _core._part")
     rest = F.col("_all") - F.col("_core._part")
     cores = cores.select("family", F.col("_core.label").alias("_core"), n_blocks(F.col("_core._part"), near).alias("_c"), n_blocks(rest, near).alias("_r"))
+    cores = scratch.cut(cores, "cores")
     # Blocks of the core come first, then those of the rest; a core block meets only the latter.
-    rows, own = many.join(cores, "family"), F.xxhash64("node")
+    rows, own = many.join(small_or_shuffled(cores, cores.count()), "family"), F.xxhash64("node")
     in_core = F.col("label") == F.col("_core")
     rows = rows.withColumn("side", F.when(in_core, F.pmod(own, F.col("_c"))).otherwise(F.col("_c") + F.pmod(own, F.col("_r"))).cast("int"))
     rows = rows.withColumn("_o", F.explode(F.sequence(F.when(in_core, F.col("_c")).otherwise(F.lit(0)), F.col("_c") + F.col("_r") - 1)))
@@ -253,13 +254,14 @@ def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, tex
     members = scratch.cut(members.join(classes, "node"), "families")
     sets = shingles_of(docs, members, members.count(), near, text, key)
     sizes = scratch.cut(members.groupBy("family").agg(n_blocks(F.sum("n_shingles"), near).alias("_n")), "sizes")
-    placed = members.join(sizes, "family").join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node"))
+    n = sizes.count()
+    placed = members.join(small_or_shuffled(sizes, n), "family").join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node"))
     placed = scratch.cut(placed, "sets")
-    found = confirmed(alone(placed, sizes.count()), near)
+    found = confirmed(alone(placed, n), near)
     if sizes.where("_n > 1").isEmpty():
         return found
     first = scratch.cut(confirmed(one_by_one(placed, near), near), "first-links")
-    return found.union(first).union(confirmed(across(placed, components(first, scratch), near), near))
+    return found.union(first).union(confirmed(across(placed, components(first, scratch), near, scratch), near))
 
 
 def near_duplicates(docs: DataFrame, near: Near = Near(), text: str = "text", key: str = "doc_id") -> DataFrame:
