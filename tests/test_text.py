@@ -228,6 +228,15 @@ def test_consensus(spark):
     assert got == {"i": ("a", True, False), "j": ("a", False, False), "k": ("a", False, True)}
 
 
+def test_groups_of_long_chains(spark):
+    chain = [(i, i + 1) for i in range(1, 60)]
+    zigzag = [(100 + (7 * i) % 50, 100 + (7 * (i + 1)) % 50) for i in range(49)]
+    pairs = [*chain, *zigzag, (300, 301), (301, 300), (400, 400)]
+    got = {r["doc_id"]: r["label"] for r in rec.groups(spark.createDataFrame(pairs, "a_doc long, b_doc long")).collect()}
+    assert got == {i: 1 for i in range(1, 61)} | {i: 100 for i in range(100, 150)} | {300: 300, 301: 300}
+    assert rec.groups(spark.createDataFrame([], "a_doc long, b_doc long")).count() == 0
+
+
 def test_jsonl_with_a_corrupt_line_and_a_missing_key(spark, tmp_path):
     (tmp_path / "x.json").write_text('{"doc_id": 1, "lang": "en"}\nnot json\n{"doc_id": 2}\n')
     schema = spark.createDataFrame([], "doc_id long, lang string").schema

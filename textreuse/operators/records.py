@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources.io import stored
 from .normalize import clean
 
 LANGUAGE_AREAS = {"en": 0, "de": 1, "fr": 2, "es": 3}
@@ -102,16 +103,25 @@ def duplicates(cases: DataFrame, docs: DataFrame, share: float = 0.99) -> DataFr
     return rows.where(covers("a") & covers("b")).select("a_doc", "b_doc").distinct()
 
 
-def groups(pairs: DataFrame, rounds: int = 4) -> DataFrame:
-    """Transitive groups of pairs by label propagation with pointer jumping; a fixed number of rounds stays one lazy plan.
+def groups(pairs: DataFrame) -> DataFrame:
+    """``doc_id, label`` of the transitive groups of pairs; a group's label is its least document.
 
-    A component of which every member is a neighbour of its least, as with exact copies, needs one round.
+    Every round a document takes the least label among its neighbours, a label the least that its members took, and all
+    jump to the label of their label, so that steps along a chain double. Rounds end when no label moves; each is written
+    to the shared folder, which also cuts its lineage.
     """
-    both = pairs.select("a_doc", "b_doc").union(pairs.select("b_doc", "a_doc"))
-    labels = both.groupBy(F.col("a_doc").alias("doc_id")).agg(F.least(F.min("b_doc"), F.first("a_doc")).alias("label"))
-    for _ in range(rounds - 1):
+    both = stored(pairs.where("a_doc <> b_doc").select("a_doc", "b_doc").union(pairs.where("a_doc <> b_doc").select("b_doc", "a_doc")).distinct(), "pairs")
+    labels = stored(both.groupBy(F.col("a_doc").alias("doc_id")).agg(F.least(F.min("b_doc"), F.first("a_doc")).alias("label")), "labels")
+    moved = not labels.isEmpty()
+    while moved:
         near = both.join(labels.withColumnRenamed("doc_id", "b_doc"), "b_doc").groupBy(F.col("a_doc").alias("doc_id")).agg(F.min("label").alias("_l"))
-        labels = labels.join(near, "doc_id").select("doc_id", F.least("label", "_l").alias("label"))
+        told = labels.join(near, "doc_id").select("doc_id", "label", F.least("label", "_l").alias("_new"))
+        heard = told.groupBy(F.col("label").alias("doc_id")).agg(F.min("_new").alias("_found"))
+        hooked = stored(told.join(heard, "doc_id", "left").select("doc_id", F.col("label").alias("_was"), F.least("_new", "_found").alias("_up")), "hooks")
+        above = hooked.select(F.col("doc_id").alias("_up"), F.col("_up").alias("label"))
+        jumped = stored(hooked.join(above, "_up").select("doc_id", "_was", "label"), "labels")
+        moved = not jumped.where("label <> _was").isEmpty()
+        labels = jumped.drop("_was")
     return labels
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
@@ -39,3 +41,12 @@ def read_partitioned(spark: SparkSession, path: str, schema: T.StructType) -> Da
 def write_bucketed(df: DataFrame, table: str, key: str, buckets: int = 256) -> None:
     """A table bucketed and sorted by ``key``: later joins on it need no shuffle. For stored grams and postings."""
     df.write.bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+
+
+def stored(df: DataFrame, name: str) -> DataFrame:
+    """``df`` written below the folder that ``spark.checkpoint.dir`` names and read back; a local one only where that is unset, as in tests."""
+    conf = df.sparkSession.sparkContext.getConf()
+    root = (conf.get("spark.checkpoint.dir") or df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
+    path = f"{root}/textreuse-{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
