@@ -22,7 +22,6 @@ from __future__ import annotations
 import sys
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import cache
 
 import numpy as np
 import pandas as pd
@@ -48,10 +47,15 @@ class Fit:
     calibrate_every: int = 5
 
 
-@cache
+#: Filled once a process by :func:`letters`. A plain list, as a cached function would travel by name and need an installed copy.
+_LETTERS: list[np.ndarray] = []
+
+
 def letters() -> np.ndarray:
     """Whether a code point is a letter."""
-    return np.fromiter((chr(c).isalpha() for c in range(sys.maxunicode + 1)), bool, sys.maxunicode + 1)
+    if not _LETTERS:
+        _LETTERS.append(np.fromiter((chr(c).isalpha() for c in range(sys.maxunicode + 1)), bool, sys.maxunicode + 1))
+    return _LETTERS[0]
 
 
 def gram_numbers(text: str | None, features: int) -> np.ndarray | None:
@@ -200,11 +204,13 @@ def hash_order(i: int | None) -> int:
 
 def identify(docs: DataFrame, model: Model, scratch: Scratch | None = None, text: str = "text", key: str = "doc_id") -> DataFrame:
     """``lang_pred`` and ``score`` beside the key of every row."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)  # features x languages, whatever the input
+    # Features x languages, whatever the input. Arrays travel, not the class: broadcasts name classes, and executors need not have ours.
+    sent = docs.sparkSession.sparkContext.broadcast((model.languages, model.idf, model.weights, model.temperature))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        own = Model(*sent.value)
         for batch in batches:
-            found = [sent.value.predict(t) for t in batch["_text"]]
+            found = [own.predict(t) for t in batch["_text"]]
             yield pd.DataFrame({"doc_id": batch["_id"], "lang_pred": [f[0] for f in found], "score": [f[1] for f in found]})
 
     # Ids travel as text: a null among them would make pandas hold them as floats.
