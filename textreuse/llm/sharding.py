@@ -119,7 +119,7 @@ def shard(docs: DataFrame, shards: int = 8, text: str = "text", key: str = "doc_
         number = number + F.when(F.col("end") > cut, 1).otherwise(0)
     placed = summed.withColumn("shard", number.cast("int"))
     starts = placed.groupBy("shard").agg(F.min(F.col("row_end") - F.col("n")).alias("_start"))
-    # Groups of one row carry what they need; only the rest join back by group, where a hot group is split by the engine.
+    # Rows join back by group without their texts; a hot group is split by the engine.
     members = rows.join(placed.select("group", "first", "shard"), "group")
     ordered = running_totals(members, [F.col("first").asc_nulls_first(), F.col("group"), F.col("doc_id")], {"_row": F.lit(1).cast("long")}, scratch)
     out = ordered.join(F.broadcast(starts), "shard")
