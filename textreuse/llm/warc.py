@@ -198,7 +198,8 @@ def write_archives(pages: DataFrame, folder: str, payload: str = "html", key: st
     refers = F.when(F.sha1("payload") == F.col("_of"), F.col("refers_to"))
     made = joined.select("page_id", "url", "payload", refers.alias("refers_to"))
     parts = max(1, int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    dealt = made.repartition(parts, "page_id").sortWithinPartitions("page_id", "url").withColumn("_part", F.spark_partition_id())
+    # A total order also among rows of one id, so that a task that runs again cuts its archives at the same records.
+    dealt = made.repartition(parts, "page_id").sortWithinPartitions("page_id", "url", "refers_to", F.sha1("payload")).withColumn("_part", F.spark_partition_id())
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyarrow import fs
