@@ -29,7 +29,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = neardup.near_duplicates(docs)
+    found = neardup.near_duplicates(docs, neardup.AT_80)
     return without(docs, found.where(~F.col("kept")), Scratch(spark, "stage-dedup"))
 
 
