@@ -117,6 +117,21 @@ def test_quality_ratio_by_hand(spark):
     assert abs(score[3] - got[bucket["c"]]) < 1e-8 and abs(score[1] - (got[bucket["a"]] + got[bucket["b"]] + got[pairs["ab"]]) / 3) < 1e-8
 
 
+def test_quality_threshold_is_not_set_by_an_outlier(spark):
+    scored = spark.createDataFrame([(i, 0.001 * (i % 50)) for i in range(500)] + [(500, -0.3), (501, -0.28)], "doc_id long, llr double")
+    assert -0.01 <= quality_rules.threshold(scored, scored.select("doc_id"), quality_rules.Rules()) <= 0
+
+
+def test_quality_rejects_poor_and_keeps_trusted(spark):
+    from textreuse.llm.queries import op2_quality_rules
+
+    sf = "/root/testdata/sf0.01"
+    label = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{sf}/labels.parquet").where("quality is not null and coalesce(toxic, 0) = 0").collect()}
+    out = [r for r in op2_quality_rules(spark, sf).collect() if r["doc_id"] in label and not r["base_failed"]]
+    kept = {q: sum(r["kept"] for r in out if label[r["doc_id"]] == q) for q in (0, 1)}
+    assert kept[0] == 0 and kept[1] >= 0.98 * sum(label[r["doc_id"]] == 1 for r in out)
+
+
 # 3 language identification
 
 

@@ -37,9 +37,8 @@ class Rules:
     smoothing: float = 1.0
     least_words: int = 10
     repeat_percent: int = 20
-    #: The threshold is this quantile of the trusted documents' scores less the margin.
-    trusted_quantile: float = 0.001
-    margin: float = 0.05
+    #: The threshold is the lower end of the bin with this quantile of the trusted documents' scores.
+    trusted_quantile: float = 0.01
     #: Width of the bins from which the quantile is read.
     bin_width: float = 0.01
 
@@ -116,14 +115,14 @@ def score(docs: DataFrame, ratios: list[float], rules: Rules, text: str = "text"
 
 
 def threshold(scored: DataFrame, trusted: DataFrame, rules: Rules, key: str = "doc_id") -> float:
-    """Quantile of the trusted scores from a histogram, less the margin; the same on every run."""
+    """Quantile of the trusted scores from a histogram, rounded down to a bin; the same on every run."""
     ids = trusted.where(F.col(key).isNotNull()).select(key).distinct()
     bins = scored.join(ids, key, "left_semi").where("llr is not null").groupBy(F.floor(F.col("llr") / rules.bin_width).alias("bin")).count().collect()
     wanted, seen = rules.trusted_quantile * sum(r["count"] for r in bins), 0
     for r in sorted(bins, key=lambda r: r["bin"]):
         seen += r["count"]
         if seen > wanted:
-            return r["bin"] * rules.bin_width - rules.margin
+            return r["bin"] * rules.bin_width
     return float("-inf")
 
 
