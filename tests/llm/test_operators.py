@@ -206,6 +206,16 @@ def test_secret_assignments_and_propagation():
     assert secrets.redact(None) is None and secrets.redact("plain: text") == "plain: text"
 
 
+def test_secret_with_symbols_goes_whole():
+    text = 'password = "abcdef7$Gh1!kLmN2pQ" # x'
+    base, every = secrets.scan(text)
+    assert secrets.spans_text(base) == "assign:0:19" and secrets.spans_text(every) == "assign:0:19,literal:12:31"
+    assert secrets.redact(text) == 'password = "[REDACTED]" # x'
+    assert secrets.redact('api_key = "$Gh1!kLmN2pQ:token=abcdef7$Gh1!"; a = 1') == 'api_key = "[REDACTED]"; a = 1'
+    key = "AKIA" + "Z9" * 10
+    assert secrets.spans_text(secrets.scan(f'api_key: "{key}"')[1]) == "assign:0:34,access:10:34"
+
+
 # 5 near-duplicates
 
 

@@ -6,8 +6,9 @@ Method: source and configuration syntax is read as name-literal pairs (``name =
 right side may join literals and names; constants are propagated through names,
 whatever their order, and each literal is scored by the most sensitive name that it
 reaches: words of the name, length, entropy and mix of the literal, with placeholders
-left out. Literals that score enough and overlap no base match become spans of kind
-``literal``.
+left out. Literals that score enough become spans of kind ``literal``, unless base
+matches contain them whole: a base value ends at the first symbol outside its set, and
+the literal around it goes on. Redaction replaces the union of values and literals.
 
 Cases: a null or empty text has no spans. Repeated rows give equal rows. Very long
 texts are read whole in linear time: names start only at a token's start, so that no
@@ -164,12 +165,17 @@ def scan(text: str | None) -> tuple[list, list]:
         return [], []
     order = lambda s: (s[0], KINDS.index(s[2]))
     base = sorted(base_spans(text), key=order)
-    more, k, reach = [], 0, 0
+    runs: list[list[int]] = []  # base spans joined where they touch
+    for a, b, *_ in base:
+        if runs and a <= runs[-1][1]:
+            runs[-1][1] = max(runs[-1][1], b)
+        else:
+            runs.append([a, b])
+    more, k = [], 0
     for s in literal_spans(text):
-        while k < len(base) and base[k][0] < s[1]:
-            reach = max(reach, base[k][1])
+        while k < len(runs) and runs[k][1] <= s[0]:
             k += 1
-        if reach <= s[0]:
+        if k == len(runs) or s[0] < runs[k][0] or s[1] > runs[k][1]:
             more.append(s)
     return base, sorted(base + more, key=order)
 
