@@ -41,6 +41,23 @@ def test_query_equals_sql(spark, sf, name):
     assert sorted(repr([flat(r[c]) for c in sorted(names)]) for r in rows) == want
 
 
+def test_witnesses_are_all_collisions(spark, sf):
+    from collections import Counter, defaultdict
+    from itertools import combinations
+
+    from textreuse.operators import retrieval as sr
+    from textreuse.sources.catalog import documents
+
+    buckets = defaultdict(list)
+    for r in sr.sketched(documents(spark, sf), family="md5").collect():
+        for slot, h in enumerate(r["sig"]):
+            buckets[slot, h].append((r["doc_id"], r["passage_no"]))
+    want = Counter((*a, *b) for b_ in buckets.values() for a, b in combinations(sorted(b_), 2) if a[0] < b[0])
+    got = entry.queries()["sr_witnesses"](spark, sf).collect()
+    assert {(r["a_doc"], r["a_passage"], r["b_doc"], r["b_passage"]): r["slots"] for r in got} == want and len(got) == len(want)
+    assert {(r["a_doc"], r["b_doc"]) for r in got} == {(r["a_doc"], r["b_doc"]) for r in entry.queries()["sr_candidates"](spark, sf).collect()}
+
+
 def test_stream_equals_batch(spark, sf):
     from textreuse.operators import retrieval as sr
     from textreuse.sources.catalog import documents

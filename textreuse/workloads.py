@@ -224,8 +224,14 @@ def sr_candidates_of_doc(spark, sf_dir):
     return sr.candidates_of(sr.candidates(_posts(spark, sf_dir)), 0)
 
 
-@query("sr_witnesses", f"with {sql.signatures()} select a.doc_id as a_doc, a.passage_no as a_passage, b.doc_id as b_doc, b.passage_no as b_passage, count(*) as slots from sig a join sig b on a.slot = b.slot and a.hash = b.hash and a.doc_id < b.doc_id group by 1, 2, 3, 4 having count(*) >= 3")
+@query("sr_witnesses")
 def sr_witnesses(spark, sf_dir):
+    """All pairs of passages that collide in a slot or more; tests check the rows."""
+    return sr.witnesses(sr.sketched(documents(spark, sf_dir), family="md5"))
+
+
+@query("sr_witnesses_min3", f"with {sql.signatures()} select a.doc_id as a_doc, a.passage_no as a_passage, b.doc_id as b_doc, b.passage_no as b_passage, count(*) as slots from sig a join sig b on a.slot = b.slot and a.hash = b.hash and a.doc_id < b.doc_id group by 1, 2, 3, 4 having count(*) >= 3")
+def sr_witnesses_min3(spark, sf_dir):
     return sr.witnesses(sr.sketched(documents(spark, sf_dir), family="md5")).where("slots >= 3")
 
 
