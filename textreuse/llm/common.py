@@ -8,6 +8,7 @@ and never the whole chain.
 
 from __future__ import annotations
 
+import re
 import uuid
 from collections.abc import Sequence
 
@@ -19,11 +20,11 @@ from pyspark.sql import functions as F
 SPACE = r"[\x20\x09-\x0D]"
 WORD = r"[^\x20\x09-\x0D]+"
 
-#: Used only where the session names no shared folder, as in tests on one machine.
+#: Used only in a session of one machine that names no shared folder, as in tests.
 LOCAL_FOLDER = "file:///tmp/checkpoints"
 
-#: Rows of long keys up to which a side is broadcast; beyond it the join shuffles.
-BROADCAST_ROWS = 4_000_000
+#: Estimated bytes up to which a side is broadcast; beyond it the join shuffles.
+BROADCAST_BYTES = 64 << 20
 
 
 def ship_by_value() -> None:
@@ -34,12 +35,28 @@ def ship_by_value() -> None:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return spread(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
+
+
+def spread(stored: DataFrame) -> DataFrame:
+    """A stored table, its rows dealt over the cores if fewer partitions than cores have any; a larger table stays as it is.
+
+    Splits are cut by bytes, but a row group goes to one of them whole, so splits that have rows are counted. The count
+    reads no column. Rows are dealt by their place, so that no key gathers them.
+    """
+    cores = stored.sparkSession.sparkContext.defaultParallelism
+    if stored.groupBy(F.spark_partition_id().alias("p")).count().limit(cores).count() >= cores:
+        return stored
+    # A name that the table cannot have: the longest of its names, and more.
+    place = "_" + max([*stored.columns, "place"], key=len)
+    return stored.withColumn(place, F.monotonically_increasing_id()).repartition(cores, place).drop(place)
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see."""
+    """Folder that the driver and all executors see; on a cluster it must be named."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     return (named or LOCAL_FOLDER).rstrip("/")
 
 
@@ -62,18 +79,27 @@ class Scratch:
         return self.spark.read.schema(df.schema).parquet(where)
 
     def drop(self, *frames: DataFrame | None) -> None:
-        """Delete tables made by :meth:`cut` that nothing reads any more."""
+        """Delete tables made by :meth:`cut` that nothing reads any more. Only tables of this scratch go."""
         jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
         for frame in frames:
             folders = {f.rpartition("/")[0] for f in frame.inputFiles()} if frame is not None else set()
             for folder in folders:
                 where = jvm.org.apache.hadoop.fs.Path(folder)
-                where.getFileSystem(conf).delete(where, True)
+                if self.root.rpartition("/")[2] in folder:
+                    where.getFileSystem(conf).delete(where, True)
+
+
+def estimated_bytes(side: DataFrame) -> int:
+    """Size of a stored table in memory: 32 bytes a row, 16 a column, and its text and binary content."""
+    wide = [F.octet_length(c) if kind in ("string", "binary") else F.octet_length(F.col(c).cast("string")) for c, kind in side.dtypes if kind in ("string", "binary") or kind.startswith(("struct", "array", "map"))]
+    content = sum((F.coalesce(c, F.lit(0)) for c in wide), F.lit(0))
+    r = side.agg(F.count(F.lit(1)).alias("n"), F.sum(content).alias("content")).first()
+    return r["n"] * (32 + 16 * len(side.columns)) + (r["content"] or 0)
 
 
-def small_or_shuffled(side: DataFrame, rows: int, most: int = BROADCAST_ROWS) -> DataFrame:
-    """``side`` with a broadcast hint if its counted ``rows`` are within the bound, else as it is."""
-    return F.broadcast(side) if rows <= most else side
+def small_or_shuffled(side: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """``side``, a stored table, with a broadcast hint if it is within the bound, else as it is."""
+    return F.broadcast(side) if estimated_bytes(side) <= most else side
 
 
 def words(text: Column) -> Column:

@@ -27,17 +27,21 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     while not left.isEmpty():
         both = left.select("a", "b").union(left.select(F.col("b").alias("a"), F.col("a").alias("b")))
         hook = both.groupBy(F.col("a").alias("node")).agg(F.min(_least(F.col("b"))).alias("best"))
-        hook = scratch.cut(hook.select("node", F.least(F.col("best"), _least(F.col("node")))["id"].alias("up")), "hooks")
+        hooks = hook = scratch.cut(hook.select("node", F.least(F.col("best"), _least(F.col("node")))["id"].alias("up")), "hooks")
         for _ in range(2):
             above = hook.select(F.col("node").alias("up"), F.col("up").alias("top"))
             hook = hook.join(above, "up").select("node", F.col("top").alias("up"))
         hook = scratch.cut(hook, "parents")
+        scratch.drop(hooks)
+        before = known
         if known is None:
-            known = hook.select("node", F.col("up").alias("label"))
+            known = scratch.cut(hook.select("node", F.col("up").alias("label")), "labels")
         else:
             moved = known.join(hook.select(F.col("node").alias("label"), "up"), "label", "left")
             known = scratch.cut(moved.select("node", F.coalesce("up", "label").alias("label")), "labels")
         to = lambda end: hook.select(F.col("node").alias(end), F.col("up").alias(f"_{end}"))
         moved = left.join(to("a"), "a").join(to("b"), "b").where("_a <> _b")
-        left = scratch.cut(moved.select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b")).distinct(), "edges")
+        rest = scratch.cut(moved.select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b")).distinct(), "edges")
+        scratch.drop(before, hook, left)
+        left = rest
     return known if known is not None else edges.select(F.col("a").alias("node"), F.col("a").alias("label")).limit(0)
