@@ -8,9 +8,9 @@
    most ``errors * chunks + chunks - 1`` slots, some chunk differs in at most
    ``errors`` (pigeonhole). All ways to leave out ``errors`` slots of a chunk are
    enumerated, and what remains is a key: every pair under the threshold shares one.
-4. The keys of all classes are joined to the first class of their bucket (a star, one
-   row a member); connected stars are families. Every pair that shares a key is in
-   one family.
+4. Of the members of a key's bucket, pairs within the signature distance become edges;
+   connected edges are families. Members that only share a key, as pages of one template
+   do, are not brought together. A large bucket is dealt into blocks as a family is (5, 6).
 5. A family is dealt into blocks of bounded size. Each block, joined by a few pivots of
    its family, goes to one task, which finds the pairs within the distance and confirms
    them on the full sets. It returns a spanning forest of the links, at most a row a
@@ -28,14 +28,17 @@ similarity 0.80, which differs in 9.6 slots on average, is outside with a chance
 
 Cases: null, empty and blank texts have no shingles and link with nothing. Texts
 shorter than a shingle are one shingle. Rows that repeat link as equal sets. A null
-id is never a representative: a row with a null id is kept only if it has no
-component, which is so if all ids of its class are null. Very long texts are one row of one block. An empty table
-gives an empty result.
+id is never the smallest: a component has a null id only if all its ids are null. Ties,
+as rows of one id, are told apart by ``text_hash``, and rows of one id and text not at
+all: ``chosen`` marks the rows of the smallest id of a component and, of these, of the
+smallest hash, so that a component's chosen rows have one id and one text. Very long
+texts are one row of one block. An empty table gives an empty result. Other columns of
+the input are passed by, whatever their names.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from itertools import combinations
 
@@ -63,7 +66,9 @@ class Near:
     #: A family is spread over up to ``spread`` blocks, so long as they hold ``block_least`` shingles.
     block_least: int = 65_536
     spread: int = 8
-    #: Members of a family that meet all its blocks at once.
+    #: Most members of a block of a key's bucket.
+    bucket_members: int = 4096
+    #: Members of a bucket or family that meet all its blocks at once.
     pivots: int = 8
     seed: int = 11
 
@@ -106,7 +111,10 @@ def all_keys(sigs: np.ndarray, near: Near) -> np.ndarray:
     return np.stack(columns, axis=1).view(np.int64) if len(sigs) else np.empty((0, 0), np.int64)
 
 
-SKETCH = "doc_id string, n_shingles long, node long, check long, sig binary"
+LINKS = "a long, b long"
+BUCKET = ["family", "node", "label", "sig"]
+MEMBER = [*BUCKET, "shingles"]
+SKETCH = "doc_id string, text_hash long, n_shingles long, node long, check long, sig binary"
 
 
 def sketch(docs: DataFrame, near: Near, text: str, key: str) -> DataFrame:
@@ -125,9 +133,9 @@ def sketch(docs: DataFrame, near: Near, text: str, key: str) -> DataFrame:
                 check = int((mixed(h ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64) + np.uint64(len(h))).view(np.int64))
                 nodes.append(node), checks.append(check), sigs.append(signature(h, near).astype(np.uint16 if near.bits <= 16 else np.uint32).tobytes())
             # Columns with nulls are built as nullable integers: 64-bit hashes do not survive a float.
-            yield pd.DataFrame({"doc_id": batch["_id"], "n_shingles": sizes, "node": pd.array(nodes, "Int64"), "check": pd.array(checks, "Int64"), "sig": sigs})
+            yield pd.DataFrame({"doc_id": batch["_id"], "text_hash": batch["_hash"], "n_shingles": sizes, "node": pd.array(nodes, "Int64"), "check": pd.array(checks, "Int64"), "sig": sigs})
 
-    drawn = docs.select(F.col(key).cast("string").alias("_id"), F.col(text).alias("_text")).mapInPandas(run, SKETCH)
+    drawn = docs.select(F.col(key).cast("string").alias("_id"), F.xxhash64(F.col(text)).alias("_hash"), F.col(text).alias("_text")).mapInPandas(run, SKETCH)
     return drawn.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
@@ -145,15 +153,91 @@ def postings(classes: DataFrame, near: Near) -> DataFrame:
     return classes.select("node", "sig").mapInPandas(run, "key long, node long")
 
 
-def families(posted: DataFrame, scratch: Scratch) -> DataFrame:
-    """``node, label`` for every class that shares a key with another."""
-    first = posted.groupBy("key").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("key", "a")
-    stars = posted.join(first, "key").where("node <> a").select("a", F.col("node").alias("b"))
-    return components(stars, scratch)
+def near_in_buckets(block: pd.DataFrame, near: Near) -> pd.DataFrame:
+    """Edges that connect the members of each bucket (``family``) of a block that are within the signature distance.
+
+    Small buckets are compared pair by pair, all of them at once; a large one skips pairs that are connected already.
+    """
+    kind = np.uint16 if near.bits <= 16 else np.uint32
+    block = block.drop_duplicates(["family", "node"]).sort_values(["family", "node"])
+    family, nodes = block["family"].to_numpy(np.int64), block["node"].to_numpy(np.int64)
+    sigs = np.frombuffer(b"".join(block["sig"]), kind).reshape(len(block), near.slots) if len(block) else np.empty((0, near.slots), kind)
+    starts = np.flatnonzero(np.concatenate([[True], family[1:] != family[:-1]])) if len(block) else np.empty(0, int)
+    sizes = np.diff(np.append(starts, len(block)))
+    size = np.repeat(sizes, sizes)
+    ends = np.repeat(starts + sizes, sizes)
+    found: list[np.ndarray] = []
+    small = 32
+    for shift in range(1, small):
+        left = np.flatnonzero((size <= small) & (np.arange(len(block)) + shift < ends))
+        if not len(left):
+            break
+        left = left[(sigs[left] != sigs[left + shift]).sum(axis=1) <= near.distance]
+        found.append(np.stack([nodes[left], nodes[left + shift]], axis=1))
+    _, label = np.unique(block["label"].to_numpy(np.int64), return_inverse=True)
+    side = block["side"].to_numpy()
+    for at, n in zip(starts[sizes > small], sizes[sizes > small], strict=True):
+        root, part, own = label[at : at + n].copy(), sigs[at : at + n], side[at : at + n]
+        between = (own != own[0]).any()
+        for i in range(n - 1):
+            todo = root[i + 1 :] != root[i]
+            if between:
+                todo &= own[i + 1 :] != own[i]
+            todo = np.flatnonzero(todo) + i + 1
+            todo = todo[(part[todo] != part[i]).sum(axis=1) <= near.distance]
+            if len(todo):
+                _, one = np.unique(root[todo], return_index=True)
+                found.append(np.stack([np.full(len(one), nodes[at + i]), nodes[at + todo[one]]], axis=1))
+                root[np.isin(root, root[todo])] = root[i]
+    return pd.DataFrame(np.concatenate(found) if found else np.empty((0, 2), np.int64), columns=["a", "b"])
+
+
+def within(pairs: DataFrame, near: Near) -> DataFrame:
+    """Rows of ``a, b`` whose signatures (``a_sig``, ``b_sig``) are within the distance."""
+    kind = np.uint16 if near.bits <= 16 else np.uint32
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            one, other = (np.frombuffer(b"".join(batch[c]), kind).reshape(len(batch), near.slots) for c in ("a_sig", "b_sig"))
+            yield batch.loc[(one != other).sum(axis=1) <= near.distance, ["a", "b"]]
+
+    return pairs.mapInPandas(run, LINKS)
+
 
+def families(posted: DataFrame, classes: DataFrame, near: Near, scratch: Scratch) -> DataFrame:
+    """``node, label`` for every class that is within the signature distance of another, or connected to it by such.
 
-def shingles_of(docs: DataFrame, wanted: DataFrame, rows: int, near: Near, text: str, key: str) -> DataFrame:
-    """``node, shingles`` of the representatives in ``wanted`` (``doc_id``, ``node``), from their whole texts."""
+    First each member of a bucket meets the bucket's least class: one row a member. What this leaves in several
+    components, in buckets of more than two, is compared within the bucket.
+    """
+    shared = posted.groupBy("key").agg(F.count(F.lit(1)).alias("members"), F.min("node").alias("least"), F.max("node").alias("most")).where("least <> most").drop("most")
+    rows = scratch.cut(posted.join(shared, "key").select(F.col("key").alias("family"), "node", "members", "least"), "shared")
+    sigs = classes.select("node", "sig")
+    side = lambda s: sigs.select(F.col("node").alias(s), F.col("sig").alias(f"{s}_sig"))
+    stars = rows.where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b")).distinct()
+    edges = scratch.cut(within(stars.join(side("a"), "a").join(side("b"), "b"), near), "stars")
+    labels = components(edges, scratch)
+    some = rows.where("members > 2").drop("least").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    unsettled = some.groupBy("family").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("family")
+    blocks = lambda members: F.ceil(members / near.bucket_members).cast("int")
+    left = scratch.cut(some.join(unsettled, "family", "left_semi").join(sigs, "node").withColumn("_n", blocks(F.col("members"))), "buckets")
+    scratch.drop(rows)
+    counted = left.agg(F.count_if(F.col("_n") == 1).alias("small"), F.count_if(F.col("_n") > 1).alias("large")).first()
+    if not counted["small"] and not counted["large"]:
+        return labels
+    how = lambda block: near_in_buckets(block, near)
+    dealt = F.pmod(F.xxhash64("family"), F.lit(max(1, counted["small"] // 20_000))).cast("long")
+    edges = edges.union(left.where("_n = 1").select(*BUCKET, F.lit(0).alias("side"), dealt.alias("_g")).groupBy("_g").applyInPandas(how, LINKS))
+    if counted["large"]:
+        by, many = ["_g", "_i", "_j"], left.where("_n > 1").drop("members")
+        edges = scratch.cut(edges.union(one_by_one(many, near, BUCKET).groupBy(*by).applyInPandas(how, LINKS)), "edges")
+        again = across(many.withColumn("weight", F.lit(1)), components(edges, scratch), blocks, scratch, BUCKET)
+        edges = edges.union(again.groupBy(*by).applyInPandas(how, LINKS))
+    return components(edges, scratch)
+
+
+def shingles_of(docs: DataFrame, wanted: DataFrame, near: Near, text: str, key: str) -> DataFrame:
+    """``node, shingles`` of the representatives in ``wanted`` (``rep``, ``node``), from their whole texts."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -161,8 +245,9 @@ def shingles_of(docs: DataFrame, wanted: DataFrame, rows: int, near: Near, text:
             node = [int(mixed(h).sum(dtype=np.uint64).view(np.int64)) for h in sets]
             yield pd.DataFrame({"node": node, "shingles": [h.tobytes() for h in sets]})
 
-    ids = small_or_shuffled(wanted.select(F.col("doc_id").alias("_id")).distinct(), rows)
-    found = docs.select(F.col(key).cast("long").alias("_id"), F.col(text).alias("_text")).join(ids, "_id", "left_semi")
+    reps = small_or_shuffled(wanted.select(F.col("rep.doc_id").alias("_i"), F.col("rep.text_hash").alias("_h")))
+    found = docs.select(F.col(key).cast("long").alias("_id"), F.col(text).alias("_text"))
+    found = found.join(reps, F.col("_id").eqNullSafe(F.col("_i")) & (F.xxhash64("_text") == F.col("_h")), "left_semi")
     return found.where("_text is not null").mapInPandas(run, "node long, shingles binary")
 
 
@@ -203,10 +288,6 @@ def confirm(block: pd.DataFrame, near: Near) -> pd.DataFrame:
     return pd.DataFrame(links, columns=["a", "b"], dtype="int64")
 
 
-LINKS = "a long, b long"
-MEMBER = ["family", "node", "label", "sig", "shingles"]
-
-
 def confirmed(rows: DataFrame, near: Near) -> DataFrame:
     """Links found in each group of ``_g, _i, _j``."""
     return rows.groupBy("_g", "_i", "_j").applyInPandas(lambda block: confirm(block, near), LINKS)
@@ -228,64 +309,96 @@ def alone(placed: DataFrame, families: int) -> DataFrame:
     return placed.where("_n = 1").select(*MEMBER, F.lit(0).alias("side"), F.pmod(F.xxhash64("family"), groups).cast("long").alias("_g"), F.lit(-1).alias("_i"), F.lit(-1).alias("_j"))
 
 
-def one_by_one(placed: DataFrame, near: Near) -> DataFrame:
-    """Each block of the families of several, with the pivots of its family."""
-    many = placed.where("_n > 1")
-    chosen = many.groupBy("family", F.pmod(F.xxhash64("node", F.lit(1)), F.lit(near.pivots))).agg(F.min("node").alias("node")).select("node")
-    pivots = many.join(chosen, "node", "left_semi").withColumn("_i", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
+def one_by_one(many: DataFrame, near: Near, pick: list[str]) -> DataFrame:
+    """Each block of the families of several (``_n``), with the pivots of its family."""
+    chosen = many.groupBy("family", F.pmod(F.xxhash64("node", F.lit(1)), F.lit(near.pivots))).agg(F.min("node").alias("node")).select("family", "node")
+    pivots = many.join(chosen, ["family", "node"], "left_semi").withColumn("_i", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
     both = many.withColumn("_i", own_block()).unionByName(pivots.where(F.col("_i") != own_block()))
-    return both.select(*MEMBER, F.lit(0).alias("side"), F.col("family").alias("_g"), "_i", F.col("_i").alias("_j"))
+    return both.select(*pick, F.lit(0).alias("side"), F.col("family").alias("_g"), "_i", F.col("_i").alias("_j"))
+
 
+def across(many: DataFrame, labels: DataFrame, blocks: Callable[[Column], Column], scratch: Scratch, pick: list[str]) -> DataFrame:
+    """Pairs of blocks of the families of several that are not one component of ``labels`` (``node``, ``label``).
 
-def across(placed: DataFrame, labels: DataFrame, near: Near, scratch: Scratch) -> DataFrame:
-    """Pairs of blocks of the families of several that are not one component of ``labels`` (``node``, ``label``)."""
-    many = placed.where("_n > 1").drop("label", "_n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    parts = many.groupBy("family", "label").agg(F.sum("n_shingles").alias("_part"))
+    ``blocks`` tells into how many a sum of ``weight`` is dealt.
+    """
+    many = many.drop("label", "_n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    parts = many.groupBy("family", "label").agg(F.sum("weight").alias("_part"))
     cores = parts.groupBy("family").agg(F.max(F.struct("_part", "label")).alias("_core"), F.sum("_part").alias("_all")).where("_all > _core._part")
     rest = F.col("_all") - F.col("_core._part")
-    cores = cores.select("family", F.col("_core.label").alias("_core"), n_blocks(F.col("_core._part"), near).alias("_c"), n_blocks(rest, near).alias("_r"))
+    cores = cores.select("family", F.col("_core.label").alias("_core"), blocks(F.col("_core._part")).alias("_c"), blocks(rest).alias("_r"))
     cores = scratch.cut(cores, "cores")
     # Blocks of the core come first, then those of the rest; a core block meets only the latter.
-    rows, own = many.join(small_or_shuffled(cores, cores.count()), "family"), F.xxhash64("node")
+    rows, own = many.join(small_or_shuffled(cores), "family"), F.xxhash64("node")
     in_core = F.col("label") == F.col("_core")
     rows = rows.withColumn("side", F.when(in_core, F.pmod(own, F.col("_c"))).otherwise(F.col("_c") + F.pmod(own, F.col("_r"))).cast("int"))
     rows = rows.withColumn("_o", F.explode(F.sequence(F.when(in_core, F.col("_c")).otherwise(F.lit(0)), F.col("_c") + F.col("_r") - 1)))
-    return rows.select(*MEMBER, "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
+    return rows.select(*pick, "side", F.col("family").alias("_g"), F.least("side", "_o").alias("_i"), F.greatest("side", "_o").alias("_j"))
 
 
 def links(classes: DataFrame, docs: DataFrame, near: Near, scratch: Scratch, text: str, key: str) -> DataFrame:
-    """Confirmed links that connect the classes (``node``, ``doc_id``, ``n_shingles``, ``sig``)."""
+    """Confirmed links that connect the classes (``node``, ``rep``, ``n_shingles``, ``sig``)."""
     posted = scratch.cut(postings(classes, near), "postings")
-    members = families(posted, scratch).withColumnRenamed("label", "family")
+    members = families(posted, classes, near, scratch).withColumnRenamed("label", "family")
     members = scratch.cut(members.join(classes, "node"), "families")
-    sets = shingles_of(docs, members, members.count(), near, text, key)
+    scratch.drop(posted)
+    sets = shingles_of(docs, members, near, text, key)
     sizes = scratch.cut(members.groupBy("family").agg(n_blocks(F.sum("n_shingles"), near).alias("_n")), "sizes")
     n = sizes.count()
-    placed = members.join(small_or_shuffled(sizes, n), "family").join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node"))
-    placed = scratch.cut(placed, "sets")
+    placed = members.join(small_or_shuffled(sizes), "family").join(sets.dropDuplicates(["node"]), "node").withColumn("label", F.col("node"))
+    placed = scratch.cut(placed.withColumnRenamed("n_shingles", "weight"), "sets")
     found = confirmed(alone(placed, n), near)
-    if sizes.where("_n > 1").isEmpty():
-        return found
-    first = scratch.cut(confirmed(one_by_one(placed, near), near), "first-links")
-    return found.union(first).union(confirmed(across(placed, components(first, scratch), near, scratch), near))
+    if not sizes.where("_n > 1").isEmpty():
+        many = placed.where("_n > 1")
+        first = scratch.cut(confirmed(one_by_one(many, near, MEMBER), near), "first-links")
+        again = across(many, components(first, scratch), lambda weight: n_blocks(weight, near), scratch, MEMBER)
+        found = found.union(first).union(confirmed(again, near))
+    found = scratch.cut(found, "links")
+    scratch.drop(placed, members, sizes)
+    return found
+
+
+KEY = ("doc_id", "text_hash")
 
 
 def near_duplicates(docs: DataFrame, near: Near = Near(), text: str = "text", key: str = "doc_id") -> DataFrame:
-    """``doc_id, n_shingles, component_id, kept`` for every row of ``docs``.
+    """``doc_id, n_shingles, component_id, kept, text_hash, chosen`` for every row of ``docs``.
 
-    ``component_id`` is the smallest id that links reach, ``kept`` is true for that row.
+    ``component_id`` is the smallest id that links reach, ``kept`` is true for rows of that id. ``text_hash`` is
+    ``xxhash64`` of the text; ``chosen`` rows of a component have one id and one hash.
     """
     scratch = Scratch(docs.sparkSession, "neardup")
     drawn = scratch.cut(sketch(docs, near, text, key), "sketch")
-    classes = drawn.where("n_shingles > 0").groupBy("node", "check").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles"), F.first("sig").alias("sig"))
-    classes = scratch.cut(classes.where("doc_id is not null"), "classes")
-    found = scratch.cut(links(classes, docs, near, scratch, text, key), "links")
-    joined = components(found, scratch)
-    named = joined.join(classes.select("node", "doc_id"), "node")
-    least = named.groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    linked = named.join(least, "label").select("node", F.col("component_id").alias("_linked"))
-    labels = classes.select("node", "check", F.col("doc_id").alias("_own")).join(linked, "node", "left")
-    out = drawn.select("doc_id", "n_shingles", "node", "check").join(labels, ["node", "check"], "left")
-    component = F.when(F.col("n_shingles") > 0, F.coalesce("_linked", "_own")).otherwise(F.col("doc_id"))
-    out = out.select("doc_id", "n_shingles", component.alias("component_id"))
-    return out.withColumn("kept", F.when(F.col("doc_id").isNull(), F.col("component_id").isNull()).otherwise(F.col("component_id") == F.col("doc_id")))
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), *KEY)).alias("rep")
+    classes = drawn.where("n_shingles > 0").groupBy("node", "check").agg(least, F.first("n_shingles").alias("n_shingles"), F.first("sig").alias("sig"))
+    classes = scratch.cut(classes, "classes")
+    found = links(classes, docs, near, scratch, text, key)
+    named = components(found, scratch).join(classes.select("node", "rep"), "node")
+    linked = named.join(named.groupBy("label").agg(F.min("rep").alias("_linked")), "label").select("node", "_linked")
+    labels = classes.select("node", "check", F.col("rep").alias("_own")).join(linked, "node", "left")
+    out = drawn.select("doc_id", "text_hash", "n_shingles", "node", "check").join(labels.select("node", "check", F.coalesce("_linked", "_own").alias("_rep")), ["node", "check"], "left")
+    some = F.col("n_shingles") > 0
+    out = out.select(*KEY, "n_shingles", F.when(some, F.col("_rep.doc_id")).otherwise(F.col("doc_id")).alias("component_id"), "_rep")
+    chosen = ~some | (F.col("doc_id").eqNullSafe(F.col("_rep.doc_id")) & (F.col("text_hash") == F.col("_rep.text_hash")))
+    return out.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"), "text_hash", chosen.alias("chosen"))
+
+
+def deduplicated(docs: DataFrame, near: Near = Near(), text: str = "text", key: str = "doc_id") -> DataFrame:
+    """``docs`` with one row of each component, and all rows without words; columns as they are.
+
+    Rows are told by id and text hash, null ids too, so a row goes only if its own text links. Of rows of one id and
+    text one stays: only those, if any, are brought together. Texts stay where they are if the rejected keys are few.
+    """
+    scratch = Scratch(docs.sparkSession, "dedup")
+    found = scratch.cut(near_duplicates(docs, near, text, key), "found")
+    rejected = scratch.cut(found.where("not chosen").select(*(F.col(c).alias(f"_{c}") for c in KEY)).distinct(), "rejected")
+    again = scratch.cut(found.where("chosen and n_shingles > 0").groupBy(*KEY).count().where("count > 1").select(*(F.col(c).alias(f"_{c}") for c in KEY)), "repeated")
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")
+    rows = docs.select(whole, F.col(f"`{key}`").cast("long").alias("_key"), F.xxhash64(F.col(f"`{text}`")).alias("_text"))
+    same = F.col("_key").eqNullSafe(F.col("_doc_id")) & (F.col("_text") == F.col("_text_hash"))
+    rows = rows.join(small_or_shuffled(rejected), same, "left_anti")
+    if not again.isEmpty():
+        again = small_or_shuffled(again)
+        once = rows.join(again, same, "left_semi").groupBy("_key", "_text").agg(F.first("row").alias("row"))
+        rows = rows.join(again, same, "left_anti").select("row").unionByName(once.select("row"))
+    return rows.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))
