@@ -6,14 +6,17 @@ number of buckets, one multinomial is fitted to the trusted documents and one to
 the whole corpus, and a document's score is the mean over its n-grams of the log
 ratio of the two. Instead of resampling, every document meets one threshold.
 
-Only DataFrame functions are used. Texts are never shuffled: fitting explodes
-bucket numbers into a partial aggregate, scoring is local to a row. What the
-driver holds is one number a bucket and one a bin of scores, whatever the input.
+Only DataFrame functions are used. Texts are never shuffled to be judged: fitting
+explodes bucket numbers into a partial aggregate (if the trusted keys are too many to
+broadcast, a document's bucket numbers move, two bytes each), scoring is local to a
+row. What the driver holds is one number a bucket and one a bin of scores, whatever
+the input.
 
 Cases: a null or empty text has no words, all counts 0, score null, and fails the
 base rule. Repeated rows are judged alike. Without trusted documents, or for an
-empty table, all ratios are 0 and only the base rule rejects. Columns of the input
-other than the id and the text do not matter.
+empty table, all ratios are 0 and only the base rule rejects. Very long texts are
+counted whole, in one row. A score that ties with the threshold is kept. Columns of the
+input other than the id and the text do not matter, whatever their names.
 """
 
 from __future__ import annotations
@@ -90,10 +93,15 @@ def fit(docs: DataFrame, trusted: DataFrame, rules: Rules, text: str = "text", k
     """Log ratio of trusted to raw probability, by bucket. ``trusted`` has the keys of the trusted documents."""
     from math import log
 
-    ids = trusted.where(F.col(key).isNotNull()).select(F.col(key).alias("_id")).distinct().withColumn("_good", F.lit(1))
-    marked = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")).join(small_or_shuffled(ids, ids.count()), "_id", "left")
-    grams = marked.select(F.coalesce("_good", F.lit(0)).alias("_good"), F.explode(let(words(F.col("_text")), lambda ws: gram_buckets(ws, rules.buckets))).alias("_b"))
+    scratch = Scratch(docs.sparkSession, "quality-fit")
+    ids = scratch.cut(trusted.where(F.col(key).isNotNull()).select(F.col(key).alias("_id")).distinct().withColumn("_good", F.lit(1)), "trusted")
+    # Beyond the bound of a broadcast the rows of the join hold two small numbers a word, not the texts.
+    number = "smallint" if rules.buckets <= 1 << 15 else "int"
+    found = docs.select(F.col(key).alias("_id"), let(words(F.col(text)), lambda ws: gram_buckets(ws, rules.buckets)).cast(f"array<{number}>").alias("_bs"))
+    marked = found.join(small_or_shuffled(ids), "_id", "left")
+    grams = marked.select(F.coalesce("_good", F.lit(0)).alias("_good"), F.explode("_bs").alias("_b"))
     counts = {r["_b"]: (r["raw"], r["good"]) for r in grams.groupBy("_b").agg(F.count(F.lit(1)).alias("raw"), F.sum("_good").alias("good")).collect()}
+    scratch.drop(ids)
     raw, good = (sum(c[i] for c in counts.values()) for i in (0, 1))
     if not good:
         return [0.0] * rules.buckets
@@ -111,7 +119,7 @@ def score(docs: DataFrame, ratios: list[float], rules: Rules, text: str = "text"
         return F.struct(*(c.alias(n) for n, c in base_counts(F.col("_text"), ws).items()), mean.alias("llr"))
 
     rows = docs.select(F.col(key).alias(key), F.col(text).alias("_text"))
-    return rows.select(key, let(words(F.col("_text")), judged).alias("_j")).select(key, "_j.*")
+    return rows.select(key, F.xxhash64("_text").alias("text_hash"), let(words(F.col("_text")), judged).alias("_j")).select(key, "_j.*", "text_hash")
 
 
 def threshold(scored: DataFrame, trusted: DataFrame, rules: Rules, key: str = "doc_id") -> float:
@@ -127,7 +135,10 @@ def threshold(scored: DataFrame, trusted: DataFrame, rules: Rules, key: str = "d
 
 
 def judge(docs: DataFrame, trusted: DataFrame, rules: Rules = Rules(), text: str = "text", key: str = "doc_id") -> DataFrame:
-    """Counts, score and verdict of every row of ``docs``: ``kept`` is false if the base rule fails or the score is under the threshold."""
+    """Counts, score and verdict of every row of ``docs``: ``kept`` is false if the base rule fails or the score is under the threshold.
+
+    ``text_hash`` is ``xxhash64`` of the text, of which alone the verdict is a function.
+    """
     scratch = Scratch(docs.sparkSession, "quality")
     scored = scratch.cut(score(docs, fit(docs, trusted, rules, text, key), rules, text, key), "scored")
     least = threshold(scored, trusted, rules, key)
@@ -136,4 +147,15 @@ def judge(docs: DataFrame, trusted: DataFrame, rules: Rules = Rules(), text: str
     return out.withColumn("kept", ~F.col("base_failed") & (F.coalesce("llr", F.lit(0.0)) >= F.lit(least)))
 
 
-__all__ = ["SPACE", "Rules", "base_counts", "fit", "gram_buckets", "judge", "repeat_words", "score", "threshold"]
+def accepted(docs: DataFrame, trusted: DataFrame, rules: Rules = Rules(), text: str = "text", key: str = "doc_id") -> DataFrame:
+    """The rows of ``docs`` that are kept, with their columns. A row is told by its key and text hash, null keys too."""
+    judged = judge(docs, trusted, rules, text, key)
+    scratch = Scratch(docs.sparkSession, "accepted")
+    rejected = scratch.cut(judged.where(~F.col("kept")).select(F.col(key).alias("_key"), F.col("text_hash").alias("_hash")).distinct(), "rejected")
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")
+    rows = docs.select(whole, F.col(f"`{key}`").alias("_id"), F.xxhash64(F.col(f"`{text}`")).alias("_text"))
+    rows = rows.join(small_or_shuffled(rejected), F.col("_id").eqNullSafe(F.col("_key")) & (F.col("_text") == F.col("_hash")), "left_anti")
+    return rows.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))
+
+
+__all__ = ["SPACE", "Rules", "accepted", "base_counts", "fit", "gram_buckets", "judge", "repeat_words", "score", "threshold"]
