@@ -4,19 +4,25 @@ Layout as in the public WARC-Zstandard note: a file may start with a skippable f
 (magic 0x184D2A5D) that holds a dictionary, itself compressed or not; every record
 after it is one frame made with that dictionary.
 
-Writing: records are dealt by a hash of their id and ordered by it, so that a task
-that runs again writes the same file. Each task fills archives up to a bounded size,
-trains the dictionary of an archive on its own first records, writes under a hidden
-name and renames. Reading: an archive is one task's work at most; frames are decoded
-one at a time, so memory is bounded by an archive and a record. Every fault becomes a
-row with ``error``; a damaged frame ends its archive, a wrong header or length does not.
+Writing: a task writes the rows of its partition in the order of their places in the
+table, so that a task that runs again writes the same files. It fills archives up to a
+bounded size, trains the dictionary of an archive on its own first records, writes
+under a hidden name and renames. Payloads move only if the revisits are too many to
+broadcast. Reading: an archive is one task's work at most; frames are decoded one at a
+time, so memory is bounded by an archive and a record. Every fault becomes a row with
+``error``; a damaged frame ends its archive, a wrong header or length does not.
+:func:`round_trip` fails on any.
 
 Revisits: of records with equal payloads of at least ``revisit_bytes`` the one with
 the largest id is the response; the others carry only HTTP headers and refer to it.
-
-Cases: a null payload is empty; a null id is written as ``null`` and read as null.
-Rows that repeat are written each. Empty tables write no archive and read as an empty
-table. Payloads may be of any length below 2 GB.
+A revisit is a matter of the row: rows of one id and different payloads each refer to
+the response of their own payload.
+
+Cases: a null payload is empty; a null id is written as ``null`` and read as null, and
+is never a revisit. Rows that repeat are written each; those of the largest id are all
+responses. Ids that tie with the largest of their payload are responses. Empty tables
+write no archive and read as an empty table. Payloads may be of any length below 2 GB.
+Other columns of the input are passed by, whatever their names.
 """
 
 from __future__ import annotations
@@ -32,7 +38,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, small_or_shuffled
 
 DICTIONARY_MAGIC = 0x184D2A5D
 FRAME_MAGIC = 0xFD2FB528
@@ -189,17 +195,16 @@ def parse(content: bytes) -> dict:
 
 def write_archives(pages: DataFrame, folder: str, payload: str = "html", key: str = "page_id", url: str = "url", archive_bytes: int = 32 << 20, revisit_bytes: int = 1000) -> None:
     """Write a record for each row below ``folder`` (any URI that pyarrow can open)."""
-    rows = pages.select(F.col(key).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), F.coalesce(F.encode(F.col(payload), "UTF-8"), F.lit(b"")).alias("payload"))
-    digests = rows.select("page_id", F.sha1("payload").alias("digest"), F.octet_length("payload").alias("n")).where(F.col("n") >= revisit_bytes)
-    first = digests.groupBy("digest").agg(F.max("page_id").alias("response"), F.count(F.lit(1)).alias("copies")).where("copies > 1").select("digest", "response")
-    revisits = digests.select("page_id", "digest").join(first, "digest").where("page_id < response").groupBy("page_id").agg(F.max("response").alias("refers_to"), F.max("digest").alias("_of"))
-    joined = rows.join(revisits, "page_id", "left")
-    # A page whose id stands twice refers only from the row with that payload.
-    refers = F.when(F.sha1("payload") == F.col("_of"), F.col("refers_to"))
-    made = joined.select("page_id", "url", "payload", refers.alias("refers_to"))
-    parts = max(1, int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    # A total order also among rows of one id, so that a task that runs again cuts its archives at the same records.
-    dealt = made.repartition(parts, "page_id").sortWithinPartitions("page_id", "url", "refers_to", F.sha1("payload")).withColumn("_part", F.spark_partition_id())
+    body = F.coalesce(F.encode(F.col(payload), "UTF-8"), F.lit(b""))
+    rows = pages.select(F.monotonically_increasing_id().alias("_at"), F.col(key).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), body.alias("payload"))
+    rows = rows.withColumn("_digest", F.sha1("payload"))
+    digests = rows.where(F.octet_length("payload") >= revisit_bytes).select("page_id", "_digest")
+    latest = digests.groupBy("_digest").agg(F.max("page_id").alias("refers_to"), F.min("page_id").alias("_least")).where("_least < refers_to").drop("_least")
+    revisits = digests.distinct().join(latest, "_digest").where("page_id < refers_to")
+    revisits = Scratch(pages.sparkSession, "warc-revisits").cut(revisits, "revisits")
+    # (page_id, digest) names a payload's revisit, so that a row can neither match twice nor take another's response.
+    made = rows.join(small_or_shuffled(revisits), ["page_id", "_digest"], "left").select("_at", "page_id", "url", "payload", "refers_to")
+    dealt = made.sortWithinPartitions("_at").drop("_at").withColumn("_part", F.spark_partition_id())
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyarrow import fs
@@ -213,6 +218,8 @@ def write_archives(pages: DataFrame, folder: str, payload: str = "html", key: st
             hidden = f"{where}/_{part:06d}-{done:05d}-{uuid.uuid4().hex}"
             with store.open_output_stream(hidden) as out:
                 out.write(archive(held))
+            if store.get_file_info(name).type != fs.FileType.NotFound:
+                store.delete_file(name)  # of an attempt that was lost after it wrote the same
             store.move(hidden, name)
             told = {"archive": name, "records": len(held)}
             held, size, done = [], 0, done + 1
@@ -269,7 +276,14 @@ def read_archives(spark: SparkSession, folder: str, payloads: bool = True) -> Da
 
 
 def round_trip(pages: DataFrame, payload: str = "html", key: str = "page_id", url: str = "url") -> DataFrame:
-    """Write the pages as archives below the shared folder and read their records back."""
+    """Write the pages as archives below the shared folder and read their records back. Reading fails on a damaged record."""
     folder = Scratch(pages.sparkSession, "warc").path("archives")
     write_archives(pages, folder, payload, key, url)
-    return read_archives(pages.sparkSession, folder, payloads=False)
+    return sound(read_archives(pages.sparkSession, folder, payloads=False))
+
+
+def sound(records: DataFrame) -> DataFrame:
+    """``records`` as they are; a row with an ``error`` fails the job when it is read."""
+    fault = F.raise_error(F.concat(F.lit("damaged archive: "), F.col("error"))).cast("string")
+    checked = F.when(F.col("error").isNotNull(), fault).otherwise(F.col("record_type"))
+    return records.withColumn("record_type", checked)
