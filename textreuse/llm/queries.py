@@ -109,11 +109,11 @@ from x join b on x.source is not distinct from b.source
 """
 
 TOP_K_SQL = """
-with v as (select vec_id, list_transform(embedding, lambda x: floor(256 * x::double)) as v from embeddings
-  where embedding is not null and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0),
-s as (select q.vec_id as query_id, c.vec_id, list_inner_product(q.v, c.v)::bigint as score
-  from v q join v c on q.vec_id % 50 = 0 and c.vec_id <> q.vec_id and len(q.v) = len(c.v)),
-r as (select *, row_number() over (partition by query_id order by score desc, vec_id) as rank from s)
+with v as (select vec_id, row_number() over () as n, list_transform(embedding, lambda x: floor(256 * x::double)) as v from embeddings
+  where vec_id is not null and embedding is not null and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0),
+s as (select q.vec_id as query_id, q.n, c.vec_id, list_inner_product(q.v, c.v)::bigint as score
+  from v q join v c on q.vec_id % 50 = 0 and c.n <> q.n and len(q.v) = len(c.v)),
+r as (select *, row_number() over (partition by n order by score desc, vec_id) as rank from s)
 select query_id, rank::int as rank, vec_id, score from r where rank <= 5
 """
 
