@@ -3,17 +3,21 @@
 Base: three patterns over the whole text, leftmost and non-overlapping for each kind.
 Method: source and configuration syntax is read as name-literal pairs (``name = "x"``,
 ``"name": "x"``, ``name := x``, ``name => x``, typed declarations, attributes). The
-right side may join literals and names; constants are propagated through names,
-whatever their order, and each literal is scored by the most sensitive name that it
-reaches: words of the name, length, entropy and mix of the literal, with placeholders
-left out. Literals that score enough become spans of kind ``literal``, unless base
+right side may join literals and names; a name stands for its last assignment before
+that place, or else its first after it. Constants are propagated through names to any
+depth, and each literal is scored by the most sensitive name that it reaches: words of
+the name, length, entropy and mix of what the name stands for, with placeholders left
+out. What a name stands for is never spelt out: it is summed up (:class:`Value`), so
+that a chain of any length, or one that doubles, takes linear time. Names that need
+themselves stand for what is known outside the loop. Literals that score enough become spans of kind ``literal``, unless base
 matches contain them whole: a base value ends at the first symbol outside its set, and
 the literal around it goes on. Redaction replaces the union of values and literals.
 
 Cases: a null or empty text has no spans. Repeated rows give equal rows. Very long
-texts are read whole in linear time: names start only at a token's start, so that no
-pattern restarts inside a long token. Other columns are passed by. An empty table
-gives an empty result.
+texts are read whole in linear time: names start only at a token's start, and neighbours
+in a pattern share no character, so that nothing is read again and again. Spans that tie
+at a start stand in the order of ``KINDS``. Other columns are passed by, whatever their
+names. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -35,13 +39,15 @@ HEX = re.compile(r"[0-9a-f]+")
 #: Marks bytes of hex digits, so that a run of 24 is found by one search.
 _HEX_RUN = bytes(120 if chr(b) in "0123456789abcdef" else 32 for b in range(256))
 
-_PAIR = re.compile(r"""(?<![A-Za-z0-9_.$-])(["']?)([A-Za-z_$][A-Za-z0-9_.$-]*)\1[ \t]*(?::[ \t]*[A-Za-z_][\w\[\], .]*?[ \t]*=(?![=>])|:=|=>|=(?![=>])|:(?!//|:))[ \t]*""")
+_PAIR = re.compile(r"""(?<![A-Za-z0-9_.$-])(["']?)([A-Za-z_$][A-Za-z0-9_.$-]*+)\1[ \t]*+(?::[ \t]*+[A-Za-z_][\w\[\],.]*+(?:[ \t]++[\w\[\],.]++)*+[ \t]*+=(?![=>])|:=|=>|=(?![=>])|:(?!//|:))[ \t]*+""")
 _QUOTED = re.compile(r'''"""(.*?)"""|\'\'\'(.*?)\'\'\'|"((?:[^"\\\n]|\\.)*)"|'((?:[^'\\\n]|\\.)*)'|`([^`]*)`''', re.DOTALL)
 _NAME = re.compile(r"\$?\{?([A-Za-z_][A-Za-z0-9_.]*)\}?")
 _BARE = re.compile(r"""[^\s"'`,;(){}\[\]<>]+""")
-_JOIN = re.compile(r"[ \t]*(?:\+|\.\.?|&|\\?\n[ \t]*\+)?[ \t]*(?=[\"'`$A-Za-z_])")
+_JOIN = re.compile(r"[ \t]*+(?:\+|\.\.?|&|\\?\n[ \t]*+\+)[ \t]*+(?=[\"'`$A-Za-z_])")
 _PART = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
-_PLACEHOLDER = re.compile(r"example|sample|changeme|change_me|placeholder|your|dummy|redacted|xxxx|\*\*\*|<|\$\{|%\(|^(?:true|false|null|none|nil|undefined)$|^(.)\1*$", re.IGNORECASE)
+_WORDS = r"example|sample|changeme|change_me|placeholder|your|dummy|redacted|xxxx|\*\*\*|<|\$\{|%\("
+_PLACEHOLDER_WORD = re.compile(_WORDS, re.IGNORECASE)
+_PLACEHOLDER = re.compile(_WORDS + r"|^(?:true|false|null|none|nil|undefined)$|^(.)\1*$", re.IGNORECASE)
 
 STRONG = frozenset({"password", "passwd", "pwd", "passphrase", "secret", "token", "apikey", "credential", "credentials", "bearer", "privatekey"})
 WEAK = frozenset({"key", "auth", "salt", "signature", "private", "session", "jwt", "dsn", "pass", "cert", "pin"})
@@ -69,17 +75,49 @@ def name_weight(name: str) -> float:
     return 0.6 if WEAK & set(parts) else 0.0
 
 
-def literal_weight(value: str, quoted: bool) -> float:
+#: No shorter than any word of the placeholder pattern, so that one that spans two parts stands whole in their ends.
+_REACH = 16
+
+
+class Value:
+    """What is known of a text made of parts: length, counts of its characters, both ends, and whether it has a placeholder."""
+
+    __slots__ = ("counts", "first", "last", "length", "placeholder")
+
+    def __init__(self, text: str = ""):
+        self.length, self.counts = len(text), Counter(text)
+        self.first, self.last = text[:_REACH], text[-_REACH:]
+        self.placeholder = bool(_PLACEHOLDER.search(text))
+
+    def __add__(self, other: Value) -> Value:
+        if not self.length or not other.length:
+            return self if self.length else other
+        out = Value.__new__(Value)
+        out.length, out.counts = self.length + other.length, self.counts + other.counts
+        if out.length > 1 << 60:  # only doublings get there; the shares of the characters stay, the numbers stay short
+            out.counts = Counter({c: max(1, n >> 30) for c, n in out.counts.items()})
+            out.length = sum(out.counts.values())
+        out.first = (self.first + other.first)[:_REACH] if self.length < _REACH else self.first
+        out.last = (self.last + other.last)[-_REACH:] if other.length < _REACH else other.last
+        if out.length <= _REACH:
+            out.placeholder = bool(_PLACEHOLDER.search(out.first))
+        else:  # a part that is one word, or one character again and again, need not be so as a part of more
+            inner = _PLACEHOLDER_WORD.search
+            out.placeholder = len(out.counts) == 1 or bool(inner(self.last + other.first)) or any(v.placeholder and (v.length > _REACH and len(v.counts) > 1 or bool(inner(v.first))) for v in (self, other))
+        return out
+
+
+def literal_weight(value: Value, quoted: bool) -> float:
     """How much a literal looks like a secret, 0 to 1."""
-    if len(value) < 8 or _PLACEHOLDER.search(value):
+    if value.length < 8 or value.placeholder:
         return 0.0
-    kinds = sum(any(f(c) for c in value) for f in (str.islower, str.isupper, str.isdigit)) + any(not c.isalnum() for c in value)
-    counts = Counter(value)
-    entropy = -sum(n / len(value) * log2(n / len(value)) for n in counts.values())
-    weight = min(1.0, entropy / 4) * min(1.0, len(value) / 12) * (0.4 + 0.2 * kinds)
-    if any(c.isspace() for c in value):
+    chars, length = value.counts, value.length
+    kinds = sum(any(f(c) for c in chars) for f in (str.islower, str.isupper, str.isdigit)) + any(not c.isalnum() for c in chars)
+    entropy = -sum(n / length * log2(n / length) for n in chars.values())
+    weight = min(1.0, entropy / 4) * min(1.0, length / 12) * (0.4 + 0.2 * kinds)
+    if any(c.isspace() for c in chars):
         weight *= 0.3
-    return min(1.0, weight) if quoted or (kinds >= 2 and any(c.isdigit() for c in value)) else 0.0
+    return min(1.0, weight) if quoted or (kinds >= 2 and any(c.isdigit() for c in chars)) else 0.0
 
 
 def pairs(text: str) -> list[tuple[str, list[tuple[str, object]]]]:
@@ -107,7 +145,7 @@ def pairs(text: str) -> list[tuple[str, list[tuple[str, object]]]]:
             else:
                 break
             j = _JOIN.match(text, at)
-            if not j or j.end() == at or not re.search(r"[+.&]", j[0]):
+            if not j:
                 break
             at = j.end()
         closed = max(closed, at)
@@ -116,45 +154,82 @@ def pairs(text: str) -> list[tuple[str, list[tuple[str, object]]]]:
     return out
 
 
+def resolved(found: list[tuple[str, list]]) -> list[list[int]]:
+    """For each assignment those that its right side names: the last before it, or else the first after it."""
+    first: dict[str, int] = {}
+    for k, (name, _) in enumerate(found):
+        first.setdefault(name, k)
+    last: dict[str, int] = {}
+    out = []
+    for k, (name, terms) in enumerate(found):
+        out.append([last.get(what, first.get(what, -1)) if kind == "of" else -1 for kind, what in terms])
+        last[name] = k
+    return out
+
+
+def values(text: str, found: list[tuple[str, list]], uses: list[list[int]], wanted: list[int]) -> dict[int, Value]:
+    """What the ``wanted`` assignments and all that they need stand for; depth first without recursion, loops cut where they close."""
+    known: dict[int, Value] = {}
+    open_: set[int] = set()
+    for start in wanted:
+        todo = [start]
+        while todo:
+            k = todo[-1]
+            if k in known:
+                todo.pop()
+                continue
+            need = [] if k in open_ else [j for j in uses[k] if j >= 0 and j not in known and j not in open_]
+            open_.add(k)
+            if need:
+                todo += need
+                continue
+            whole = Value()
+            for (kind, what), j in zip(found[k][1], uses[k], strict=True):
+                if kind == "is" and what[2]:
+                    whole = whole + Value(text[what[0] : what[1]])
+                elif j in known:
+                    whole = whole + known[j]
+            known[k] = whole
+            todo.pop()
+    return known
+
+
 def literal_spans(text: str) -> list[tuple[int, int, str, int]]:
     """Literals that reach a sensitive name, directly or through constants."""
     if ":" not in text and "=" not in text:
         return []
-    reaches: dict[str, float] = {}
     found = pairs(text)
-    uses: dict[str, set[str]] = {}
-    for name, terms in found:
-        reaches[name] = max(reaches.get(name, 0.0), name_weight(name))
-        for kind, what in terms:
-            if kind == "of":
-                uses.setdefault(name, set()).add(what)
-    terms_of = dict(reversed(found))  # a name's first assignment
-    known: dict[str, str] = {}
-
-    def value(name: str, depth: int = 0) -> str:
-        """What a name stands for, its literals joined through other names; nesting and length are bounded, as loops may be."""
-        if name not in known:
-            known[name] = ""
-            parts = [text[what[0] : what[1]] if kind == "is" and what[2] else value(what, depth + 1) if kind == "of" and what in terms_of and depth < 16 else "" for kind, what in terms_of[name]]
-            known[name] = "".join(parts)[:4096]
-        return known[name]
-
-    carried = {name: value(name) for name in reaches}
-    todo = [n for n, w in reaches.items() if w]
-    while todo:  # the weight of a name flows to the names that it is made of, with its value; weights only grow, so this ends
-        name = todo.pop()
-        for other in uses.get(name, ()):
-            if other in reaches and reaches[other] < reaches[name]:
-                reaches[other] = reaches[name]
-                carried[other] = max(carried[other], carried[name], key=len)
-                todo.append(other)
+    own = [name_weight(name) for name, _ in found]
+    sensitive = [k for k, w in enumerate(own) if w]
+    if not sensitive:
+        return []
+    uses = resolved(found)
+    known = values(text, found, uses, sensitive)
+    names = {name for name, _ in found}
+
+    def flow(start: list[tuple[float, int]]) -> dict[int, float]:
+        """The largest weight that each assignment is used with: the heaviest go first, so each is reached once."""
+        best: dict[int, float] = {}
+        for weight, k in sorted(start, reverse=True):
+            todo = [k]
+            while todo:
+                k = todo.pop()
+                if k not in best:
+                    best[k] = weight
+                    todo += [j for j in uses[k] if j >= 0 and j not in best]
+        return best
+
+    reach = flow([(own[k], k) for k in sensitive])
+    whole = flow([(own[k] * literal_weight(known[k], True), k) for k in sensitive])
     spans = set()
-    for name, terms in found:
-        for kind, what in terms:
-            if kind == "is" and reaches[name]:
+    for k, w in reach.items():
+        for kind, what in found[k][1]:
+            if kind == "is":
                 a, b, quoted = what
-                whole = carried[name] if quoted and text[a:b] in carried[name] else text[a:b]
-                if b - a >= 4 and (quoted or text[a:b] not in reaches) and reaches[name] * literal_weight(whole, quoted) >= LEAST_SCORE:
+                if b - a < 4 or not quoted and text[a:b] in names:
+                    continue
+                score = w * literal_weight(Value(text[a:b]), quoted)
+                if max(score, whole[k] if quoted else 0.0) >= LEAST_SCORE:
                     spans.add((a, b, "literal", a))
     return sorted(spans)
 
