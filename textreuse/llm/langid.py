@@ -2,19 +2,23 @@
 
 Features are TF-IDF weights of hashed character 1- to 3-grams of the whole,
 lower-cased text, letters kept and everything else one space. Document frequencies
-are counted over all documents that may be learned from. Weights are trained with
+are counted over all documents that may be learned from: those with a language. Weights are trained with
 the follow-the-regularised-leader (proximal) rule and elastic-net penalties on a
 bounded sample, and a temperature is then fitted on a part of the sample that training
 did not see.
 
-Bounds: the sample has ``fit_rows`` documents, the smallest by a hash of their id; the
-driver holds their sparse features and a ``features`` x languages matrix. Everything
+Bounds: the sample has ``fit_rows`` documents, or one of each language if these are
+more. Every language has an equal quota of rows, the smallest by a hash of id and text,
+so a rare language is learned too; those that have fewer leave the rest to the others.
+The driver holds their sparse features and a ``features`` x languages matrix. Everything
 else is a map over all rows; partial frequencies are summed by feature.
 
 Cases: texts that are null or have no letters are ``und`` with score 0. Rows without a
 language are not learned from, but predicted. With nothing to learn from, everything
-is ``und``. Repeated rows are predicted alike. Very long texts are read whole. An empty
-table gives an empty result.
+is ``und``. Repeated rows are predicted alike, and count once each in the sample's
+quota. Very long texts are read whole. Of languages that tie the first by name is
+predicted. An empty table gives an empty result. Other columns are passed by, whatever
+their names.
 """
 
 from __future__ import annotations
@@ -25,7 +29,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch
@@ -168,22 +172,37 @@ def document_frequencies(docs: DataFrame, features: int, text: str) -> tuple[int
     return int(out[-1]), out[:-1]
 
 
+def quotas(counts: dict[str, int], rows: int) -> dict[str, int]:
+    """Rows of each language in the sample: equal shares, what one language lacks goes to the others, at least one each."""
+    out, left = {}, rows
+    for k, lang in enumerate(sorted(counts, key=lambda x: (counts[x], x))):
+        out[lang] = max(1, min(counts[lang], left // (len(counts) - k)))
+        left = max(0, left - out[lang])
+    return out
+
+
 def learn(docs: DataFrame, fit: Fit = Fit(), text: str = "text", lang: str = "lang", key: str = "doc_id") -> Model:
     """A model from the rows of ``docs`` that have a language."""
-    total, df = document_frequencies(docs, fit.features, text)
+    labelled = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text"), F.col(lang).cast("string").alias("_lang")).where("_lang is not null and _text is not null")
+    total, df = document_frequencies(labelled, fit.features, "_text")
     idf = np.log((1 + total) / (1 + df)) + 1
-    labelled = docs.where(F.col(lang).isNotNull() & F.col(text).isNotNull())
-    chosen = labelled.select(F.col(key).alias("_id")).distinct().orderBy(F.xxhash64("_id"), "_id").limit(fit.fit_rows)
-    sample = labelled.select(F.col(key).alias("_id"), F.col(text).alias("_text"), F.col(lang).alias("_lang")).join(F.broadcast(chosen), "_id", "left_semi")
+    counts = {r["_lang"]: r["count"] for r in labelled.groupBy("_lang").count().collect()}  # a row a language
+    wanted = quotas(counts, fit.fit_rows)
+    # A hash below a share of its range leaves about twice the quota and some, of which the smallest are taken.
+    limits = labelled.sparkSession.createDataFrame([(x, n, min(1.0, (2 * n + 50) / counts[x])) for x, n in wanted.items()], "_lang string, _quota int, _share double")
+    place = F.xxhash64("_id", "_text")
+    near = labelled.withColumn("_place", place).join(F.broadcast(limits), "_lang").where((F.shiftrightunsigned("_place", 11) / F.lit(float(1 << 53))) < F.col("_share"))
+    first = Window.partitionBy("_lang").orderBy("_place", "_id")
+    sample = near.withColumn("_rank", F.row_number().over(first)).where(F.col("_rank") <= F.col("_quota"))
     features = fit.features
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            found = [(i, x, tf(t, features)) for i, t, x in zip(batch["_id"], batch["_text"], batch["_lang"], strict=True)]
-            yield pd.DataFrame([(i, x, f[0].astype(np.int32).tobytes(), f[1].astype(np.float32).tobytes()) for i, x, f in found if f], columns=["id", "lang", "at", "x"])
+            found = [(i, x, tf(t, features)) for i, t, x in zip(batch["_place"], batch["_text"], batch["_lang"], strict=True)]
+            yield pd.DataFrame([(i, x, f[0].astype(np.int32).tobytes(), f[1].astype(np.float32).tobytes()) for i, x, f in found if f], columns=["place", "lang", "at", "x"])
 
-    got = sample.mapInPandas(run, "id long, lang string, at binary, x binary").collect()
-    got.sort(key=lambda r: (hash_order(r["id"]), r["lang"], bytes(r["x"])))
+    got = sample.select("_place", "_text", "_lang").mapInPandas(run, "place long, lang string, at binary, x binary").collect()
+    got.sort(key=lambda r: (r["place"] & 0xFFFFFFFF, r["place"], r["lang"], bytes(r["x"])))  # mixes the languages
     languages = sorted({r["lang"] for r in got})
     rows = []
     for r in got:
@@ -197,11 +216,6 @@ def learn(docs: DataFrame, fit: Fit = Fit(), text: str = "text", lang: str = "la
     return Model(languages, idf, weights, heat)
 
 
-def hash_order(i: int | None) -> int:
-    """An order of ids that does not follow the ids."""
-    return ((i or 0) * 0x9E3779B97F4A7C15 >> 7) & 0xFFFFFFFF
-
-
 def identify(docs: DataFrame, model: Model, scratch: Scratch | None = None, text: str = "text", key: str = "doc_id") -> DataFrame:
     """``lang_pred`` and ``score`` beside the key of every row."""
     # Features x languages, whatever the input. Arrays travel, not the class: broadcasts name classes, and executors need not have ours.
