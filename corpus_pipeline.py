@@ -3,48 +3,51 @@
 Each stage is a function of (spark, docs, sf_dir). All but the last return the columns
 of ``documents``; what they return is written as Parquet and read again as the next
 stage's ``docs``.
+
+Cases, beside those of the operators that the stages call: a verdict belongs to a row,
+so rows of one id and different texts stay or go each by its own text, and null ids are
+ids like others. Rows of one id and one text get one verdict; of them near-dedup keeps
+one. Null and empty texts fail the quality rules; the later stages pass them on, but
+the mix, which has no words to take from them. Extra columns are carried through. An
+empty table gives empty results.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from textreuse.llm import mixing, neardup, packing, quality_rules, secrets
-from textreuse.llm.common import Scratch, ship_by_value, small_or_shuffled, table
+from textreuse.llm.common import Scratch, ship_by_value, spread, table
 from textreuse.llm.queries import quality_weights, trusted_ids
 
 ship_by_value()
 
 
-def without(docs: DataFrame, rejected: DataFrame, scratch: Scratch) -> DataFrame:
-    """``docs`` less the rows whose id is in ``rejected``; texts stay where they are if the ids are few."""
-    ids = scratch.cut(rejected.select(F.col("doc_id").alias("rejected_id")).distinct(), "rejected")
-    return docs.join(small_or_shuffled(ids, ids.count()), docs["doc_id"] == ids["rejected_id"], "left_anti")
-
-
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    judged = quality_rules.judge(docs, trusted_ids(spark, sf_dir))
-    return without(docs, judged.where(~F.col("kept")), Scratch(spark, "stage-quality"))
+    """Documents that the quality rules keep, row by row: a row goes by its own text, whatever its id."""
+    return quality_rules.accepted(spread(docs), trusted_ids(spark, sf_dir))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = neardup.near_duplicates(docs, neardup.AT_80)
-    return without(docs, found.where(~F.col("kept")), Scratch(spark, "stage-dedup"))
+    """One row of each group of near copies, and all rows without words."""
+    return neardup.deduplicated(spread(docs), neardup.AT_80)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return secrets.redact_secrets(docs)
+    """All rows, with the values of found secrets replaced in their texts."""
+    return secrets.redact_secrets(spread(docs))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    weights = quality_weights(spark, sf_dir)
+    """Each document as often as the mix takes it; one that it does not take goes."""
+    weights, docs = quality_weights(spark, sf_dir), spread(docs)
     taken = Scratch(spark, "stage-mix").cut(mixing.sample(docs, weights), "taken")
     return mixing.apply(docs, taken, weights)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack(docs)
+    """A row for each piece of a document, with its bin."""
+    return packing.pack(spread(docs))
 
 
 STAGES = [("quality rules", quality), ("near-dedup", near_dedup), ("secret scan", secret_scan), ("mixing", mix), ("packing", pack)]
