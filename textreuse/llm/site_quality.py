@@ -1,6 +1,6 @@
 """Quality by hierarchical empirical Bayes: document evidence, host and path posteriors.
 
-1. A logistic regression on hashed character n-grams and a few shares of repetition gives
+1. A logistic regression on hashed character n-grams and a few shares (marks, capitals, digits, repetition) gives
    each document a probability of good quality. It is trained by the follow-the-leader
    rule of :mod:`langid` on a bounded sample of labelled rows and calibrated by a
    temperature on a part of them that training did not see.
@@ -38,7 +38,9 @@ from pyspark.sql import functions as F
 from .common import Scratch, small_or_shuffled
 from .langid import Fit, softmax, temperature, train
 
-EXTRAS = 4
+EXTRAS = 7
+#: Marks of code and layout among the first 128 characters.
+_MARKS = np.isin(np.arange(128), [ord(c) for c in "#*$%&|<>!{}[]@_=+~^\\/"])
 
 
 @dataclass(frozen=True)
@@ -58,10 +60,10 @@ class Evidence:
 
 
 def features(text: str | None, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Numbers and values of the features: n-grams as they stand, digits alike, of length 1 together; then shares of repetition."""
+    """Numbers and values of the features: n-grams as they stand, digits alike, of length 1 together; then shares of marks, capitals, digits and repetition."""
     whole = text or ""
-    cp = np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), np.uint32)
-    cp = np.where((cp >= 48) & (cp <= 57), 48, cp)
+    raw = np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), np.uint32)
+    cp = np.where((raw >= 48) & (raw <= 57), 48, raw)
     a = np.concatenate([[32], cp, [32]]).astype(np.uint64)
     two = a[:-1] * np.uint64(0x1F123BB5) + a[1:]
     three = two[:-1] * np.uint64(0x1F123BB5) + a[2:]
@@ -71,7 +73,11 @@ def features(text: str | None, buckets: int) -> tuple[np.ndarray, np.ndarray]:
     at = np.flatnonzero(counts)
     x = 1 + np.log(counts[at])
     words, lines = whole.split(), [line for line in whole.split("\n") if line.strip()]
-    extras = [1 - len(set(words)) / max(len(words), 1), 1 - len(set(lines)) / max(len(lines), 1), np.log1p(len(words)) / 10, float(not words)]
+    small = np.frombuffer(whole.lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+    n = max(len(raw), 1)
+    marks = _MARKS[raw[raw < 128]].sum() / n
+    shape = [marks, (raw != small).sum() / n if len(raw) == len(small) else sum(map(str.isupper, whole)) / n, (cp == 48).sum() / n]
+    extras = [*shape, 1 - len(set(words)) / max(len(words), 1), 1 - len(set(lines)) / max(len(lines), 1), np.log1p(len(words)) / 10, float(not words)]
     return np.concatenate([at, buckets + np.arange(EXTRAS)]), np.concatenate([x / np.sqrt(x @ x), extras])
 
 
