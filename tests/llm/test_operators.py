@@ -469,3 +469,369 @@ def test_running_totals(spark):
     for k, v in sorted((i * 37 % 101, i) for i in range(101)):
         total += v
         assert out[k] == total
+
+
+# Rows of one id, null ids, hot groups, depth and length
+
+
+def test_warc_revisits_are_a_matter_of_the_row(spark):
+    a, b = "a" * 1200, "b" * 1200
+    rows = [(5, "u", a), (5, "v", b), (7, "u", a), (9, "u", b), (None, "u", a), (9, "w", b), (7, "x", "short")]
+    back = warc.round_trip(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    digest = lambda t: hashlib.sha1(t.encode()).hexdigest()
+    got = Counter((r["page_id"], r["payload_digest"], r["record_type"], r["refers_to"], r["payload_bytes"]) for r in back)
+    assert got == Counter([(5, digest(a), "revisit", 7, 1200), (5, digest(b), "revisit", 9, 1200), (7, digest(a), "response", None, 1200), (9, digest(b), "response", None, 1200), (9, digest(b), "response", None, 1200), (None, digest(a), "response", None, 1200), (7, digest("short"), "response", None, 5)])
+
+
+def test_warc_damage_fails_the_job(spark, tmp_path):
+    made = [warc.record(i, "http://x", b"page" * 400, warc.base32_sha1(b"page" * 400), None) for i in range(3)]
+    (tmp_path / "part.warc.zst").write_bytes(warc.archive(made)[:-5])
+    back = warc.read_archives(spark, f"file://{tmp_path}", payloads=False)
+    assert back.where("error is not null").count() == 1
+    with pytest.raises(Exception, match="damaged archive"):
+        warc.sound(back).select("record_type").collect()
+
+
+def test_warc_columns_of_clashing_names(spark):
+    rows = [(1, "u", "x" * 2000, "d", 3), (2, "u", "x" * 2000, "d", 4)]
+    back = warc.round_trip(spark.createDataFrame(rows, "page_id long, url string, html string, _digest string, _at int")).collect()
+    assert {(r["page_id"], r["refers_to"]) for r in back} == {(1, 2), (2, None)}
+
+
+@pytest.mark.parametrize("block", [7, 64])
+def test_top_k_of_repeated_ids(spark, block):
+    rng = np.random.default_rng(20)
+    x = rng.normal(size=(120, 6)) * rng.lognormal(0, 1.5, (120, 1))
+    ids = [50 if i % 3 == 0 else i for i in range(120)]
+    rows = [(i, [float(v) for v in r]) for i, r in zip(ids, x, strict=True)]
+    got = Counter(tuple(r) for r in topk.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), topk.TopK(candidate_block=block, query_block=8, bucket=4)).select("query_id", "rank", "vec_id", "score").collect())
+    ints, want = [np.floor(np.array(v) * 256).astype(np.int64) for _, v in rows], Counter()
+    for q, i in enumerate(ids):
+        if i % 50 == 0:
+            best = sorted((-int(ints[q] @ v), ids[c]) for c, v in enumerate(ints) if c != q)[:5]
+            want.update((i, k + 1, c, -s) for k, (s, c) in enumerate(best))
+    assert got == want
+
+
+def test_top_k_of_very_long_vectors(spark):
+    rng = np.random.default_rng(21)
+    rows = [(i, [float(v) for v in r]) for i, r in enumerate(rng.normal(size=(101, 4)) * 2.0**22)]
+    got = {(r["query_id"], r["rank"]): (r["vec_id"], r["score"]) for r in topk.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), topk.TopK(candidate_block=16)).collect()}
+    ints = [[int(np.floor(x * 256)) for x in v] for _, v in rows]
+    for q in (0, 50, 100):
+        want = sorted((-sum(a * b for a, b in zip(ints[q], v, strict=True)), i) for i, v in enumerate(ints) if i != q)[:5]
+        assert [got[q, k + 1] for k in range(5)] == [(i, -s) for s, i in want]
+
+
+def test_secrets_at_any_depth_and_length():
+    chain = 'a0 = "Zq8Lm2vT94xRpp"\n' + "".join(f"a{k} = a{k - 1}\n" for k in range(1, 3000)) + "client_pwd = a2999\n"
+    assert [chain[s:e] for s, e, k, _ in secrets.scan(chain)[1] if k == "literal"] == ["Zq8Lm2vT94xRpp"]
+    double = 'a0 = "Zq8Lm2vT"\n' + "".join(f"a{k} = a{k - 1} + a{k - 1}\n" for k in range(1, 300)) + "client_pwd = a299\n"
+    assert [double[s:e] for s, e, k, _ in secrets.scan(double)[1] if k == "literal"] == ["Zq8Lm2vT"]
+    long = "Zq8-Lm2!vT94xR" * 2000
+    text = f'part = "{long}"\nclient_pwd = part'
+    assert [text[s:e] for s, e, k, _ in secrets.scan(text)[1] if k == "literal"] == [long]
+    loop = 'a = b\nb = a + "Zq8Lm2vT94xRpp"\nclient_pwd = b'
+    assert [loop[s:e] for s, e, k, _ in secrets.scan(loop)[1] if k == "literal"] == ["Zq8Lm2vT94xRpp"]
+
+
+def test_secret_names_stand_for_their_last_assignment():
+    literal = lambda t: [t[s:e] for s, e, k, _ in secrets.scan(t)[1] if k == "literal"]
+    assert literal('x = "plain words"\nx = "Zq8Lm2vT94xRpp"\nuser_pwd = x') == ["Zq8Lm2vT94xRpp"]
+    assert literal('x = "Zq8Lm2vT94xRpp"\nuser_pwd = x\nx = "Xw9Kp3uS85yQoo"\ntitle = x') == ["Zq8Lm2vT94xRpp"]
+
+
+def test_secret_scan_is_linear_in_blanks():
+    from time import process_time
+
+    def seconds(text):
+        at = process_time()
+        secrets.scan(text)
+        return process_time() - at
+
+    for make in (lambda n: "a: b" + " " * n, lambda n: "a = 'x'" + " " * n + "1", lambda n: "a: " + "b " * (n // 2), lambda n: "a : b " * (n // 6)):
+        seconds(make(50_000))
+        assert seconds(make(1_000_000)) < 40 * max(seconds(make(50_000)), 0.01)
+
+
+def test_value_of_parts_equals_value_of_the_whole():
+    rng = np.random.default_rng(22)
+    words = ["true", "x", "xx", "exam", "ple", "change", "me", "Zq8", "<", "null", "$", "{", "placeholder", "placehol", "der", "aaaaaaaaaaaaaaaaaaaa", "a"]
+    for _ in range(3000):
+        parts = [words[i] for i in rng.integers(0, len(words), rng.integers(0, 6))]
+        value, whole = secrets.Value(), secrets.Value("".join(parts))
+        for p in parts:
+            value = value + secrets.Value(p)
+        assert all(getattr(value, k) == getattr(whole, k) for k in secrets.Value.__slots__), parts
+
+
+def half_shared(n):
+    common = sentence(700, 100)
+    rows = [(i, f"{common} {sentence(800 + i, 100)}") for i in range(n)]
+    near = rows[0][1].split()
+    near[150] = "changed"
+    return [*rows, (n, " ".join(near))]
+
+
+@pytest.mark.parametrize("bucket_members", [4096, 20])
+def test_template_pages_are_no_family(spark, bucket_members):
+    near, rows = neardup.Near(bucket_members=bucket_members, pivots=2), half_shared(200)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    scratch = Scratch(spark, "test")
+    classes = scratch.cut(neardup.sketch(docs, near, "text", "doc_id"), "classes")
+    found = neardup.families(scratch.cut(neardup.postings(classes, near), "postings"), classes, near, scratch).join(classes, "node").collect()
+    assert {r["doc_id"] for r in found} == {0, 200} and len({r["label"] for r in found}) == 1
+    got = neardup.near_duplicates(docs, near).collect()
+    assert {r["doc_id"]: r["component_id"] for r in got} == {i: 0 if i == 200 else i for i, _ in rows}
+
+
+@pytest.mark.parametrize("bucket_members, pivots", [(4096, 8), (16, 1)])
+def test_families_hold_all_pairs_within_the_distance(spark, bucket_members, pivots):
+    near, rng = neardup.Near(bucket_members=bucket_members, pivots=pivots), np.random.default_rng(23)
+    sigs = []
+    for _ in range(12):  # groups whose members differ from one base in up to 12 slots, so that some pairs are near and some not
+        base = rng.integers(0, 1 << 16, near.slots)
+        for _ in range(10):
+            one = base.copy()
+            one[rng.choice(near.slots, rng.integers(0, 13), replace=False)] = rng.integers(0, 1 << 16)
+            sigs.append(one.astype(np.uint16))
+    root = list(range(len(sigs)))
+    for i in range(len(sigs)):
+        for j in range(i):
+            if (sigs[i] != sigs[j]).sum() <= near.distance:
+                root = [root[j] if r == root[i] else r for r in root]
+    want = {frozenset(i for i, r in enumerate(root) if r == c) for c in set(root)}
+    scratch = Scratch(spark, "test")
+    classes = scratch.cut(spark.createDataFrame([(i * 7919 - 300, bytearray(s.tobytes())) for i, s in enumerate(sigs)], "node long, sig binary"), "classes")
+    got = defaultdict(set)
+    for r in neardup.families(scratch.cut(neardup.postings(classes, near), "postings"), classes, near, scratch).collect():
+        got[r["label"]].add((r["node"] + 300) // 7919)
+    assert {frozenset(v) for v in got.values()} == {w for w in want if len(w) > 1}
+
+
+def test_near_duplicates_of_the_given_table_match_brute_force(spark):
+    from textreuse.llm.queries import op5_near_duplicates
+
+    sf = "/root/testdata/sf0.01"
+    sets = {r["doc_id"]: shingles(r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    holders, root = defaultdict(list), {i: i for i in sets}
+    for i, s in sets.items():
+        for g in s:
+            holders[g].append(i)
+    shared = Counter((a, b) for ids in holders.values() for k, a in enumerate(ids) for b in ids[k + 1 :])
+    linked = [(a, b) for (a, b), n in shared.items() if 100 * n >= 85 * (len(sets[a]) + len(sets[b]) - n)]
+    assert len(linked) > 50
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, b in linked:
+        a, b = top(a), top(b)
+        root[max(a, b)] = min(a, b)
+    out = op5_near_duplicates(spark, sf).collect()
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in out} == {i: (len(s), top(i)) for i, s in sets.items()}
+
+
+def test_dedup_keeps_one_row_of_a_group_whatever_its_id(spark):
+    a, alone = sentence(40, 60), sentence(41, 60)
+    rows = [(3, a), (7, alone), (7, a), (3, a), (None, a), (None, sentence(42, 60)), (None, sentence(42, 60)), (None, None), (None, None), (9, "")]
+    docs = spark.createDataFrame([(i, t, k, "x") for k, (i, t) in enumerate(rows)], "doc_id long, text string, _hash int, row string")
+    out = neardup.deduplicated(docs)
+    assert out.columns == docs.columns
+    assert Counter((r["doc_id"], r["text"]) for r in out.collect()) == Counter([(3, a), (7, alone), (None, sentence(42, 60)), (None, None), (None, None), (9, "")])
+
+
+def test_quality_verdicts_match_brute_force(spark):
+    import xxhash
+    from textreuse.llm.queries import trusted_ids
+
+    sf, rules = "/root/testdata/sf0.001", quality_rules.Rules()
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    good = {r["doc_id"] for r in trusted_ids(spark, sf).collect()}
+    h = lambda w, seed=42: xxhash.xxh64_intdigest(w.encode(), seed)
+    bucket = lambda x: (x - (1 << 64) if x >> 63 else x) % rules.buckets
+    grams = {i: [bucket(h(w)) for w in ws] + [bucket(h(w, h(v))) for v, w in zip(ws, ws[1:], strict=False)] for i, t in texts.items() for ws in [WORD.findall(t or "")]}
+    raw, sure = Counter(b for g in grams.values() for b in g), Counter(b for i, g in grams.items() if i in good for b in g)
+    share = lambda n, c: np.log((n + 1) / (sum(c.values()) + rules.buckets))
+    ratio = [round(share(sure[b], sure) - share(raw[b], raw), 6) for b in range(rules.buckets)]
+    score = {i: round(sum(ratio[b] for b in g) / len(g), 9) if g else None for i, g in grams.items()}
+    known = sorted(score[i] for i in good if i in score and score[i] is not None)
+    least = np.floor(known[int(rules.trusted_quantile * len(known))] / rules.bin_width) * rules.bin_width
+    for r in quality_rules.judge(docs, trusted_ids(spark, sf)).collect():
+        want = score[r["doc_id"]]
+        assert (r["llr"] is None) == (want is None) and (want is None or abs(r["llr"] - want) < 1e-7)
+        if want is None or abs(want - least) > 1e-6:
+            assert r["kept"] == (not r["base_failed"] and (0.0 if want is None else want) >= least)
+
+
+def test_quality_accepts_rows_by_their_own_text(spark):
+    good, poor = sentence(50, 60), "bad " * 60
+    docs = spark.createDataFrame([(7, good, 1), (7, poor, 2), (None, poor, 3), (None, good, 4), (None, None, 5), (8, poor, 6)], "doc_id long, text string, _key int")
+    out = quality_rules.accepted(docs, docs.select("doc_id").limit(0))
+    assert out.columns == docs.columns and {r["_key"] for r in out.collect()} == {1, 4}
+
+
+def test_quality_fit_is_the_same_beyond_a_broadcast(spark, sf, monkeypatch):
+    from textreuse.llm.queries import trusted_ids
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    near = quality_rules.fit(docs, trusted_ids(spark, sf), quality_rules.Rules())
+    monkeypatch.setattr(quality_rules, "small_or_shuffled", lambda side: side)
+    assert quality_rules.fit(docs, trusted_ids(spark, sf), quality_rules.Rules()) == near
+
+
+def test_sharding_output_columns(spark):
+    import zlib
+
+    rows = [(i, ["x", "éß", "", None][i % 4] if i % 3 else "t" * i) for i in range(80)]
+    out = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    for r in out:
+        raw = (dict(rows)[r["doc_id"]] or "").encode()
+        assert (r["size"], r["text_crc32"], r["law"], r["grown_shard"]) == (len(raw) + 1, zlib.crc32(raw), "bytes", None) and 0 <= r["shard"] < 8
+
+
+def test_packing_keeps_clusters_apart(spark):
+    rng = np.random.default_rng(24)
+    rows = [(i, " ".join(["w"] * int(rng.integers(1, 30))) + f" {i}", f"s{i}", int(i % 9) if i % 9 else None) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, near long")
+    one = packing.pack(docs, packing.Bins(capacity=100, pack_rows=10_000), cluster="near").collect()
+    bins = defaultdict(list)
+    for r in one:
+        bins[r["bin_id"]].append(r["cluster"])
+    named = [[c for c in b if c is not None] for b in bins.values()]
+    assert all(len(set(b)) == len(b) for b in named) and sum(map(len, named)) == sum(1 for r in rows if r[3] is not None)
+    order = sorted(((r["n_words"], r["doc_id"], r["source"], r["cluster"], r["bin_id"], r["bin_offset"]) for r in one), key=lambda r: (-r[0], r[1]))
+    want = naive_best_fit([r[0] for r in order], [r[2] for r in order], [r[3] if r[3] is not None else f"none {k}" for k, r in enumerate(order)], 100)
+    assert [(r[4], r[5]) for r in order] == want
+
+
+def test_packing_splits_rows_of_one_id(spark):
+    docs = spark.createDataFrame([(None if i % 2 else 5, f"text {i}", f"s{i}") for i in range(400)], "doc_id long, text string, source string")
+    out = packing.pack(docs, packing.Bins(pack_rows=50)).collect()
+    packs = Counter(r["bin_id"] >> 32 for r in out)
+    assert len(out) == 400 and len(packs) >= 6 and max(packs.values()) < 150
+
+
+def test_mixing_of_many_sources_equals_that_of_few(spark):
+    rows = [(i, " ".join(["w"] * (1 + i % 7)), None if i % 41 == 0 else f"h{i % 40}") for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    few, many = (sorted(map(tuple, mixing.sample(docs, mix=mixing.Mix(few_sources=n)).select("doc_id", "target", "taken").collect())) for n in (100_000, 0))
+    assert few == many
+
+
+def test_language_predictions_match_brute_force(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    model = langid.learn(docs)
+    rows = {r["doc_id"]: r["text"] for r in docs.limit(40).collect()}
+    mask, mul, fin = (1 << 64) - 1, 0x1F123BB5, 0xBF58476D1CE4E5B9
+
+    def number(x):
+        x = ((x ^ (x >> 29)) * fin) & mask
+        return x >> (64 - langid.Fit().features.bit_length() + 1)
+
+    for r in langid.identify(docs.where(docs["doc_id"].isin(list(rows))), model).collect():
+        text = "".join(c if c.isalpha() else " " for c in rows[r["doc_id"]].lower())
+        kept = [ord(c) for k, c in enumerate(text) if k == 0 or c != " " or text[k - 1] != " "]
+        cp = [32, *kept, 32]
+        two = [(a * mul + b) & mask for a, b in zip(cp, cp[1:], strict=False)]
+        three = [(a * mul + b) & mask for a, b in zip(two, cp[2:], strict=False)]
+        tf = Counter(number(x) for x in [*cp, *two, *three])
+        x = {f: (1 + np.log(n)) * model.idf[f] for f, n in tf.items()}
+        norm = np.sqrt(sum(v * v for v in x.values()))
+        logits = sum(v / norm * model.weights[f] for f, v in x.items()) / model.temperature
+        p = np.exp(logits - logits.max()) / np.exp(logits - logits.max()).sum()
+        assert r["lang_pred"] == model.languages[int(p.argmax())] and abs(r["score"] - p.max()) < 1e-9
+
+
+def test_rare_languages_are_learned(spark):
+    rare = [(10_000 + i, "zzyx qquv zzyx wqxv " * 5, "xx") for i in range(3)]
+    rows = [(i, sentence(i, 20), "en" if i % 2 else "de") for i in range(600)] + rare
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.learn(docs, langid.Fit(fit_rows=60))
+    assert model.languages == ["de", "en", "xx"]
+    assert langid.quotas({"a": 3, "b": 1000, "c": 1000}, 60) == {"a": 3, "b": 28, "c": 29} and langid.quotas({"a": 5, "b": 5}, 1) == {"a": 1, "b": 1}
+    assert langid.quotas({}, 10) == {}
+
+
+def test_frequencies_are_those_of_labelled_documents(spark):
+    with_lang = spark.createDataFrame([(1, "aaaa bbbb", "en"), (2, "aaaa", "de")], "doc_id long, text string, lang string")
+    more = with_lang.unionAll(spark.createDataFrame([(3, "cccc", None)], "doc_id long, text string, lang string"))
+    assert np.array_equal(langid.learn(with_lang).idf, langid.learn(more).idf)
+
+
+def test_site_quality_matches_brute_force(spark):
+    rng = np.random.default_rng(25)
+    rows = [(i, sentence(i, 30) if i % 4 else " ".join(w + "###" for w in sentence(i, 30).split()), f"h{int(rng.integers(0, 5))}" if i % 11 else None, f"p{i % 3}") for i in range(240)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string")
+    label = {i: int(i % 4 > 0) for i in range(0, 240, 2)}
+    out = {r["doc_id"]: r for r in site_quality.assess(docs, spark.createDataFrame(list(label.items()), "doc_id long, quality int")).collect()}
+    good = {i: label.get(i, out[i]["p_doc"]) for i in out}
+    hosts, paths = defaultdict(list), defaultdict(list)
+    for i, _, h, p in rows:
+        hosts[h].append(good[i])
+        paths[h, p].append(good[i])
+    mean = min(max(sum(good.values()) / len(good), 0.01), 0.99)
+
+    def strength(groups):  # of (good, total, prior)
+        m = np.mean([q * (1 - q) for *_, q in groups])
+        v = np.mean([(g / n - q) ** 2 - q * (1 - q) / n for g, n, q in groups])
+        return max(1.0, min(1e6, m / max(v, 1e-6) - 1))
+
+    k = strength([(sum(v), len(v), mean) for v in hosts.values()])
+    m = strength([(sum(v), len(v), (sum(hosts[h]) + k * mean) / (len(hosts[h]) + k)) for (h, _), v in paths.items()])
+    logit = lambda x: np.log(x / (1 - x))
+    for i, _, h, p in rows:
+        host = (sum(hosts[h]) - good[i] + k * mean) / (len(hosts[h]) - 1 + k)
+        path = (sum(paths[h, p]) - good[i] + m * host) / (len(paths[h, p]) - 1 + m)
+        quality = 1 / (1 + np.exp(-(logit(min(max(out[i]["p_doc"], 1e-6), 1 - 1e-6)) + logit(path) - logit(mean))))
+        assert abs(out[i]["host_posterior"] - host) < 2e-6 and abs(out[i]["path_posterior"] - path) < 2e-6 and abs(out[i]["quality"] - quality) < 2e-6
+        assert out[i]["kept"] == (out[i]["quality"] >= 0.5)
+
+
+def test_site_quality_of_labels_that_it_was_not_told(spark):
+    sf = "/root/testdata/sf0.01"
+    labels = spark.read.parquet(f"{sf}/labels.parquet").where("coalesce(toxic, 0) = 0").select("doc_id", "quality")
+    truth = {r["doc_id"]: r["quality"] for r in labels.where("doc_id % 2 = 1").collect()}
+    out = {r["doc_id"]: r["kept"] for r in site_quality.assess(spark.read.parquet(f"{sf}/documents.parquet"), labels.where("doc_id % 2 = 0")).collect()}
+    poor = [i for i, q in truth.items() if q == 0]
+    fine = [i for i, q in truth.items() if q == 1]
+    assert sum(out[i] for i in poor) <= 0.1 * len(poor) and sum(out[i] for i in fine) >= 0.98 * len(fine)
+
+
+def test_tables_without_splits_are_dealt(spark, tmp_path):
+    from textreuse.llm.common import spread
+
+    path = f"file://{tmp_path}/one"
+    spark.range(1000).withColumnRenamed("id", "_place").coalesce(1).write.parquet(path)
+    dealt = spread(spark.read.parquet(path))
+    sizes = [n for n in dealt.rdd.mapPartitions(lambda rows: [sum(1 for _ in rows)]).collect() if n]
+    assert dealt.columns == ["_place"] and len(sizes) == spark.sparkContext.defaultParallelism and sum(sizes) == 1000
+
+
+def test_broadcasts_are_bound_by_bytes(spark, tmp_path):
+    from textreuse.llm.common import estimated_bytes, small_or_shuffled
+
+    path = f"file://{tmp_path}/wide"
+    spark.range(100).selectExpr("id", "repeat('x', 1000) as text", "named_struct('a', 1) as s").write.parquet(path)
+    side = spark.read.parquet(path)
+    assert 100_000 < estimated_bytes(side) < 200_000
+    hinted = lambda df: "hint" in df._jdf.queryExecution().logical().toString().lower()
+    assert hinted(small_or_shuffled(side)) and not hinted(small_or_shuffled(side, 1000))
+
+
+def test_only_one_machine_may_leave_the_shared_folder_unset():
+    from types import SimpleNamespace
+
+    from textreuse.llm.common import shared_folder
+
+    def session(master, named=None):
+        conf = SimpleNamespace(get=lambda key, default=None: named)
+        return SimpleNamespace(sparkContext=SimpleNamespace(getConf=lambda: conf, master=master), conf=conf)
+
+    assert shared_folder(session("local[4]")).startswith("file:") and shared_folder(session("yarn", "hdfs:///x/")) == "hdfs:///x"
+    for master in ("yarn", "spark://h:7077", "local-cluster[3,2,1024]"):
+        with pytest.raises(RuntimeError):
+            shared_folder(session(master))

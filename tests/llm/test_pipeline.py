@@ -94,3 +94,16 @@ def test_stages_on_awkward_rows(spark, sf):
             assert out.columns == docs.columns, name
             out.collect()
         corpus_pipeline.pack(spark, docs, sf).collect()
+
+
+def test_stages_decide_by_row(spark, sf):
+    """Rows of one id with different texts, and null ids, stay or go each by its own text."""
+    good, other, poor = sentence(900, 80), sentence(901, 80), "bad " * 80
+    rows = [(3, good), (7, other), (7, good), (7, poor), (None, poor), (None, sentence(902, 80)), (None, good), (None, None)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1, k) for k, (i, t) in enumerate(rows)], "doc_id long, text string, lang string, source string, n_chars long, row int")
+    kept = corpus_pipeline.quality(spark, docs, sf)
+    assert kept.columns == docs.columns
+    before = {r["row"] for r in kept.collect()}
+    assert not before & {3, 4, 7}
+    single = corpus_pipeline.near_dedup(spark, docs, sf)
+    assert {r["row"] for r in single.collect()} == {0, 1, 3, 5, 7}
