@@ -45,7 +45,7 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
-def begins(ws: Column, chunk: int = 256) -> Column:
+def begins(ws: Column, chunk: int = 64) -> Column:
     """Begin of each word in the clean text, row-local.
 
     A fold that appends copies what it has; two levels of chunks keep that linear in practice for texts of any length.
@@ -65,9 +65,14 @@ def begins(ws: Column, chunk: int = 256) -> Column:
     return F.when(F.size(ws) > 0, let(lengths, chunked)).otherwise(F.array().cast("array<int>"))
 
 
-def worded(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def blanks_only(text: Column) -> Column:
+    """Lower-cased text without any cleaning: runs of white space become one space."""
+    return F.trim(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[\x20\x09-\x0D]+", " "))
+
+
+def worded(docs: DataFrame, key: str = "doc_id", text: str = "text", letters: bool = True) -> DataFrame:
     """``doc_id, words, begins``: the form from which passages and grams are cut; the text is read here only."""
-    rows = docs.select(F.col(key).alias("doc_id"), words(clean(F.col(text))).alias("words"))
+    rows = docs.select(F.col(key).alias("doc_id"), words((clean if letters else blanks_only)(F.col(text))).alias("words"))
     return rows.select("doc_id", "words", begins(F.col("words")).alias("begins"))
 
 

@@ -1,17 +1,22 @@
 """Source retrieval: passages, MinHash sketches, postings, candidate pairs and their measures.
 
 Two documents are candidates if any passage of one shares a MinHash value with any
-passage of the other. Sketching is a map; postings are made distinct in a document
-before the one shuffle by (slot, hash); both sides of the self-join reuse it.
+passage of the other. Sketching is a map and a partial aggregate; postings are made
+distinct in a document before they meet. Pairs are listed by whichever way moves less:
+a self-join on (slot, hash), whose rows grow with the squares of the buckets, or blocks
+of documents that meet one another, whose rows are the postings times the blocks.
 """
 
 from __future__ import annotations
 
-from math import ceil, log
+from math import ceil, isqrt, log
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.io import stored
 from .normalize import let, worded
 
 
@@ -31,18 +36,38 @@ def bag_counts(passages: DataFrame) -> DataFrame:
     return distinct.groupBy("doc_id", "passage_no", "word").agg(F.count(F.lit(1)).alias("n"))
 
 
+#: The modulus of the affine family, a prime of 31 bits.
+AFFINE_PRIME = (1 << 31) - 1
+
+
+def _short_number(text: Column) -> Column:
+    """A number below the prime from a text, by its digest; SQL can compute it too."""
+    return F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("bigint") % AFFINE_PRIME
+
+
 def hashed(slot: Column, word: Column, family: str) -> Column:
-    """Value of one hash function of a family: 64 bits, or hexadecimal text that SQL can compute too."""
+    """Value of one hash function of a family: 64 bits (``xx``), hexadecimal text (``md5``), or a multiple of one number a word (``affine``)."""
     if family == "xx":
         return F.xxhash64(slot, word)
-    return F.md5(F.concat(slot.cast("string"), F.lit(":"), word))
+    name = slot.cast("string")
+    if family == "affine":
+        return ((_short_number(F.concat(F.lit("a"), name)) + 1) * _short_number(word) + _short_number(F.concat(F.lit("b"), name))) % AFFINE_PRIME
+    return F.md5(F.concat(name, F.lit(":"), word))
 
 
 def minhash(passages: DataFrame, m: int = 10, family: str = "xx") -> DataFrame:
-    """``sig``: the minimum of each of m hash functions over a passage's set of words."""
-    bag = F.array_distinct("words")
-    sig = let(bag, lambda ws: F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.array_min(F.transform(ws, lambda w: hashed(i, w, family)))))
-    return passages.select("doc_id", "passage_no", sig.alias("sig"))
+    """``sig``: the minimum of each of m hash functions over a passage's set of words.
+
+    Numbers are minima of a hash aggregate over the words, which stays in generated code; a passage's words are in
+    one task, so a row a passage moves. Texts as minima would not, and are taken within the row.
+    """
+    if family == "md5":
+        bag = F.array_distinct("words")
+        sig = let(bag, lambda ws: F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.array_min(F.transform(ws, lambda w: hashed(i, w, family)))))
+        return passages.select("doc_id", "passage_no", sig.alias("sig"))
+    each = passages.select("doc_id", "passage_no", F.explode("words").alias("_w"))
+    least = each.groupBy("doc_id", "passage_no").agg(*(F.min(hashed(F.lit(i), F.col("_w"), family)).alias(f"_{i}") for i in range(m)))
+    return least.select("doc_id", "passage_no", F.array(*(f"_{i}" for i in range(m))).alias("sig"))
 
 
 def postings(signatures: DataFrame, keyed: bool = True) -> DataFrame:
@@ -64,21 +89,100 @@ def without_frequent(rows: DataFrame, share: float) -> DataFrame:
     """
     n = rows.count()
     df = rows.select("doc_id", F.explode(F.array_distinct("words")).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("n"))
-    stop = df.where(F.col("n") > share * n).agg(F.collect_list("word").alias("stop"))
-    joined = rows.join(F.broadcast(stop), F.lit(True))
-    return joined.select("doc_id", F.filter("words", lambda w: ~F.array_contains("stop", w)).alias("words"))
+    # The list is that short, so it may come to the driver; a list of literals is looked up by hash.
+    stop = [r["word"] for r in df.where(F.col("n") > share * n).select("word").collect()]
+    return rows.select("doc_id", F.filter("words", lambda w: ~w.isin(stop)).alias("words"))
 
 
 def candidates(posts: DataFrame, min_common: int = 1) -> DataFrame:
     """Distinct pairs (a_doc < b_doc) that share at least ``min_common`` fingerprints."""
+    if min_common == 1:
+        posts = stored(posts, "postings")
+        plan = listing(posts)
+        return candidates_by_blocks(posts, plan["blocks"]) if plan["blocks"] else candidates_by_join(posts)
     a = posts.select("slot", "hash", F.col("doc_id").alias("a_doc"))
     b = posts.select("slot", "hash", F.col("doc_id").alias("b_doc"))
     pairs = a.join(b, ["slot", "hash"]).where("a_doc < b_doc")
-    if min_common == 1:
-        return pairs.select("a_doc", "b_doc").distinct()
     return pairs.groupBy("a_doc", "b_doc").agg(F.count_distinct("slot").alias("common")).where(F.col("common") >= min_common)
 
 
+def candidates_by_join(posts: DataFrame) -> DataFrame:
+    """Pairs by a self-join of the buckets: best where these are small."""
+    a = posts.select("slot", "hash", F.col("doc_id").alias("a_doc"))
+    b = posts.select("slot", "hash", F.col("doc_id").alias("b_doc"))
+    return a.join(b, ["slot", "hash"]).where("a_doc < b_doc").select("a_doc", "b_doc").distinct()
+
+
+def listing(posts: DataFrame, block_docs: int = 2048, block_postings: int = 2_000_000) -> dict[str, int]:
+    """Rows that either way of listing the pairs moves, and the number of blocks, 0 if the join moves less.
+
+    A block has at most about ``block_docs`` documents, so that a pair of blocks fits a matrix of bits, and about
+    ``block_postings`` postings. There are enough pairs of blocks for the cores.
+    """
+    sizes = posts.groupBy("slot", "hash").agg(F.count(F.lit(1)).alias("n"))
+    b = sizes.agg(F.sum("n").alias("postings"), F.sum((F.col("n") * (F.col("n") - 1) / 2).cast("bigint")).alias("pairs")).first()
+    postings, pairs = b["postings"] or 0, b["pairs"] or 0
+    docs = posts.agg(F.count_distinct("doc_id").alias("n")).first()["n"]
+    enough = min(isqrt(4 * posts.sparkSession.sparkContext.defaultParallelism) + 1, docs // 256)
+    blocks = max(1, -(-docs // block_docs), -(-postings // block_postings), enough)
+    return {"postings": postings, "bucket_pairs": pairs, "blocks": blocks if pairs > postings * blocks else 0}
+
+
+def candidates_by_blocks(posts: DataFrame, blocks: int) -> DataFrame:
+    """Pairs by blocks of documents: each pair of blocks is a task, which marks the pairs of each bucket in a matrix and so
+    lists a pair once. No pair is made twice or shuffled, and a hot bucket is spread over all pairs of blocks."""
+    rows = posts.select("doc_id", F.xxhash64("slot", "hash").alias("key"), F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int").alias("_b"))
+    rows = rows.withColumn("_o", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    rows = rows.select("doc_id", "key", F.least("_b", "_o").alias("_i"), F.greatest("_b", "_o").alias("_j"), (F.col("_b") > F.col("_o")).alias("side"))
+    cells = 4_000_000
+
+    def run(pair: pd.DataFrame) -> pd.DataFrame:
+        one, key, doc, side = pair["_i"].iloc[0] == pair["_j"].iloc[0], *(pair[c].to_numpy() for c in ("key", "doc_id", "side"))
+
+        def group(mine):  # documents, and by key the place of each
+            names, at = np.unique(doc[mine], return_inverse=True)
+            order = np.argsort(key[mine], kind="stable")
+            keys, starts, counts = np.unique(key[mine][order], return_index=True, return_counts=True)
+            return names, at[order], keys, starts, counts
+
+        a = group(np.ones(len(key), bool) if one else ~side)
+        b = a if one else group(side)
+        seen = np.zeros((len(a[0]), len(b[0])), bool)
+        _, x, y = np.intersect1d(a[2], b[2], assume_unique=True, return_indices=True)
+        xs, xn, ys, yn = a[3][x], a[4][x], b[3][y], b[4][y]
+        if one:
+            keep = xn > 1
+            xs, xn, ys, yn = xs[keep], xn[keep], ys[keep], yn[keep]
+        size = xn * yn
+        for k in np.flatnonzero(size > 4096):
+            seen[np.ix_(a[1][xs[k] : xs[k] + xn[k]], b[1][ys[k] : ys[k] + yn[k]])] = True
+        rest = np.flatnonzero(size <= 4096)
+        ends = np.cumsum(size[rest])
+        for at in range(0, int(ends[-1]) if len(rest) else 0, cells):
+            part = rest[np.searchsorted(ends, at, side="right") : np.searchsorted(ends, at + cells, side="right") + 1]
+            n = size[part]
+            k = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            wide = np.repeat(yn[part], n)
+            seen[a[1][np.repeat(xs[part], n) + k // wide], b[1][np.repeat(ys[part], n) + k % wide]] = True
+        if one:
+            seen = np.triu(seen, 1)
+        i, j = np.nonzero(seen)
+        left, right = a[0][i], b[0][j]
+        return pd.DataFrame({"a_doc": np.minimum(left, right), "b_doc": np.maximum(left, right)})
+
+    return rows.groupBy("_i", "_j").applyInPandas(run, "a_doc long, b_doc long")
+
+
+def per_document(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """How many candidates a document has: least, quartiles, ninth decile and most, over all documents."""
+    ends = pairs.select(F.explode(F.array("a_doc", "b_doc")).alias("doc_id")).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+    n = docs.select("doc_id").join(ends, "doc_id", "left").select(F.coalesce("n", F.lit(0)).alias("n"))
+    at = [0.0, 0.25, 0.5, 0.75, 0.9, 1.0]
+    values = n.agg(F.percentile("n", F.array(*map(F.lit, at))).alias("v"))
+    rows = values.select(F.explode(F.arrays_zip(F.array(*map(F.lit, at)).alias("share"), F.col("v").alias("candidates"))).alias("r"))
+    return rows.select("r.share", F.round("r.candidates", 6).alias("candidates"))
+
+
 def candidates_of(pairs: DataFrame, doc_id: int) -> DataFrame:
     """The candidate set of one document, from both sides of the symmetric relation."""
     a = pairs.where(F.col("a_doc") == doc_id).select(F.col("b_doc").alias("doc_id"))

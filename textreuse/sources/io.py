@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -21,6 +22,12 @@ def read_jsonl(spark: SparkSession, path: str, schema: T.StructType) -> DataFram
     return spark.read.schema(wide).option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", CORRUPT).json(path)
 
 
+def write_editions(records: DataFrame, path: str, texts: tuple[str, ...] = ("a_text", "b_text")) -> None:
+    """Two archives of the records below ``path``: ``full`` as they are, ``metadata`` without the texts."""
+    write_jsonl(records, f"{path}/full")
+    write_jsonl(records.drop(*texts), f"{path}/metadata")
+
+
 def write_csv(df: DataFrame, path: str) -> None:
     df.write.option("header", True).option("escape", '"').csv(path)
 
@@ -43,10 +50,16 @@ def write_bucketed(df: DataFrame, table: str, key: str, buckets: int = 256) -> N
     df.write.bucketBy(buckets, key).sortBy(key).saveAsTable(table)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that ``spark.checkpoint.dir`` names. Only a session of one machine, as in tests, may leave it unset."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return (named or "file:///tmp/checkpoints").rstrip("/")
+
+
 def stored(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written below the folder that ``spark.checkpoint.dir`` names and read back; a local one only where that is unset, as in tests."""
-    conf = df.sparkSession.sparkContext.getConf()
-    root = (conf.get("spark.checkpoint.dir") or df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    path = f"{root}/textreuse-{name}-{uuid.uuid4().hex}"
+    """``df`` written below the shared folder and read back."""
+    path = f"{shared_folder(df.sparkSession)}/textreuse-{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -16,11 +16,11 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from ..operators import retrieval as sr
 from ..registry import query
 from ..sources.catalog import load
+from ..sources.io import shared_folder
 
 
 def _shared(spark: SparkSession, label: str) -> str:
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file:///tmp/checkpoints"
-    return f"{root}/textreuse-{label}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/textreuse-{label}-{uuid.uuid4().hex}"
 
 
 def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
