@@ -8,10 +8,12 @@ diagonal have become one run.
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.io import stored
 from .normalize import let, worded
 
 PAIR = ["a_doc", "b_doc"]
@@ -67,8 +69,17 @@ def seeds_by_index(gs: DataFrame, other: DataFrame | None = None, prune: bool =
     return a.join(b, "g").where("a_doc < b_doc").select(*SEED)
 
 
-def seeds_by_candidates(pairs: DataFrame, gs: DataFrame) -> DataFrame:
-    """The paper's order: candidate pairs first, then the grams of both documents."""
+def seeds_between(gs: DataFrame, other: DataFrame) -> DataFrame:
+    """Equal grams of two collections, each with ids of its own."""
+    a, b = _sides(gs, other)
+    return a.join(b, "g").select(*SEED)
+
+
+def seeds_by_candidates(pairs: DataFrame, gs: DataFrame, plan: str = "candidates") -> DataFrame:
+    """Seeds of the candidate pairs. Two orders of the joins give the same rows: ``candidates`` brings the grams of both
+    documents to each pair, ``index`` keeps of all equal grams those of a candidate pair."""
+    if plan == "index":
+        return seeds_by_index(gs, prune=True).join(pairs, PAIR, "left_semi").select(*SEED)
     a, b = _sides(gs, gs)
     return pairs.join(a, "a_doc").join(b, ["b_doc", "g"]).select(*SEED)
 
@@ -102,10 +113,31 @@ def islands(spans: DataFrame, delta: int | Column = 250, rounds: int = 2, more_k
     return spans
 
 
-def merge(spans: DataFrame, delta: int | Column = 250, rounds: int = 2, min_seeds: int = 1, more_keys: list[str] | None = None) -> DataFrame:
-    """Cases: spans of a pair that stay within ``delta`` characters of one another in both documents, by islands."""
+def settled(spans: DataFrame, delta: int | Column = 250, more_keys: list[str] | None = None) -> DataFrame:
+    """Islands split until a round splits none any more. The group is one number, ``_g``; each round is stored."""
+    keys = [*PAIR, *(more_keys or [])]
+    spans, groups = spans.withColumn("_g", F.lit(0).cast("bigint")), -1
+    while True:
+        for side in ("a", "b"):
+            spans = _split(spans, side, delta, [*keys, "_g"], "_part")
+            spans = spans.withColumn("_g", F.xxhash64("_g", F.lit(side), "_part")).drop("_part")
+        spans = stored(spans, "islands")
+        now = spans.select(*keys, "_g").distinct().count()
+        if now == groups:
+            return spans
+        groups = now
+
+
+def merge(spans: DataFrame, delta: int | Column = 250, rounds: int | None = 2, min_seeds: int = 1, more_keys: list[str] | None = None) -> DataFrame:
+    """Cases: spans of a pair that stay within ``delta`` characters of one another in both documents, by islands.
+
+    Without a number of ``rounds`` they are split until nothing changes.
+    """
     if "n_seeds" not in spans.columns:
         spans = spans.withColumn("n_seeds", F.lit(1))
+    if rounds is None:
+        whole = settled(spans, delta, more_keys)
+        return _spans(whole.groupBy(*PAIR, *(more_keys or []), "_g")).where(F.col("n_seeds") >= min_seeds).drop("_g")
     grouped = islands(spans, delta, rounds, more_keys)
     keys = [*PAIR, *(more_keys or []), *(c for c in grouped.columns if c.startswith("_g"))]
     return _spans(grouped.groupBy(*keys)).where(F.col("n_seeds") >= min_seeds).drop(*(k for k in keys if k.startswith("_g")))
@@ -132,12 +164,15 @@ def components(run_rows: DataFrame, delta: int = 250, near: str = "both") -> Dat
     """Single-link components of runs: linked if near in both documents, or in at least one.
 
     A sweep along each side joins neighbours with union-find; two runs are near on a side if the gap of their spans is at
-    most ``delta``. For ``either`` the nearest neighbours along each side suffice; for ``both`` runs open along a are tested in b.
+    most ``delta``. For ``either`` the gaps of each side suffice; for ``both`` runs open along a are tested in b, all at once.
     """
 
+    span = list(SPAN)  # bound here: executors need no installed copy of this package
+
     def run(pair: pd.DataFrame) -> pd.DataFrame:
-        pair = pair.sort_values(SPAN).reset_index(drop=True)
-        root = list(range(len(pair)))
+        pair = pair.sort_values(span).reset_index(drop=True)
+        ends = {c: pair[c].to_numpy() for c in span}
+        root = np.arange(len(pair))
 
         def top(i: int) -> int:
             while root[i] != i:
@@ -151,22 +186,21 @@ def components(run_rows: DataFrame, delta: int = 250, near: str = "both") -> Dat
 
         if near == "either":
             for s in "ab":
-                order = pair.sort_values([f"{s}_begin", f"{s}_end"]).index
-                far, last = None, None
-                for i in order:
-                    if far is not None and pair[f"{s}_begin"][i] - far <= delta:
-                        join(i, last)
-                    if far is None or pair[f"{s}_end"][i] > far:
-                        far, last = pair[f"{s}_end"][i], i
+                begin, end = ends[f"{s}_begin"], ends[f"{s}_end"]
+                order = np.lexsort((end, begin))
+                far = np.maximum.accumulate(end[order])
+                for k in np.flatnonzero(begin[order][1:] - far[:-1] <= delta):
+                    join(order[k], order[k + 1])  # all that stand between two gaps are one
         else:
-            a0, a1, b0, b1 = (pair[c].to_list() for c in SPAN)
-            open_rows: list[int] = []
+            a0, a1, b0, b1 = (ends[c] for c in span)
+            # Spans that are open along a at the i-th begin stand in a window before i; those that ended go as it moves.
+            live = np.empty(0, int)
             for i in range(len(pair)):
-                open_rows = [j for j in open_rows if a0[i] - a1[j] <= delta]
-                for j in open_rows:
-                    if max(b0[i], b0[j]) - min(b1[i], b1[j]) <= delta:
-                        join(i, j)
-                open_rows.append(i)
+                live = live[a0[i] - a1[live] <= delta]
+                found = live[np.maximum(b0[i], b0[live]) - np.minimum(b1[i], b1[live]) <= delta]
+                for j in np.unique(root[found]):
+                    join(i, j)
+                live = np.append(live, i)
         pair["_c"] = [top(i) for i in range(len(pair))]
         out = pair.groupby(["a_doc", "b_doc", "_c"], as_index=False).agg({"a_begin": "min", "a_end": "max", "b_begin": "min", "b_end": "max", "n_seeds": "sum"})
         return out.drop(columns="_c")

@@ -9,6 +9,9 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.alignment import seeds_by_candidates
+from ..operators.retrieval import candidates
+
 
 @dataclass(frozen=True)
 class Volumes:
@@ -34,6 +37,11 @@ def choose_seed_plan(v: Volumes) -> str:
     return "candidates" if v.bucket_pairs < v.seed_rows else "index"
 
 
+def planned_seeds(posts: DataFrame, grams: DataFrame) -> DataFrame:
+    """Seeds of the candidate pairs of ``posts``, by the order of joins that makes fewer rows."""
+    return seeds_by_candidates(candidates(posts), grams, choose_seed_plan(volumes(grams, posts)))
+
+
 def describe(df: DataFrame) -> dict[str, int]:
     """How many of each costly operator the physical plan has."""
     text = df._jdf.queryExecution().executedPlan().toString()
