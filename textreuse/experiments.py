@@ -12,11 +12,12 @@ from .functions import sql as sqlfn
 from .operators import evaluation as ev
 from .registry import query
 from .sources.catalog import documents, load
+from .sources.io import stored
 
 
 def corpus(spark, sf_dir) -> DataFrame:
-    """200 pairs, 40 a stratum; at most half of the hosts on small tables."""
-    return ev.labelled_corpus(documents(spark, sf_dir), load(spark, sf_dir, "benchmark"))
+    """10,000 pairs, 2,000 a stratum; on smaller tables a pair for every two hosts."""
+    return ev.hosted_corpus(documents(spark, sf_dir), load(spark, sf_dir, "benchmark"))
 
 
 _ROWS = ", ".join("(" + ", ".join("null" if v is None else f"'{v}'" if isinstance(v, str) else f"{v}" for v in row) + ")" for row in ev.PUBLISHED)
@@ -43,60 +44,95 @@ def published_subquadratic_low(spark, sf_dir):
     return ev.published_scores(spark).where("complexity = 'O(n+m)' and specificity = 'Low'").select("line", "precision", "recall", "f05")
 
 
-@query("labelled_pairs")
+_CORPUS = f"with {sql.CORPUS}"
+_FOUND = f"{_CORPUS}, {sql.detected('found')}"
+_SCORED = f"{_FOUND}, {sql.counted('found')}"
+
+
+@query("labelled_pairs", f"{_CORPUS} select * from corp")
 def labelled_pairs(spark, sf_dir):
     return corpus(spark, sf_dir).select("pair_id", "strategy", F.array_join("a_words", " ").alias("a_text"), F.array_join("b_words", " ").alias("b_text"), "a_begin", "a_end", "b_begin", "b_end")
 
 
-@query("score_by_strategy")
+@query("score_by_strategy", f"{_SCORED}, m as ({sql.MICRO}) select strategy, {sql.PRF} from m")
 def score_by_strategy(spark, sf_dir):
-    c = corpus(spark, sf_dir)
+    c = stored(corpus(spark, sf_dir), "corpus")
     return ev.rounded(ev.scores(ev.counts(c, ev.detect(c)), ["strategy"]))
 
 
-@query("score_corpus")
+@query("score_corpus", f"{_SCORED}, m as ({sql.MICRO}), w as (select avg(p) as p, avg(r) as r from m) select {sql.PRF} from w")
 def score_corpus(spark, sf_dir):
-    c = corpus(spark, sf_dir)
+    c = stored(corpus(spark, sf_dir), "corpus")
     return ev.rounded(ev.corpus_score(ev.scores(ev.counts(c, ev.detect(c)), ["strategy"]), []))
 
 
-@query("score_micro_macro")
+@query("score_micro_macro", f"{_SCORED}, m as (select 'micro' as average, * from ({sql.MICRO}) union all select 'macro', * from ({sql.MACRO})) select average, strategy, {sql.PRF} from m")
 def score_micro_macro(spark, sf_dir):
-    c = corpus(spark, sf_dir)
+    c = stored(corpus(spark, sf_dir), "corpus")
     n = ev.counts(c, ev.detect(c))
     kinds = [ev.scores(n, ["strategy"], kind).withColumn("average", F.lit(kind)) for kind in ("micro", "macro")]
     return ev.rounded(reduce(DataFrame.unionByName, kinds))
 
 
-@query("score_granularity")
+_GRANULARITY = "hit as (select f.pair_id, count(*) as n from found f join corp c on f.pair_id = c.pair_id and f.a_begin < c.a_end and f.a_end > c.a_begin group by 1), gr as (select avg(n) as granularity from hit)"
+
+
+@query("score_granularity", f"{_FOUND}, {_GRANULARITY} select round(granularity, 6) as granularity from gr")
 def score_granularity(spark, sf_dir):
-    c = corpus(spark, sf_dir)
+    c = stored(corpus(spark, sf_dir), "corpus")
     return ev.granularity(c, ev.detect(c)).select(F.round("granularity", 6).alias("granularity"))
 
 
+@query("score_combined", f"{_SCORED}, {_GRANULARITY}, m as ({sql.MICRO}), w as (select avg(p) as p, avg(r) as r from m) select round(p, 6) as precision, round(r, 6) as recall, round(2 * p * r / (p + r), 6) as f1, round(granularity, 6) as granularity, round(2 * p * r / (p + r) / log2(1 + granularity), 6) as combined from w, gr")
+def score_combined(spark, sf_dir):
+    c = stored(corpus(spark, sf_dir), "corpus")
+    found = stored(ev.detect(c), "detected")
+    whole = ev.corpus_score(ev.scores(ev.counts(c, found), ["strategy"]), [])
+    rows = ev.combined(whole, ev.granularity(c, found))
+    return rows.select(*(F.round(x, 6).alias(x) for x in rows.columns))
+
+
 @query("grid_scores")
 def grid_scores(spark, sf_dir):
-    return ev.grid(corpus(spark, sf_dir))
+    return ev.grid(stored(corpus(spark, sf_dir), "corpus"))
+
+
+def _cell(name: str, n: int, k: int, delta: int) -> str:
+    return f"{name} as (with {sql.detected('found', n, n - k, delta)}, {sql.counted('found')}, m as ({sql.MICRO}), b as (select * from m union all select 'whole corpus', avg(p), avg(r) from m) select {n}::bigint as n, {k}::bigint as k, {delta}::bigint as delta, strategy, {sql.PRF} from b)"
+
+
+_CELLS = [(4, 3, 50), (8, 7, 250), (10, 5, 500)]
+
+
+@query("grid_cells", f"{_CORPUS}, {', '.join(_cell(f'c{i}', *c) for i, c in enumerate(_CELLS))} select * from c0 union all select * from c1 union all select * from c2")
+def grid_cells(spark, sf_dir):
+    """Three cells of the grid, which SQL can compute too."""
+    rows = grid_scores(spark, sf_dir)
+    return rows.where(reduce(lambda a, b: a | b, ((F.col("n") == n) & (F.col("k") == k) & (F.col("delta") == d) for n, k, d in _CELLS)))
 
 
 @query("grid_best")
 def grid_best(spark, sf_dir):
-    return ev.best(ev.grid(corpus(spark, sf_dir)))
+    return ev.best(ev.grid(stored(corpus(spark, sf_dir), "corpus")))
 
 
 @query("approach_comparison")
 def approach_comparison(spark, sf_dir):
-    return ev.compare(corpus(spark, sf_dir))
+    return ev.compare(stored(corpus(spark, sf_dir), "corpus"))
 
 
-def _approach(name: str, run) -> None:
-    @query(name)
+def _approach(name: str, run, text: str | None = None) -> None:
+    @query(name, text)
     def spans(spark, sf_dir):
-        return run(corpus(spark, sf_dir))
+        return run(stored(corpus(spark, sf_dir), "corpus"))
 
 
-for _name, _run in {"base_simple_chunks": ev.simple_chunks, "base_ensemble": ev.ensemble, "base_strategy_switch": ev.strategy_switch, "base_local_alignment": ev.local_alignment}.items():
-    _approach(_name, _run)
+_ENSEMBLE = f"""{_CORPUS}, {sql.detected('one')}, {sql.detected('two', 6, 1, 100, order=False)},
+s as (select pair_id as a_doc, 0 as b_doc, a_begin, a_end, b_begin, b_end from one union all select pair_id, 0, a_begin, a_end, b_begin, b_end from two), {sql.islands('s', 0)} select a_doc as pair_id, a_begin, a_end, b_begin, b_end from k"""
+_approach("base_simple_chunks", ev.simple_chunks, f"{_CORPUS}, {sql.detected('found', 5, 5, 250)} select pair_id, a_begin, a_end, b_begin, b_end from found")
+_approach("base_ensemble", ev.ensemble, _ENSEMBLE)
+_approach("base_strategy_switch", ev.strategy_switch)
+_approach("base_local_alignment", ev.local_alignment)
 
 
 # Functions that SQL users call
