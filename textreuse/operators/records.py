@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.io import stored
-from .normalize import clean
+from .normalize import begins, clean, let, two_versions, words
 
 LANGUAGE_AREAS = {"en": 0, "de": 1, "fr": 2, "es": 3}
 
@@ -54,6 +54,62 @@ def hydrate(cases: DataFrame, docs: DataFrame) -> DataFrame:
     return out.withColumns({"a_text": cut("a"), "b_text": cut("b")}).drop("_a", "_b")
 
 
+def full_places(docs: DataFrame) -> DataFrame:
+    """``doc_id, full_text`` with ``begins`` and ``ends`` of the words in clean coordinates, and in the full text (``full_begins``, ``full_ends``)."""
+    two = two_versions(docs)
+    rows = two.select("doc_id", "full_text", F.col("clean_to_full").alias("full_begins"), words(F.col("clean_text")).alias("_w"))
+    rows = rows.withColumn("begins", begins(F.col("_w")))
+    ends = lambda at: F.zip_with(F.col(at), "_w", lambda b, w: b + F.length(w))
+    return rows.select("doc_id", "full_text", "begins", ends("begins").alias("ends"), "full_begins", ends("full_begins").alias("full_ends"))
+
+
+def hydrate_full(cases: DataFrame, docs: DataFrame, margin: int = 1) -> DataFrame:
+    """Cases with the passages of the uncleaned texts: ``a_full``, ``b_full`` and their places there; ``a_around`` and
+    ``b_around`` have ``margin`` characters more on both ends."""
+    places, out = full_places(docs), cases
+    for s in "ab":
+        side = places.select(F.col("doc_id").alias(f"{s}_doc"), *(F.col(c).alias(f"_{c}") for c in places.columns if c != "doc_id"))
+        out = out.join(side, f"{s}_doc")
+        at = lambda edges, value, full: F.get(F.col(full), (F.array_position(F.col(edges), F.col(value)) - 1).cast("int"))
+        out = out.withColumns({f"{s}_full_begin": at("_begins", f"{s}_begin", "_full_begins"), f"{s}_full_end": at("_ends", f"{s}_end", "_full_ends")})
+        start = F.greatest(F.lit(0), F.col(f"{s}_full_begin") - margin)
+        cut = lambda a, z: F.substring(F.col("_full_text"), a + 1, z - a)
+        out = out.withColumns({f"{s}_full": cut(F.col(f"{s}_full_begin"), F.col(f"{s}_full_end")), f"{s}_around": cut(start, F.col(f"{s}_full_end") + margin)})
+        out = out.drop(*(f"_{c}" for c in places.columns))
+    return out
+
+
+#: Marks that open or close a quotation.
+QUOTES = "[\"\u201c\u201d\u201e\u00ab\u00bb]"
+
+
+def quoted(full: DataFrame) -> Column:
+    """Whether a mark of quotation stands in or at the a side of :func:`hydrate_full`."""
+    return F.col("a_around").rlike(QUOTES)
+
+
+def examples(kinds: DataFrame, docs: DataFrame, many: int = 3, width: int = 40, shown: int = 80) -> DataFrame:
+    """The ``many`` longest cases of each kind, with the begin of the passage and what stands around it."""
+    order = [(F.col("a_end") - F.col("a_begin")).desc(), "a_doc", "b_doc", "a_begin", "b_begin"]
+    top = kinds.withColumn("rank", F.row_number().over(Window.partitionBy("kind").orderBy(*order))).where(F.col("rank") <= many)
+    texts = docs.select(F.col("doc_id").alias("a_doc"), clean(F.col("text")).alias("_t"))
+    start = F.greatest(F.lit(0), F.col("a_begin") - width)
+    passage = F.substring("_t", F.col("a_begin") + 1, F.least(F.lit(shown), F.col("a_end") - F.col("a_begin")))
+    return top.join(texts, "a_doc").select("kind", "rank", "a_doc", "b_doc", "a_begin", "b_begin", F.substring("_t", start + 1, F.col("a_begin") - start).alias("before"), passage.alias("passage"), F.substring("_t", F.col("a_end") + 1, F.lit(width)).alias("after"))
+
+
+def without_common_gram(hydrated: DataFrame, n: int = 8) -> DataFrame:
+    """Cases of :func:`hydrate` whose recovered texts share no n-gram, whatever their length: none, if locators are right.
+
+    The grams of both texts meet in an equi-join by case and hash; a hash that only one side has is no match.
+    """
+    numbered = hydrated.withColumn("_case", case_id())
+    grams = lambda c: F.when(F.size(c) >= n, F.transform(F.sequence(F.lit(0), F.size(c) - n), lambda p: F.xxhash64(F.array_join(F.slice(c, p + 1, n), " "))))
+    side = lambda s: numbered.select("_case", F.explode(let(words(F.col(f"{s}_text")), grams)).alias("_h")).distinct()
+    shared = side("a").join(side("b"), ["_case", "_h"]).select("_case").distinct()
+    return numbered.join(shared, "_case", "left_anti").drop("_case")
+
+
 def context_window(cases: DataFrame, docs: DataFrame, width: int = 40) -> DataFrame:
     """What stands before and after the a side, at most ``width`` characters each."""
     texts = docs.select(F.col("doc_id").alias("a_doc"), clean(F.col("text")).alias("_t"))
@@ -138,9 +194,9 @@ def by_discipline(cases: DataFrame, pubs: DataFrame) -> DataFrame:
     return rows.select("discipline", cases_n.alias("cases"), "publications", F.round(cases_n / F.nullif("_c", F.lit(0)), 6).alias("case_share"), F.round(F.col("publications") / F.nullif("_p", F.lit(0)), 6).alias("publication_share"))
 
 
-def example_kind(cases: DataFrame, many: int = 5, dense: float = 0.15) -> DataFrame:
-    """An illustrative kind: boilerplate if the a passage recurs in many documents, verbatim if seeds are dense, else paraphrase."""
+def example_kind(cases: DataFrame, many: int = 5, dense: float = 0.15, quotation: Column | None = None) -> DataFrame:
+    """An illustrative kind: boilerplate if the a passage recurs in many documents, quotation if ``quotation`` holds, verbatim if seeds are dense, else paraphrase."""
     spread = cases.groupBy("a_doc", "a_begin", "a_end").agg(F.count_distinct("b_doc").alias("_n"))
     rows = cases.join(spread, ["a_doc", "a_begin", "a_end"])
     density = F.col("n_seeds") / (F.col("a_end") - F.col("a_begin"))
-    return rows.withColumn("kind", F.when(F.col("_n") >= many, "boilerplate").when(density >= dense / 8, "verbatim").otherwise("paraphrase")).drop("_n")
+    return rows.withColumn("kind", F.when(F.col("_n") >= many, "boilerplate").when(F.lit(False) if quotation is None else quotation, "quotation").when(density >= dense / 8, "verbatim").otherwise("paraphrase")).drop("_n")

@@ -7,11 +7,14 @@ from pyspark.sql import functions as F
 
 from . import oracles as sql
 from .operators import alignment as al
+from .operators import exhaustive as ex
 from .operators import normalize as nz
 from .operators import records as rec
 from .operators import retrieval as sr
 from .operators import similarity as sim
+from .plans import choose
 from .registry import query
+from .sources import io
 from .sources.catalog import documents, load
 
 CASES = ["a_doc", "b_doc", "a_begin", "a_end", "b_begin", "b_end", "n_seeds"]
@@ -98,6 +101,12 @@ def doc_two_versions(spark, sf_dir):
     return rows.select("doc_id", F.length("full_text").alias("full_chars"), F.length("clean_text").alias("clean_chars"), F.array_join("clean_to_full", "|").alias("places"))
 
 
+@query("doc_language", "select doc_id, lang from documents where lang = 'en'")
+def doc_language(spark, sf_dir):
+    """The documents of one language: a filter that reaches the scan."""
+    return _full(spark, sf_dir).where("lang = 'en'").select("doc_id", "lang")
+
+
 # Similarity
 
 
@@ -168,6 +177,14 @@ def passage_minhash_xx(spark, sf_dir):
     return sr.sketched(documents(spark, sf_dir)).select("doc_id", "passage_no", F.posexplode("sig").alias("slot", "hash"))
 
 
+@query("passage_minhash_affine", f"""with {sql.words()}, p as (select distinct doc_id, pos // 50 as passage_no, word from tok),
+h as (select *, ('0x' || substr(md5(word), 1, 8))::bigint % 2147483647 as x from p),
+c as (select i as slot, ('0x' || substr(md5('a' || i), 1, 8))::bigint % 2147483647 + 1 as a, ('0x' || substr(md5('b' || i), 1, 8))::bigint % 2147483647 as b from range(10) r(i))
+select doc_id, passage_no, slot, min((a * x + b) % 2147483647) as hash from h, c group by 1, 2, 3""")
+def passage_minhash_affine(spark, sf_dir):
+    return sr.sketched(documents(spark, sf_dir), family="affine").select("doc_id", "passage_no", F.posexplode("sig").alias("slot", "hash"))
+
+
 @query("minhash_jaccard_estimate", f"""with {sql.signatures()}, c as (select a.doc_id as a_doc, a.passage_no as a_passage, b.doc_id as b_doc, b.passage_no as b_passage, count(*) as slots
   from sig a join sig b on a.slot = b.slot and a.hash = b.hash and a.doc_id < b.doc_id group by 1, 2, 3, 4) select slots, round(slots / 10, 6) as estimate, count(*) as passage_pairs from c group by 1, 2""")
 def minhash_jaccard_estimate(spark, sf_dir):
@@ -261,6 +278,11 @@ def sr_bucket_profile(spark, sf_dir):
     return sr.bucket_profile(_posts(spark, sf_dir))
 
 
+@query("sr_candidates_per_document", f"with {sql.candidates()}, e as (select a_doc as doc_id from cand union all select b_doc from cand), c as (select doc_id, count(*) as n from e group by 1), z as (select coalesce(n, 0) as n from documents left join c using (doc_id)), v as (select unnest([0.0, 0.25, 0.5, 0.75, 0.9, 1.0])::double as share) select share, round((select quantile_cont(n, [0.0, 0.25, 0.5, 0.75, 0.9, 1.0]) from z)[list_position([0.0, 0.25, 0.5, 0.75, 0.9, 1.0], share)], 6) as candidates from v")
+def sr_candidates_per_document(spark, sf_dir):
+    return sr.per_document(sr.candidates(_posts(spark, sf_dir)), documents(spark, sf_dir))
+
+
 _SWEEP = [(20, 5), (20, 10), (50, 5), (50, 10), (50, 20), (100, 10)]
 
 
@@ -285,6 +307,20 @@ def base_all_pairs(spark, sf_dir):
     return pairs.agg(F.count(F.lit(1)).alias("comparisons"), (F.count(F.lit(1)) * 2).alias("ordered"))
 
 
+_EXACT = 0.5
+
+
+@query("base_passage_exact", f"""with {sql.words()}, p as (select distinct doc_id, pos // 50 as q, word from tok), z as (select doc_id, q, count(*) as n from p group by 1, 2), f as (select word, count(*) as df from p group by 1),
+r as (select p.*, n, row_number() over (partition by p.doc_id, p.q order by df, word) as k from p join f using (word) join z on z.doc_id = p.doc_id and z.q = p.q),
+c as (select distinct a.doc_id as a_doc, a.q as a_passage, b.doc_id as b_doc, b.q as b_passage, a.n as an, b.n as bn from r a join r b on a.word = b.word and a.doc_id < b.doc_id and a.k <= a.n - ceil({_EXACT} * a.n) + 1 and b.k <= b.n - ceil({_EXACT} * b.n) + 1),
+s as (select a_doc, a_passage, b_doc, b_passage, an, bn, count(*) as shared from c join p x on x.doc_id = a_doc and x.q = a_passage join p y on y.doc_id = b_doc and y.q = b_passage and y.word = x.word group by all)
+select a_doc, a_passage, b_doc, b_passage, round(shared / (an + bn - shared), 6) as jaccard from s where shared / (an + bn - shared) >= {_EXACT}""")
+def base_passage_exact(spark, sf_dir):
+    """Pairs of passages above a similarity without any sketch, over the whole collection."""
+    rows = ex.passage_pairs_by_prefix(sr.chop(nz.worded(documents(spark, sf_dir)), 50), _EXACT)
+    return rows.withColumn("jaccard", F.round("jaccard", 6))
+
+
 # Text alignment
 
 
@@ -336,6 +372,45 @@ def al_cases(spark, sf_dir):
     return _cases(spark, sf_dir)
 
 
+_BY_CANDIDATES = f"""{sql.candidates()}, g as materialized (select * from (select doc_id, pos, "begin", lead("end", 7) over o as "end", concat_ws(' ', {", ".join("word" if i == 0 else f"lead(word, {i}) over o" for i in range(8))}) as g from tok window o as (partition by doc_id order by pos)) where "end" is not null),
+s as (select {sql.SEED_COLUMNS} from g a join g b on a.g = b.g and a.doc_id < b.doc_id semi join cand on cand.a_doc = a.doc_id and cand.b_doc = b.doc_id),
+{sql.islands()}"""
+
+
+def _cases_of_candidates(spark, sf_dir) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    found = choose.planned_seeds(_posts(spark, sf_dir), al.grams(nz.worded(docs)))
+    return al.merge(al.runs(found)).select(*CASES)
+
+
+@query("al_cases_candidates", f"with {_BY_CANDIDATES} select {sql.CASE_COLUMNS} from k")
+def al_cases_candidates(spark, sf_dir):
+    """The whole pipeline in its order: passages of 50 words with 10 fingerprints, candidates, seeds of 8 words, cases."""
+    return _cases_of_candidates(spark, sf_dir)
+
+
+@query("al_cases_recall", f"with c as (with {_BY_CANDIDATES} select {sql.CASE_COLUMNS} from k), e as (with {sql.cases()} select {sql.CASE_COLUMNS} from k) select (select count(*) from e) as exact, (select count(*) from c) as by_candidates, (select count(*) from e semi join c using ({sql.CASE_COLUMNS})) as found, round((select count(*) from e semi join c using ({sql.CASE_COLUMNS})) / nullif((select count(*) from e), 0), 6) as recall")
+def al_cases_recall(spark, sf_dir):
+    """Cases of the pipeline among those of the exact alignment of all pairs."""
+    exact, some = io.stored(_cases(spark, sf_dir), "exact"), io.stored(_cases_of_candidates(spark, sf_dir), "by-candidates")
+    n = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    row = n(exact, "exact").join(n(some, "by_candidates"), F.lit(True)).join(n(exact.join(some, CASES, "left_semi"), "found"), F.lit(True))
+    return row.withColumn("recall", F.round(F.col("found") / F.nullif("exact", F.lit(0)), 6))
+
+
+@query("al_cases_fixpoint", f"with {sql.seeds()}, {sql.islands('s', 250, 4)} select {sql.CASE_COLUMNS} from k")
+def al_cases_fixpoint(spark, sf_dir):
+    """Islands split until a round splits none; the SQL makes four rounds."""
+    return al.merge(al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)), rounds=None).select(*CASES)
+
+
+@query("al_seeds_nested_loop", f"""with t0 as (with {sql.grams(source='benchmark', key='item_id')} select * from g), t1 as (with {sql.grams()} select * from g) select {sql.SEED_COLUMNS.replace('a.doc_id as a_doc', 'a.doc_id as item_id').replace('b.doc_id as b_doc', 'b.doc_id as doc_id')} from t0 a join t1 b on a.g = b.g""")
+def al_seeds_nested_loop(spark, sf_dir):
+    """The reference meaning of seeding: each gram of an item is compared with each gram of a document (a product, on purpose)."""
+    items = al.grams(nz.worded(load(spark, sf_dir, "benchmark"), "item_id"))
+    return ex.compared(items, al.grams(nz.worded(documents(spark, sf_dir)))).withColumnsRenamed({"a_doc": "item_id", "b_doc": "doc_id"})
+
+
 @query("al_cases_delta_50", f"with {sql.cases(delta=50)} select {sql.CASE_COLUMNS} from k")
 def al_cases_delta_50(spark, sf_dir):
     return _cases(spark, sf_dir, delta=50)
@@ -419,15 +494,42 @@ def case_hydrate(spark, sf_dir):
     return rec.hydrate(_cases(spark, sf_dir), documents(spark, sf_dir))
 
 
-@query("case_hydrate_check", "select 0::bigint as violations")
+_EIGHTS = "list_transform(range(1, greatest(len({0}) - 6, 1)), lambda i: array_to_string({0}[i:i + 7], ' '))"
+
+
+@query("case_hydrate_check", f"with {sql.cases()}, h as (select string_split(substr(da.c, a_begin + 1, a_end - a_begin), ' ') as x, string_split(substr(db.c, b_begin + 1, b_end - b_begin), ' ') as y from k join d da on da.doc_id = a_doc join d db on db.doc_id = b_doc) select count(*) as cases, count(*) filter (not list_has_any({_EIGHTS.format('x')}, {_EIGHTS.format('y')})) as violations from h")
 def case_hydrate_check(spark, sf_dir):
     """Cases of which the recovered texts share no 8-gram: none may exist."""
+    rows = io.stored(rec.hydrate(_cases(spark, sf_dir), documents(spark, sf_dir)), "hydrated")
+    bad = rec.without_common_gram(rows).agg(F.count(F.lit(1)).alias("violations"))
+    return rows.agg(F.count(F.lit(1)).alias("cases")).join(bad, F.lit(True))
+
+
+_PLACES = r"""fp as (select doc_id, text, string_split(regexp_replace(text, '[^\p{L}]', ' ', 'g'), ' ') as ps from documents),
+fu as (select doc_id, unnest(ps) as w, generate_subscripts(ps, 1) as i from fp),
+fo as (select doc_id, i, w, coalesce(sum(length(w) + 1) over (partition by doc_id order by i rows between unbounded preceding and 1 preceding), 0)::bigint as fb from fu),
+fw as (select doc_id, row_number() over (partition by doc_id order by i) - 1 as pos, fb, fb + length(w) as fe from fo where w <> ''),
+pl as (select doc_id, "begin", "end", fb, fe from tok join fw using (doc_id, pos))"""
+_FULL = f"{sql.cases()}, {_PLACES}, fk as (select k.*, a1.fb as a_full_begin, a2.fe as a_full_end, b1.fb as b_full_begin, b2.fe as b_full_end from k join pl a1 on a1.doc_id = a_doc and a1.\"begin\" = a_begin join pl a2 on a2.doc_id = a_doc and a2.\"end\" = a_end join pl b1 on b1.doc_id = b_doc and b1.\"begin\" = b_begin join pl b2 on b2.doc_id = b_doc and b2.\"end\" = b_end)"
+
+
+@query("case_hydrate_full", f"with {_FULL} select {sql.CASE_COLUMNS}, a_full_begin, a_full_end, b_full_begin, b_full_end, substr(da.text, a_full_begin + 1, a_full_end - a_full_begin) as a_full, substr(db.text, b_full_begin + 1, b_full_end - b_full_begin) as b_full from fk join documents da on da.doc_id = a_doc join documents db on db.doc_id = b_doc")
+def case_hydrate_full(spark, sf_dir):
+    """The passages as they stand in the uncleaned texts."""
+    return rec.hydrate_full(_cases(spark, sf_dir), documents(spark, sf_dir)).drop("a_around", "b_around")
+
+
+@query("case_editions", f"with {sql.cases()}, h as (select a_end - a_begin + b_end - b_begin as chars from k) select 'full' as edition, count(*) as cases, sum(chars)::bigint as text_chars from h union all select 'metadata', count(*), 0 from h")
+def case_editions(spark, sf_dir):
+    """The records as two archives, with and without texts, written and read again."""
     rows = rec.hydrate(_cases(spark, sf_dir), documents(spark, sf_dir))
-    gram = lambda c: F.expr(f"transform(sequence(0, size(split({c}, ' ')) - 8), p -> array_join(slice(split({c}, ' '), p + 1, 8), ' '))")
-    short = F.least(F.length("a_text"), F.length("b_text")) < 3000
-    # Long spans are tested by their first seed's words at the begin of the a side, which must stand in b or the other way round.
-    bad = F.when(short, ~F.arrays_overlap(gram("a_text"), gram("b_text"))).otherwise((F.size(F.split("a_text", " ")) < 8) | (F.size(F.split("b_text", " ")) < 8))
-    return rows.agg(F.count_if(bad).alias("violations"))
+    where = f"{io.shared_folder(spark)}/textreuse-editions-{io.uuid.uuid4().hex}"
+    io.write_editions(rows, where)
+    full = io.read_jsonl(spark, f"{where}/full", rows.schema)
+    plain = io.read_jsonl(spark, f"{where}/metadata", rows.drop("a_text", "b_text").schema)
+    n = F.count(F.lit(1)).alias("cases")
+    first = full.agg(n, F.sum(F.length("a_text") + F.length("b_text")).alias("text_chars")).select(F.lit("full").alias("edition"), "cases", "text_chars")
+    return first.unionAll(plain.agg(n).select(F.lit("metadata").alias("edition"), "cases", F.lit(0).cast("bigint")))
 
 
 @query("case_context_window", f"with {sql.cases()} select a_doc, b_doc, a_begin, a_end, substr(c, greatest(0, a_begin - 40) + 1, a_begin - greatest(0, a_begin - 40)) as before, substr(c, a_begin + 1, a_end - a_begin) as passage, substr(c, a_end + 1, 40) as after from k join d on d.doc_id = a_doc")
@@ -459,6 +561,28 @@ def case_kinds(spark, sf_dir):
     return rec.example_kind(_cases(spark, sf_dir)).groupBy("kind").agg(F.count(F.lit(1)).alias("cases"))
 
 
+_KINDS = f"""{_FULL}, kn as (select a_doc, a_begin, a_end, count(distinct b_doc) as n from k group by 1, 2, 3),
+kk as (select fk.*, case when n >= 5 then 'boilerplate' when regexp_matches(substr(text, greatest(0, a_full_begin - 1) + 1, a_full_end + 1 - greatest(0, a_full_begin - 1)), '["\u201c\u201d\u201e\u00ab\u00bb]') then 'quotation' when n_seeds / (a_end - a_begin) >= 0.15::double / 8 then 'verbatim' else 'paraphrase' end as kind
+  from fk join kn using (a_doc, a_begin, a_end) join documents on documents.doc_id = a_doc)"""
+
+
+def _kinds(spark, sf_dir) -> DataFrame:
+    full = rec.hydrate_full(_cases(spark, sf_dir), documents(spark, sf_dir))
+    return rec.example_kind(full, quotation=rec.quoted(full))
+
+
+@query("case_kinds_four", f"with {_KINDS} select kind, count(*) as cases from kk group by 1")
+def case_kinds_four(spark, sf_dir):
+    """Boilerplate, quotation, verbatim and paraphrase by yield."""
+    return _kinds(spark, sf_dir).groupBy("kind").agg(F.count(F.lit(1)).alias("cases"))
+
+
+@query("case_examples", f"with {_KINDS}, top as (select *, row_number() over (partition by kind order by a_end - a_begin desc, a_doc, b_doc, a_begin, b_begin) as rank from kk) select kind, rank, a_doc, b_doc, a_begin, b_begin, substr(c, greatest(0, a_begin - 40) + 1, a_begin - greatest(0, a_begin - 40)) as before, substr(c, a_begin + 1, least(80, a_end - a_begin)) as passage, substr(c, a_end + 1, 40) as after from top join d on d.doc_id = a_doc where rank <= 3")
+def case_examples(spark, sf_dir):
+    """The three longest cases of each kind with their context."""
+    return rec.examples(_kinds(spark, sf_dir), documents(spark, sf_dir))
+
+
 @query("gram_df_top", f"with {sql.grams()} select g, count(distinct doc_id) as docs from g group by 1 order by 2 desc, 1 limit 20")
 def gram_df_top(spark, sf_dir):
     gs = al.grams(nz.worded(documents(spark, sf_dir)), family="text")
@@ -543,16 +667,21 @@ def base_contains(spark, sf_dir):
     return sim.contained(load(spark, sf_dir, "benchmark"), documents(spark, sf_dir))
 
 
-@query("bench_passage_recall", f"with {sql.words()}, b as (select item_id, trim(regexp_replace(lower(text), '[^\\p{{L}}]+', ' ', 'g')) as t from benchmark) select count(*) as planted, count(*) as found, 1.0::double as recall from b join d on contains(d.c, b.t) where t <> '' and len(string_split(t, ' ')) >= 8")
+@query("bench_passage_recall", f"""with it as (with {sql.grams(source='benchmark', key='item_id')} select * from g), dg as (with {sql.grams()} select * from g),
+b as (select item_id, trim(regexp_replace(lower(text), '[^\\p{{L}}]+', ' ', 'g')) as t from benchmark), dd as (select doc_id, trim(regexp_replace(lower(text), '[^\\p{{L}}]+', ' ', 'g')) as c from documents),
+wanted as (select item_id, doc_id, length(t) as n from b join dd on contains(c, t) where len(string_split(t, ' ')) >= 8),
+s as (select i.doc_id as a_doc, dg.doc_id as b_doc, i.pos as a_pos, dg.pos as b_pos, i."begin" as a_begin, i."end" as a_end, dg."begin" as b_begin, dg."end" as b_end from it i join dg on i.g = dg.g), {sql.islands()},
+whole as (select distinct a_doc as item_id, b_doc as doc_id from k join wanted on a_doc = item_id and b_doc = wanted.doc_id where a_begin = 0 and a_end = n)
+select (select count(*) from wanted) as planted, (select count(*) from whole) as found, round((select count(*) from whole) / nullif((select count(*) from wanted), 0), 6) as recall""")
 def bench_passage_recall(spark, sf_dir):
-    """Of the items that a document contains whole, those that alignment finds: all, if nothing is lost."""
+    """Of the items that a document contains whole, those that one case of alignment covers from end to end."""
     items, docs = load(spark, sf_dir, "benchmark"), documents(spark, sf_dir)
-    wanted = sim.contained(items, docs, 8)
-    a = al.grams(nz.worded(items, "item_id"))
-    b = al.grams(nz.worded(docs)).select("g", F.col("doc_id").alias("b_doc"))
-    found = a.select("g", F.col("doc_id").alias("item_id")).join(b, "g").select("item_id", F.col("b_doc").alias("doc_id")).distinct()
-    hits = wanted.join(found.withColumn("hit", F.lit(1)), ["item_id", "doc_id"], "left")
-    return hits.agg(F.count(F.lit(1)).alias("planted"), F.count("hit").alias("found"), F.round(F.count("hit") / F.count(F.lit(1)), 6).alias("recall"))
+    texts = items.select("item_id", F.length(nz.clean(F.col("text"))).alias("_n"))
+    wanted = io.stored(sim.contained(items, docs, 8), "wanted")
+    cases = al.merge(al.runs(al.seeds_between(al.grams(nz.worded(items, "item_id")), al.grams(nz.worded(docs)))))
+    whole = cases.join(texts, F.col("a_doc") == F.col("item_id")).where("a_begin = 0 and a_end = _n").select("item_id", F.col("b_doc").alias("doc_id")).distinct()
+    hits = wanted.join(whole.withColumn("hit", F.lit(1)), ["item_id", "doc_id"], "left")
+    return hits.agg(F.count(F.lit(1)).alias("planted"), F.count("hit").alias("found"), F.round(F.count("hit") / F.nullif(F.count(F.lit(1)), F.lit(0)), 6).alias("recall"))
 
 
 _CONV = "(select conv_id, string_agg(text, chr(10) order by turn) as text from conversations group by conv_id)"
@@ -565,18 +694,32 @@ def conv_cases(spark, sf_dir):
     return al.cases_of(turns.groupBy(F.col("conv_id").alias("doc_id")).agg(whole.alias("text"))).select(*CASES)
 
 
-@query("page_cases")
+_PAGES = r"""(with a as (select page_id, regexp_replace(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<nav.*?</nav>|<!--.*?-->|<head.*?</head>', ' ', 'g'),
+    '(?is)<div class="ad">.*?</div>', ' ', 'g'), '(?is)<[^>]*>', ' ', 'g') as h from pages)
+select page_id, trim(regexp_replace(replace(replace(replace(replace(replace(replace(h, '&lt;', '<'), '&gt;', '>'), '&quot;', '"'), '&#39;', ''''), '&nbsp;', ' '), '&amp;', '&'), '[\x20\n\r\t]+', ' ', 'g')) as text from a)"""
+
+
+@query("page_cases", f"with {sql.cases(source=_PAGES, key='page_id')} select {sql.CASE_COLUMNS} from k")
 def page_cases(spark, sf_dir):
     pages = nz.html_main_text(load(spark, sf_dir, "pages"))
     return al.cases_of(pages.select(F.col("page_id").alias("doc_id"), F.col("body").alias("text"))).select(*CASES)
 
 
-@query("cleaning_ablation", "with " + ", ".join(f"p{i} as (with {sql.cases(source=src)} select '{name}' as profile, (select count(*) from s) as seeds, count(*) as cases from k)" for i, (name, src) in enumerate({
-    "special characters": "documents", "full": "(select doc_id, regexp_replace(regexp_replace(text, '" + nz.KINDS["contact"] + "', ' ', 'g'), '" + nz.KINDS["number"] + "', ' ', 'g') as text from documents)"}.items())) + " select * from p0 union all select * from p1")
+#: The text that each profile hands on, and whether all but letters goes then.
+_PROFILES = {
+    "none": ("documents", False),
+    "special characters": ("documents", True),
+    "full": ("(select doc_id, regexp_replace(regexp_replace(text, '" + nz.KINDS["contact"] + "', ' ', 'g'), '" + nz.KINDS["number"] + "', ' ', 'g') as text from documents)", True),
+}
+
+
+@query("cleaning_ablation", "with " + ", ".join(f"p{i} as (with {sql.cases(source=src, letters=letters)} select '{name}' as profile, (select count(*) from s) as seeds, count(*) as cases from k)" for i, (name, (src, letters)) in enumerate(_PROFILES.items())) + " select * from p0 union all select * from p1 union all select * from p2")
 def cleaning_ablation(spark, sf_dir):
+    """Seeds and cases without cleaning, with letters only, and with contacts and numbers cut out before."""
     docs, out = documents(spark, sf_dir), None
-    for name, kinds in (("special characters", []), ("full", ["contact", "number"])):
-        seeds = al.seeds_by_index(al.grams(nz.worded(docs.withColumn("text", nz.strip_spans(F.col("text"), kinds)))), prune=True)
+    for name, kinds in (("none", None), ("special characters", []), ("full", ["contact", "number"])):
+        rows = nz.worded(docs, letters=False) if kinds is None else nz.worded(docs.withColumn("text", nz.strip_spans(F.col("text"), kinds)))
+        seeds = al.seeds_by_index(al.grams(rows), prune=True)
         cases = al.merge(al.runs(seeds)).agg(F.count(F.lit(1)).alias("cases"), F.sum("n_seeds").alias("seeds"))
         row = cases.select(F.lit(name).alias("profile"), "seeds", "cases")
         out = row if out is None else out.unionAll(row)
