@@ -12,9 +12,11 @@ the driver holds one row a block and answers at block level, with bounds that
 usually decide a capacity; where they do not, it reads the one block in question.
 
 Cases: a null text has no bytes and size 1, and all null texts are one group; an
-empty text is another group. Ids that are null come first. Repeated rows share a
-group. With fewer groups than shards, trailing shards stay empty. An empty table
-gives an empty result.
+empty text is another group. Ids that are null come first; groups whose smallest ids tie
+stand by digest. Repeated rows share a group. A very long text is one group like others,
+and bounds the capacity from below. With fewer groups than shards, trailing shards stay
+empty. An empty table gives an empty result. Other columns are passed by, whatever their
+names.
 """
 
 from __future__ import annotations
