@@ -21,10 +21,13 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def spread(df: DataFrame, key: str) -> DataFrame:
-    """Deal rows by ``key`` if the scan has fewer splits than the session has cores; a large table stays as it is."""
+    """Deal rows by ``key`` if fewer partitions of the scan have rows than the session has cores; a large table stays as it is.
+
+    A row group is read by one task whole, however many splits a file has; the count of rows by partition reads no column.
+    """
     cores = df.sparkSession.sparkContext.defaultParallelism
-    splits = df._jdf.queryExecution().toRdd().getNumPartitions()
-    return df.repartition(cores, key) if splits < cores else df
+    filled = df.groupBy(F.spark_partition_id().alias("_p")).count().limit(cores).count()
+    return df.repartition(cores, key) if filled < cores else df
 
 
 def longs(df: DataFrame) -> DataFrame:

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from .. import oracles as sql
 from ..operators import retrieval as sr
 from ..registry import query
 from ..sources.catalog import load
@@ -31,16 +32,20 @@ def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def run(rows: DataFrame, mode: str = "append") -> DataFrame:
-    """Process all available input into a table below the shared folder (append) or in memory (other modes), and read it."""
+    """Process all available input into tables below the shared folder, and read the result: of ``complete`` mode the last one."""
     spark = rows.sparkSession
-    state = _shared(spark, "state")
+    state, out = _shared(spark, "state"), _shared(spark, "stream")
     if mode == "append":
-        out = _shared(spark, "stream")
         rows.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(rows.schema).parquet(out)
-    name = f"stream_{uuid.uuid4().hex}"
-    rows.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    done: list[int] = []
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
+        done.append(number)
+
+    rows.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(rows.schema).parquet(f"{out}/batch={max(done)}") if done else spark.createDataFrame([], rows.schema)
 
 
 _STAMP = "strftime({}, '%Y-%m-%d %H:%M:%S')"
@@ -77,32 +82,34 @@ def st_interval_join(spark, sf_dir):
     return run(side("view", "view").join(side("purchase", "purchase"), on).select("view", "purchase"))
 
 
-@query("st_state_counts", "select source, count(distinct md5(text)) as texts from documents group by 1")
-def st_state_counts(spark, sf_dir):
-    """Distinct texts by source, with keyed state: the state of a source is its set of digests so far."""
+@query("st_state_sketch", "select source, count(distinct md5(text)) as texts from documents group by 1")
+def st_state_sketch(spark, sf_dir):
+    """Distinct texts by source, with keyed state: a source and a digest is a key, so that no state grows with a source."""
 
     def update(key, batches, state: GroupState):
-        seen = set(state.get[0].split()) if state.exists else set()
-        for batch in batches:
-            seen |= set(batch["h"])
-        state.update((" ".join(sorted(seen)),))
-        yield pd.DataFrame({"source": [key[0]], "texts": [len(seen)]})
+        for _ in batches:
+            pass
+        if not state.exists:
+            state.update((True,))
+            yield pd.DataFrame({"source": [key[0]], "h": [key[1]]})
 
-    rows = stream(spark, sf_dir, "documents").select("source", F.md5("text").alias("h")).groupBy("source")
-    return run(rows.applyInPandasWithState(update, "source string, texts long", "digests string", "update", GroupStateTimeout.NoTimeout), "update")
+    rows = stream(spark, sf_dir, "documents").select("source", F.md5("text").alias("h")).groupBy("source", "h")
+    first = run(rows.applyInPandasWithState(update, "source string, h string", "seen boolean", "append", GroupStateTimeout.NoTimeout))
+    return first.groupBy("source").agg(F.count(F.lit(1)).alias("texts"))
 
 
-@query("st_incremental_candidates")
+@query("st_incremental_candidates", f"with {sql.candidates()} select a_doc, b_doc from cand")
 def st_incremental_candidates(spark, sf_dir):
     """Candidate pairs of a collection that arrives as a stream: new postings meet the stored ones and one another.
 
     A micro-batch writes its postings and pairs under its own number, so that one that runs again overwrites itself.
     """
     posts, pairs = _shared(spark, "postings"), _shared(spark, "candidates")
-    schema = sr.postings(sr.sketched(load(spark, sf_dir, "documents").limit(0))).schema
+    sketched = lambda docs: sr.sketched(docs, family="md5")  # noqa: E731  the family that SQL can compute too
+    schema = sr.postings(sketched(load(spark, sf_dir, "documents").limit(0))).schema
 
     def arrive(batch: DataFrame, number: int) -> None:
-        new = sr.postings(sr.sketched(batch.select("doc_id", "text")))
+        new = sr.postings(sketched(batch.select("doc_id", "text")))
         new.write.mode("overwrite").parquet(f"{posts}/batch={number}")
         new = batch.sparkSession.read.schema(schema).parquet(f"{posts}/batch={number}")
         old = batch.sparkSession.read.schema(schema).parquet(f"{posts}/batch=*").where(F.regexp_extract(F.input_file_name(), "batch=([0-9]+)", 1).cast("long") < number)
