@@ -20,26 +20,33 @@ PAIR = ["a_doc", "b_doc"]
 SPAN = ["a_begin", "a_end", "b_begin", "b_end"]
 
 
-def grams(rows: DataFrame, n: int = 8, k: int | None = None, family: str = "xx", order: bool = True) -> DataFrame:
+def grams(rows: DataFrame, n: int = 8, k: int | None = None, family: str = "xx", order: bool = True, context: bool = False) -> DataFrame:
     """``doc_id, pos, begin, end, g`` of the n-grams that overlap in k words (default n - 1).
 
-    ``g`` is a 64-bit hash or, for family ``text``, the words themselves. Without ``order`` words are sorted first.
+    ``g`` is a 64-bit hash or, for family ``text``, the words themselves. Without ``order`` words are sorted first. With
+    ``context`` each gram also has those before and after it, ``before`` and ``after``; null at the ends of a text.
     """
     step = n - (n - 1 if k is None else k)
 
+    def gram(ws: Column, p: Column) -> Column:
+        part = F.slice(ws, p + 1, n)
+        text = F.array_join(part if order else F.array_sort(part), " ")
+        return text if family == "text" else F.xxhash64(text)
+
     def cut(ws: Column) -> Column:
-        def gram(p: Column) -> Column:
-            part = F.slice(ws, p + 1, n)
-            part = part if order else F.array_sort(part)
-            text = F.array_join(part, " ")
-            g = text if family == "text" else F.xxhash64(text)
+        starts = F.sequence(F.lit(0), F.size(ws) - n, F.lit(step))
+
+        def placed(p: Column, g: Column, *around: Column) -> Column:
             last = F.get(F.col("begins"), p + n - 1) + F.length(F.get(ws, p + n - 1))
-            return F.struct(p.alias("pos"), F.get(F.col("begins"), p).alias("begin"), last.alias("end"), g.alias("g"))
+            return F.struct(p.alias("pos"), F.get(F.col("begins"), p).alias("begin"), last.alias("end"), g.alias("g"), *around)
 
-        return F.transform(F.sequence(F.lit(0), F.size(ws) - n, F.lit(step)), gram)
+        if not context:
+            return F.transform(starts, lambda p: placed(p, gram(ws, p)))
+        found = F.transform(starts, lambda p: gram(ws, p))
+        return let(found, lambda gs: F.transform(gs, lambda g, i: placed(i * step, g, F.get(gs, i - 1).alias("before"), F.get(gs, i + 1).alias("after"))))
 
     out = rows.where(F.size("words") >= n).select("doc_id", F.explode(let(F.col("words"), cut)).alias("x"))
-    return out.select("doc_id", "x.pos", "x.begin", "x.end", "x.g")
+    return out.select("doc_id", "x.*")
 
 
 def sentences(docs: DataFrame) -> DataFrame:
@@ -93,6 +100,25 @@ def runs(seeds: DataFrame) -> DataFrame:
     ).drop("_diagonal", "_run")
 
 
+def runs_of_grams(gs: DataFrame, prune: bool = True) -> DataFrame:
+    """The runs of all seeds of a collection, from its grams with context (``k = n - 1``).
+
+    A seed is inside a run if the grams before are equal too, and those after. Only the first and the last seed of a run
+    leave the join, so what is shuffled and sorted is two rows a run, however long the copied passage is.
+    """
+    if prune:
+        gs = gs.join(shared_grams(gs), "g", "left_semi")
+    side = lambda s: gs.select("g", *(F.col(c).alias(f"{s}_{c}") for c in ("pos", "begin", "end", "before", "after")), F.col("doc_id").alias(f"{s}_doc"))
+    differ = lambda c: ~F.coalesce(F.col(f"a_{c}") == F.col(f"b_{c}"), F.lit(False))
+    ends = side("a").join(side("b"), "g").where((F.col("a_doc") < F.col("b_doc")) & (differ("before") | differ("after")))
+    rows = ends.select(*SEED, (F.col("a_pos") - F.col("b_pos")).alias("_diagonal"), differ("before").cast("int").alias("_first"))
+    along = Window.partitionBy("a_doc", "b_doc", "_diagonal").orderBy("a_pos").rowsBetween(Window.unboundedPreceding, 0)
+    rows = rows.withColumn("_run", F.sum("_first").over(along))
+    return rows.groupBy("a_doc", "b_doc", "_diagonal", "_run").agg(
+        F.min("a_begin").alias("a_begin"), F.max("a_end").alias("a_end"), F.min("b_begin").alias("b_begin"), F.max("b_end").alias("b_end"), (F.max("a_pos") - F.min("a_pos") + 1).cast("bigint").alias("n_seeds")
+    ).drop("_diagonal", "_run")
+
+
 def _split(rows: DataFrame, side: str, delta: int | Column, keys: list[str], name: str) -> DataFrame:
     order = Window.partitionBy(*keys).orderBy(f"{side}_begin", f"{side}_end")
     before = F.max(f"{side}_end").over(order.rowsBetween(Window.unboundedPreceding, -1))
@@ -210,5 +236,6 @@ def components(run_rows: DataFrame, delta: int = 250, near: str = "both") -> Dat
 
 def cases_of(docs: DataFrame, n: int = 8, k: int | None = None, delta: int = 250, family: str = "xx", min_seeds: int = 1) -> DataFrame:
     """The whole alignment of a collection, seed-first: cases of ``docs``."""
-    found = seeds_by_index(grams(worded(docs), n, k, family), prune=True)
-    return merge(runs(found) if k is None or k == n - 1 else found, delta, min_seeds=min_seeds)
+    if k is None or k == n - 1:
+        return merge(runs_of_grams(grams(worded(docs), n, k, family, context=True)), delta, min_seeds=min_seeds)
+    return merge(seeds_by_index(grams(worded(docs), n, k, family), prune=True), delta, min_seeds=min_seeds)

@@ -9,8 +9,9 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.alignment import seeds_by_candidates
+from ..operators.alignment import PAIR, runs, runs_of_grams, seeds_by_candidates
 from ..operators.retrieval import candidates
+from ..sources.io import stored
 
 
 @dataclass(frozen=True)
@@ -42,6 +43,17 @@ def planned_seeds(posts: DataFrame, grams: DataFrame) -> DataFrame:
     return seeds_by_candidates(candidates(posts), grams, choose_seed_plan(volumes(grams, posts)))
 
 
+def planned_runs(posts: DataFrame, grams: DataFrame) -> DataFrame:
+    """Runs of the seeds of the candidate pairs, from grams with context, by the cheaper order of joins.
+
+    A run is of one pair, so runs can be made of all seeds and then kept by pair.
+    """
+    posts = stored(posts, "postings")
+    if choose_seed_plan(volumes(grams, posts)) == "candidates":
+        return runs(seeds_by_candidates(candidates(posts), grams))
+    return runs_of_grams(grams).join(candidates(posts), PAIR, "left_semi")
+
+
 def describe(df: DataFrame) -> dict[str, int]:
     """How many of each costly operator the physical plan has."""
     text = df._jdf.queryExecution().executedPlan().toString()

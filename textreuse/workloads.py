@@ -28,6 +28,10 @@ def _cases(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
     return al.cases_of(documents(spark, sf_dir), **how).select(*CASES)
 
 
+def _runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return al.runs_of_grams(al.grams(nz.worded(documents(spark, sf_dir)), context=True))
+
+
 def _posts(spark: SparkSession, sf_dir: str, n: int = 50, m: int = 10, keyed: bool = True) -> DataFrame:
     return sr.postings(sr.sketched(documents(spark, sf_dir), n, m, "md5"), keyed)
 
@@ -364,7 +368,7 @@ _RUNS = f"{sql.seeds()}, q as (select *, a_pos - b_pos as diag, a_pos - row_numb
 
 @query("al_runs", f"with {_RUNS} select {sql.CASE_COLUMNS} from r")
 def al_runs(spark, sf_dir):
-    return al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)).select(*CASES)
+    return _runs(spark, sf_dir).select(*CASES)
 
 
 @query("al_cases", f"with {sql.cases()} select {sql.CASE_COLUMNS} from k")
@@ -379,8 +383,7 @@ s as (select {sql.SEED_COLUMNS} from g a join g b on a.g = b.g and a.doc_id < b.
 
 def _cases_of_candidates(spark, sf_dir) -> DataFrame:
     docs = documents(spark, sf_dir)
-    found = choose.planned_seeds(_posts(spark, sf_dir), al.grams(nz.worded(docs)))
-    return al.merge(al.runs(found)).select(*CASES)
+    return al.merge(choose.planned_runs(_posts(spark, sf_dir), al.grams(nz.worded(docs), context=True))).select(*CASES)
 
 
 @query("al_cases_candidates", f"with {_BY_CANDIDATES} select {sql.CASE_COLUMNS} from k")
@@ -401,7 +404,7 @@ def al_cases_recall(spark, sf_dir):
 @query("al_cases_fixpoint", f"with {sql.seeds()}, {sql.islands('s', 250, 4)} select {sql.CASE_COLUMNS} from k")
 def al_cases_fixpoint(spark, sf_dir):
     """Islands split until a round splits none; the SQL makes four rounds."""
-    return al.merge(al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)), rounds=None).select(*CASES)
+    return al.merge(_runs(spark, sf_dir), rounds=None).select(*CASES)
 
 
 @query("al_seeds_nested_loop", f"""with t0 as (with {sql.grams(source='benchmark', key='item_id')} select * from g), t1 as (with {sql.grams()} select * from g) select {sql.SEED_COLUMNS.replace('a.doc_id as a_doc', 'a.doc_id as item_id').replace('b.doc_id as b_doc', 'b.doc_id as doc_id')} from t0 a join t1 b on a.g = b.g""")
@@ -430,17 +433,17 @@ def al_cases_disjoint(spark, sf_dir):
 c as (select *, sum(turn) over (partition by a_doc, b_doc order by a_begin, b_begin, a_end, b_end rows unbounded preceding) as ch from f)
 select a_doc, b_doc, min(a_begin) as a_begin, max(a_end) as a_end, min(b_begin) as b_begin, max(b_end) as b_end, sum(n_seeds)::bigint as n_seeds from c group by a_doc, b_doc, ch""")
 def al_cases_chain(spark, sf_dir):
-    return al.chains(al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)))
+    return al.chains(_runs(spark, sf_dir))
 
 
 @query("al_cases_components")
 def al_cases_components(spark, sf_dir):
-    return al.components(al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)))
+    return al.components(_runs(spark, sf_dir))
 
 
 @query("al_cases_near_either")
 def al_cases_near_either(spark, sf_dir):
-    return al.components(al.runs(al.seeds_by_index(al.grams(nz.worded(documents(spark, sf_dir))), prune=True)), near="either")
+    return al.components(_runs(spark, sf_dir), near="either")
 
 
 # Records, metadata and analyses
@@ -719,8 +722,7 @@ def cleaning_ablation(spark, sf_dir):
     docs, out = documents(spark, sf_dir), None
     for name, kinds in (("none", None), ("special characters", []), ("full", ["contact", "number"])):
         rows = nz.worded(docs, letters=False) if kinds is None else nz.worded(docs.withColumn("text", nz.strip_spans(F.col("text"), kinds)))
-        seeds = al.seeds_by_index(al.grams(rows), prune=True)
-        cases = al.merge(al.runs(seeds)).agg(F.count(F.lit(1)).alias("cases"), F.sum("n_seeds").alias("seeds"))
+        cases = al.merge(al.runs_of_grams(al.grams(rows, context=True))).agg(F.count(F.lit(1)).alias("cases"), F.sum("n_seeds").alias("seeds"))
         row = cases.select(F.lit(name).alias("profile"), "seeds", "cases")
         out = row if out is None else out.unionAll(row)
     return out
