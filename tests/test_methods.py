@@ -71,6 +71,17 @@ def test_both_orders_of_joins_find_the_same_seeds(spark, sf):
     assert by["index"] == by["candidates"] == rows_of(choose.planned_seeds(posts, gs)) and by["index"]
 
 
+@pytest.mark.parametrize("prune", [True, False])
+def test_runs_of_grams_equal_runs_of_seeds(spark, prune):
+    rng = np.random.default_rng(8)
+    texts = [" ".join(rng.choice(["a", "b", "c"], rng.integers(0, 60))) for _ in range(8)] + ["x " * 40, "y x x x x x x x x x x z " * 3, "", "one two"]
+    rows = nz.worded(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    for n in (3, 8):
+        pick = lambda df: rows_of(df.select("a_doc", "b_doc", *al.SPAN, "n_seeds"))
+        want = pick(al.runs(al.seeds_by_index(al.grams(rows, n))))
+        assert want and pick(al.runs_of_grams(al.grams(rows, n, context=True), prune)) == want
+
+
 def brute_islands(spans, delta, rounds=None):
     def split(group, s):
         out, far = [], None
