@@ -28,24 +28,28 @@ def grams(rows: DataFrame, n: int = 8, k: int | None = None, family: str = "xx",
     """
     step = n - (n - 1 if k is None else k)
 
-    def gram(ws: Column, p: Column) -> Column:
-        part = F.slice(ws, p + 1, n)
-        text = F.array_join(part if order else F.array_sort(part), " ")
-        return text if family == "text" else F.xxhash64(text)
+    def gram(units: Column, p: Column) -> Column:
+        if family == "text":
+            part = F.slice(units, p + 1, n)
+            return F.array_join(part if order else F.array_sort(part), " ")
+        return F.xxhash64(*(F.get(units, p + i) for i in range(n))) if order else F.xxhash64(F.array_sort(F.slice(units, p + 1, n)))
 
-    def cut(ws: Column) -> Column:
-        starts = F.sequence(F.lit(0), F.size(ws) - n, F.lit(step))
+    def cut(units: Column) -> Column:
+        # Not a filter, which the optimiser would move below a deal of the rows and so evaluate twice.
+        starts = F.when(F.size("words") >= n, F.sequence(F.lit(0), F.size("words") - n, F.lit(step))).otherwise(F.array().cast("array<int>"))
 
         def placed(p: Column, g: Column, *around: Column) -> Column:
-            last = F.get(F.col("begins"), p + n - 1) + F.length(F.get(ws, p + n - 1))
-            return F.struct(p.alias("pos"), F.get(F.col("begins"), p).alias("begin"), last.alias("end"), g.alias("g"), *around)
+            end = F.get(F.col("begins"), p + n - 1) + F.length(F.get(F.col("words"), p + n - 1))
+            return F.struct(p.alias("pos"), F.get(F.col("begins"), p).alias("begin"), end.alias("end"), g.alias("g"), *around)
 
         if not context:
-            return F.transform(starts, lambda p: placed(p, gram(ws, p)))
-        found = F.transform(starts, lambda p: gram(ws, p))
+            return F.transform(starts, lambda p: placed(p, gram(units, p)))
+        found = F.transform(starts, lambda p: gram(units, p))
         return let(found, lambda gs: F.transform(gs, lambda g, i: placed(i * step, g, F.get(gs, i - 1).alias("before"), F.get(gs, i + 1).alias("after"))))
 
-    out = rows.where(F.size("words") >= n).select("doc_id", F.explode(let(F.col("words"), cut)).alias("x"))
+    # A word is hashed once, and a gram is the hash of its words' hashes: no text is built for it.
+    units = F.col("words") if family == "text" else F.transform("words", lambda w: F.xxhash64(w))
+    out = rows.select("doc_id", F.explode(let(units, cut)).alias("x"))
     return out.select("doc_id", "x.*")
 
 
@@ -104,10 +108,11 @@ def runs_of_grams(gs: DataFrame, prune: bool = True) -> DataFrame:
     """The runs of all seeds of a collection, from its grams with context (``k = n - 1``).
 
     A seed is inside a run if the grams before are equal too, and those after. Only the first and the last seed of a run
-    leave the join, so what is shuffled and sorted is two rows a run, however long the copied passage is.
+    leave the join, so what is shuffled and sorted is two rows a run, however long the copied passage is. Grams of more
+    than one document are stored, as both sides of the join read them.
     """
     if prune:
-        gs = gs.join(shared_grams(gs), "g", "left_semi")
+        gs = stored(gs.join(shared_grams(gs), "g", "left_semi"), "shared-grams")
     side = lambda s: gs.select("g", *(F.col(c).alias(f"{s}_{c}") for c in ("pos", "begin", "end", "before", "after")), F.col("doc_id").alias(f"{s}_doc"))
     differ = lambda c: ~F.coalesce(F.col(f"a_{c}") == F.col(f"b_{c}"), F.lit(False))
     ends = side("a").join(side("b"), "g").where((F.col("a_doc") < F.col("b_doc")) & (differ("before") | differ("after")))

@@ -45,10 +45,12 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
-def begins(ws: Column, chunk: int = 64) -> Column:
+def begins(ws: Column, chunk: int = 8, levels: int = 1) -> Column:
     """Begin of each word in the clean text, row-local.
 
-    A fold that appends copies what it has; two levels of chunks keep that linear in practice for texts of any length.
+    Prefix sums by a tree: chunks of a few lengths are summed outright, their totals in the same way a level up. What is
+    left at the top, one total for ``chunk ** levels`` words, is folded; a fold that appends copies what it has, and is
+    slow for each element.
     """
 
     def fold(lengths: Column, start: Column) -> Column:
@@ -56,13 +58,25 @@ def begins(ws: Column, chunk: int = 64) -> Column:
         step = lambda acc, n: F.struct(F.concat(acc["xs"], F.array(acc["at"])).alias("xs"), (acc["at"] + n).cast("int").alias("at"))
         return F.aggregate(lengths, zero, step, lambda acc: acc["xs"])
 
-    def chunked(lengths: Column) -> Column:
-        parts = F.transform(F.sequence(F.lit(0), ((F.size(lengths) - 1) / chunk).cast("int")), lambda c: F.slice(lengths, c * chunk + 1, chunk))
-        totals = lambda ps: F.transform(ps, lambda p: F.aggregate(p, F.lit(0), lambda a, n: a + n))
-        return let(parts, lambda ps: F.flatten(F.zip_with(ps, fold(totals(ps), F.lit(0)), fold)))
+    def parts(lengths: Column, size: int) -> Column:
+        return F.transform(F.sequence(F.lit(0), ((F.size(lengths) - 1) / size).cast("int")), lambda c: F.slice(lengths, c * size + 1, size))
+
+    def totals(ps: Column) -> Column:
+        return F.transform(ps, lambda p: F.aggregate(p, F.lit(0), lambda a, n: a + n))
+
+    def outright(p: Column, start: Column) -> Column:
+        sums = [start]
+        for k in range(chunk - 1):
+            sums.append(sums[-1] + F.get(p, F.lit(k)))
+        return F.slice(F.array(*sums), F.lit(1), F.size(p))
+
+    def summed(lengths: Column, level: int) -> Column:
+        if level:
+            return let(parts(lengths, chunk), lambda ps: F.flatten(F.zip_with(ps, let(totals(ps), lambda ts: summed(ts, level - 1)), outright)))
+        return let(parts(lengths, 64), lambda ps: F.flatten(F.zip_with(ps, fold(totals(ps), F.lit(0)), fold)))
 
     lengths = F.transform(ws, lambda w: F.length(w) + 1)
-    return F.when(F.size(ws) > 0, let(lengths, chunked)).otherwise(F.array().cast("array<int>"))
+    return F.when(F.size(ws) > 0, let(lengths, lambda ns: summed(ns, levels))).otherwise(F.array().cast("array<int>"))
 
 
 def blanks_only(text: Column) -> Column:

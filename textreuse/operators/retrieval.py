@@ -24,9 +24,9 @@ def chop(rows: DataFrame, n: int = 50, stride: int | None = None) -> DataFrame:
     """Passages of n words, the last may be short; with a stride below n they overlap."""
     step = stride or n
     last = F.greatest(F.lit(0), F.ceil((F.size("words") - n) / step)).cast("int") if step < n else ((F.size("words") - 1) / step).cast("int")
-    starts = F.sequence(F.lit(0), last)
+    starts = F.when(F.size("words") > 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
     cut = let(F.col("words"), lambda ws: F.transform(starts, lambda p: F.struct(p.alias("passage_no"), F.slice(ws, p * step + 1, n).alias("words"))))
-    out = rows.where(F.size("words") > 0).select("doc_id", F.explode(cut).alias("p"))
+    out = rows.select("doc_id", F.explode(cut).alias("p"))
     return out.select("doc_id", "p.passage_no", "p.words")
 
 
