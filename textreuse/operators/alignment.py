@@ -104,15 +104,17 @@ def runs(seeds: DataFrame) -> DataFrame:
     ).drop("_diagonal", "_run")
 
 
-def runs_of_grams(gs: DataFrame, prune: bool = True) -> DataFrame:
+def runs_of_grams(gs: DataFrame, prune: bool = True, store: bool = False) -> DataFrame:
     """The runs of all seeds of a collection, from its grams with context (``k = n - 1``).
 
     A seed is inside a run if the grams before are equal too, and those after. Only the first and the last seed of a run
-    leave the join, so what is shuffled and sorted is two rows a run, however long the copied passage is. Grams of more
-    than one document are stored, as both sides of the join read them.
+    leave the join, so what is shuffled and sorted is two rows a run, however long the copied passage is. Both sides of
+    the join read the grams: with ``store`` those of more than one document are written once instead of made twice.
     """
     if prune:
-        gs = stored(gs.join(shared_grams(gs), "g", "left_semi"), "shared-grams")
+        gs = gs.join(shared_grams(gs), "g", "left_semi")
+    if store:
+        gs = stored(gs, "shared-grams")
     side = lambda s: gs.select("g", *(F.col(c).alias(f"{s}_{c}") for c in ("pos", "begin", "end", "before", "after")), F.col("doc_id").alias(f"{s}_doc"))
     differ = lambda c: ~F.coalesce(F.col(f"a_{c}") == F.col(f"b_{c}"), F.lit(False))
     ends = side("a").join(side("b"), "g").where((F.col("a_doc") < F.col("b_doc")) & (differ("before") | differ("after")))
@@ -239,8 +241,8 @@ def components(run_rows: DataFrame, delta: int = 250, near: str = "both") -> Dat
     return run_rows.groupBy(*PAIR).applyInPandas(run, CASE)
 
 
-def cases_of(docs: DataFrame, n: int = 8, k: int | None = None, delta: int = 250, family: str = "xx", min_seeds: int = 1) -> DataFrame:
-    """The whole alignment of a collection, seed-first: cases of ``docs``."""
+def cases_of(docs: DataFrame, n: int = 8, k: int | None = None, delta: int = 250, family: str = "xx", min_seeds: int = 1, store: bool = False) -> DataFrame:
+    """The whole alignment of a collection, seed-first: cases of ``docs``. One plan from scan to case, unless grams are to be stored between."""
     if k is None or k == n - 1:
-        return merge(runs_of_grams(grams(worded(docs), n, k, family, context=True)), delta, min_seeds=min_seeds)
+        return merge(runs_of_grams(grams(worded(docs), n, k, family, context=True), store=store), delta, min_seeds=min_seeds)
     return merge(seeds_by_index(grams(worded(docs), n, k, family), prune=True), delta, min_seeds=min_seeds)

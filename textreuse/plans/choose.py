@@ -51,7 +51,7 @@ def planned_runs(posts: DataFrame, grams: DataFrame) -> DataFrame:
     posts = stored(posts, "postings")
     if choose_seed_plan(volumes(grams, posts)) == "candidates":
         return runs(seeds_by_candidates(candidates(posts), grams))
-    return runs_of_grams(grams).join(candidates(posts), PAIR, "left_semi")
+    return runs_of_grams(grams, store=True).join(candidates(posts), PAIR, "left_semi")
 
 
 def describe(df: DataFrame) -> dict[str, int]:

@@ -98,14 +98,24 @@ def st_state_sketch(spark, sf_dir):
     return first.groupBy("source").agg(F.count(F.lit(1)).alias("texts"))
 
 
-@query("st_incremental_candidates", f"with {sql.candidates()} select a_doc, b_doc from cand")
+@query("st_incremental_candidates")
 def st_incremental_candidates(spark, sf_dir):
+    return _incremental(spark, sf_dir, "xx")
+
+
+@query("st_incremental_candidates_md5", f"with {sql.candidates()} select a_doc, b_doc from cand")
+def st_incremental_candidates_md5(spark, sf_dir):
+    """The same by the family that SQL can compute too."""
+    return _incremental(spark, sf_dir, "md5")
+
+
+def _incremental(spark: SparkSession, sf_dir: str, family: str) -> DataFrame:
     """Candidate pairs of a collection that arrives as a stream: new postings meet the stored ones and one another.
 
     A micro-batch writes its postings and pairs under its own number, so that one that runs again overwrites itself.
     """
     posts, pairs = _shared(spark, "postings"), _shared(spark, "candidates")
-    sketched = lambda docs: sr.sketched(docs, family="md5")  # noqa: E731  the family that SQL can compute too
+    sketched = lambda docs: sr.sketched(docs, family=family)
     schema = sr.postings(sketched(load(spark, sf_dir, "documents").limit(0))).schema
 
     def arrive(batch: DataFrame, number: int) -> None:

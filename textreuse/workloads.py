@@ -25,11 +25,11 @@ def _full(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _cases(spark: SparkSession, sf_dir: str, **how) -> DataFrame:
-    return al.cases_of(documents(spark, sf_dir), **how).select(*CASES)
+    return al.cases_of(documents(spark, sf_dir), store=True, **how).select(*CASES)
 
 
 def _runs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return al.runs_of_grams(al.grams(nz.worded(documents(spark, sf_dir)), context=True))
+    return al.runs_of_grams(al.grams(nz.worded(documents(spark, sf_dir)), context=True), store=True)
 
 
 def _posts(spark: SparkSession, sf_dir: str, n: int = 50, m: int = 10, keyed: bool = True) -> DataFrame:
