@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from textreuse import workloads
 from textreuse.operators import alignment as al
 from textreuse.operators import evaluation as ev
 from textreuse.operators import exhaustive as ex
@@ -14,6 +15,7 @@ from textreuse.operators import normalize as nz
 from textreuse.operators import records as rec
 from textreuse.operators import retrieval as sr
 from textreuse.plans import choose
+from textreuse.registry import QUERIES
 from textreuse.sources import io
 from textreuse.sources.catalog import documents
 
@@ -33,6 +35,26 @@ def test_candidates_by_blocks_equal_those_by_join(spark, blocks):
     assert sr.candidates_by_blocks(df.limit(0), blocks).count() == 0 and sr.candidates(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("how", [{}, {"block_docs": 60}, {"block_postings": 150, "bitmap_bytes": 64}])
+def test_candidates_are_counted_without_a_row_for_a_pair(spark, how):
+    rng = np.random.default_rng(3)
+    posts = [(int(d) * 31 - 400, int(s), int(h)) for d in range(200) for s in range(4) for h in {rng.integers(0, 60), 7 if d % 2 else 8}]
+    posts += [(99_999, 0, 123_456), (None, 0, 7), (None, 1, 8)]
+    df = spark.createDataFrame(posts, "doc_id long, slot int, hash long").distinct()
+    rare = df.where("hash not in (7, 8)")
+    for some in (df, rare, df.limit(0)):
+        found = sr.count_candidates(some, **how)
+        assert [r["candidates"] for r in found.collect()] == [sr.candidates_by_join(some).count()]
+        assert found.columns == ["candidates"] and "a_doc" not in found._jdf.queryExecution().toString()
+
+
+def test_pruning_lists_no_pair(spark, sf, monkeypatch):
+    monkeypatch.setattr(sr, "candidates", lambda *_: pytest.fail("pairs are listed"))
+    row = workloads.sr_pruning(spark, sf).first()
+    monkeypatch.undo()
+    assert row["docs"] == 200 and row["candidates"] == QUERIES["sr_candidates"](spark, sf).count()
+
+
 def test_listing_takes_the_way_that_moves_less(spark):
     hot = spark.range(2000).select(F.col("id").alias("doc_id"), F.lit(0).alias("slot"), F.lit(5).cast("long").alias("hash"))
     rare = spark.range(2000).select(F.col("id").alias("doc_id"), F.lit(0).alias("slot"), F.expr("id div 2").alias("hash"))
