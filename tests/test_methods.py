@@ -55,6 +55,17 @@ def test_pruning_lists_no_pair(spark, sf, monkeypatch):
     assert row["docs"] == 200 and row["candidates"] == QUERIES["sr_candidates"](spark, sf).count()
 
 
+def test_candidates_of_a_document_list_no_other_pair(spark, sf, monkeypatch):
+    pairs = [tuple(r) for r in QUERIES["sr_candidates"](spark, sf).collect()]
+    monkeypatch.setattr(sr, "candidates", lambda *_: pytest.fail("all pairs are listed"))
+    got = workloads.sr_candidates_of_doc(spark, sf)
+    want = Counter((b,) if a == 0 else (a,) for a, b in pairs if 0 in (a, b))
+    assert want and rows_of(got) == want
+    posts = workloads._posts(spark, sf)
+    assert rows_of(sr.candidates_of(posts, 117)) == Counter((b,) if a == 117 else (a,) for a, b in pairs if 117 in (a, b))
+    assert sr.candidates_of(posts, -1).count() == 0
+
+
 def test_listing_takes_the_way_that_moves_less(spark):
     hot = spark.range(2000).select(F.col("id").alias("doc_id"), F.lit(0).alias("slot"), F.lit(5).cast("long").alias("hash"))
     rare = spark.range(2000).select(F.col("id").alias("doc_id"), F.lit(0).alias("slot"), F.expr("id div 2").alias("hash"))
