@@ -15,7 +15,7 @@ from textreuse.operators import normalize as nz
 from textreuse.operators import records as rec
 from textreuse.operators import retrieval as sr
 from textreuse.plans import choose
-from textreuse.registry import QUERIES
+from textreuse.registry import ORACLES, QUERIES
 from textreuse.sources import io
 from textreuse.sources.catalog import documents
 
@@ -55,6 +55,29 @@ def test_pruning_lists_no_pair(spark, sf, monkeypatch):
     assert row["docs"] == 200 and row["candidates"] == QUERIES["sr_candidates"](spark, sf).count()
 
 
+def read_tables(df):
+    return {f.rsplit("/", 2)[-1] if f.endswith(".parquet") else f.rsplit("/", 2)[-2] for f in df.inputFiles()}
+
+
+def equal_to_sql(spark, sf, name):
+    duckdb = pytest.importorskip("duckdb")
+    db = duckdb.connect()
+    for t in ("documents", "labels"):
+        db.execute(f"create view {t} as select * from '{sf}/{t}.parquet'")
+    df = QUERIES[name](spark, sf)
+    got = db.execute(ORACLES[name])
+    names = [d[0] for d in got.description]
+    assert sorted(names) == sorted(df.columns)
+    want = Counter(got.fetchall())
+    assert rows_of(df.select(*names)) == want and want
+    return df
+
+
+def test_bounds_are_those_of_the_passages_of_a_table(spark, sf):
+    df = equal_to_sql(spark, sf, "minhash_bound_table")
+    assert read_tables(df) == {"documents.parquet"}
+
+
 def test_candidates_of_a_document_list_no_other_pair(spark, sf, monkeypatch):
     pairs = [tuple(r) for r in QUERIES["sr_candidates"](spark, sf).collect()]
     monkeypatch.setattr(sr, "candidates", lambda *_: pytest.fail("all pairs are listed"))
