@@ -78,6 +78,11 @@ def test_bounds_are_those_of_the_passages_of_a_table(spark, sf):
     assert read_tables(df) == {"documents.parquet"}
 
 
+@pytest.mark.parametrize("name", ["published_fbeta_check"])
+def test_scores_are_those_of_rules_on_given_tables(spark, sf, name):
+    assert {"documents.parquet", "labels.parquet"} <= read_tables(equal_to_sql(spark, sf, name))
+
+
 def test_candidates_of_a_document_list_no_other_pair(spark, sf, monkeypatch):
     pairs = [tuple(r) for r in QUERIES["sr_candidates"](spark, sf).collect()]
     monkeypatch.setattr(sr, "candidates", lambda *_: pytest.fail("all pairs are listed"))
