@@ -78,7 +78,7 @@ def test_bounds_are_those_of_the_passages_of_a_table(spark, sf):
     assert read_tables(df) == {"documents.parquet"}
 
 
-@pytest.mark.parametrize("name", ["published_fbeta_check", "published_rank", "published_subquadratic_low"])
+@pytest.mark.parametrize("name", ["published_fbeta_check", "published_rank", "published_subquadratic_low", "sqlfn_fbeta"])
 def test_scores_are_those_of_rules_on_given_tables(spark, sf, name):
     assert {"documents.parquet", "labels.parquet"} <= read_tables(equal_to_sql(spark, sf, name))
 
