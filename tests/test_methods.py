@@ -176,6 +176,32 @@ def test_islands_to_a_fixpoint(spark):
     assert differs
 
 
+@pytest.mark.parametrize("near", ["both", "either"])
+def test_components_treat_many_pairs_at_once(spark, near):
+    rng = np.random.default_rng(8)
+    pairs = [(int(a), int(a) + 1 + int(b), n) for a in range(40) for b, n in ((0, 1), (1, int(rng.integers(1, 9))))] + [(7, 70, 60)]
+    rows = [(a, b, x, x + int(rng.integers(3, 9)), y, y + int(rng.integers(3, 9)), 1 + x % 4) for a, b, n in pairs for x, y in rng.integers(0, 90, (n, 2)).tolist()]
+    df = spark.createDataFrame(rows, "a_doc long, b_doc long, a_begin int, a_end int, b_begin int, b_end int, n_seeds long")
+    # One pair at a time is the plain meaning, which brute force checks below.
+    want = Counter()
+    for a, b, _ in pairs:
+        alone = df.where((F.col("a_doc") == a) & (F.col("b_doc") == b)).coalesce(1) if (a, b) in {(7, 70), (7, 8), (7, 9), (3, 5)} else None
+        want += rows_of(al.components(alone, 6, near)) if alone is not None else Counter()
+    for size in (1, 17, 200_000):
+        made = al.components(df, 6, near, batch_rows=size)
+        got = rows_of(made)
+        assert sum(r[6] * k for r, k in got.items()) == sum(r[6] for r in rows)
+        assert Counter({r: k for r, k in got.items() if r[:2] in {(7, 70), (7, 8), (7, 9), (3, 5)}}) == want
+        assert "FlatMapGroupsInPandas" not in choose.describe(made)
+
+
+def test_runs_are_dealt_by_pair_once(spark, sf):
+    runs = workloads._runs(spark, sf)
+    exchanges = choose.describe(runs).get("Exchange", 0)
+    for made in (al.merge(runs), al.chains(runs), al.components(runs)):
+        assert choose.describe(made).get("Exchange", 0) == exchanges
+
+
 @pytest.mark.parametrize("near", ["both", "either"])
 def test_components_match_brute_force(spark, near):
     rng = np.random.default_rng(4)
