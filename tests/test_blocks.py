@@ -17,6 +17,7 @@ from textreuse.sources.catalog import documents
 BY_BLOCKS = [
     "al_seeds_candidates",
     "al_cases_chain",
+    "al_cases_delta_50",
 ]
 
 
