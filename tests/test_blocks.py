@@ -18,6 +18,7 @@ BY_BLOCKS = [
     "al_seeds_candidates",
     "al_cases_chain",
     "al_cases_delta_50",
+    "al_cases_min2",
 ]
 
 
