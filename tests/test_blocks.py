@@ -19,6 +19,7 @@ BY_BLOCKS = [
     "al_cases_chain",
     "al_cases_delta_50",
     "al_cases_min2",
+    "al_seeds_one_sided",
 ]
 
 
