@@ -20,6 +20,7 @@ BY_BLOCKS = [
     "al_cases_delta_50",
     "al_cases_min2",
     "al_seeds_one_sided",
+    "discipline_matrix",
 ]
 
 
