@@ -21,6 +21,7 @@ BY_BLOCKS = [
     "al_cases_min2",
     "al_seeds_one_sided",
     "discipline_matrix",
+    "discipline_table",
 ]
 
 
