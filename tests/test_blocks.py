@@ -22,6 +22,7 @@ BY_BLOCKS = [
     "al_seeds_one_sided",
     "discipline_matrix",
     "discipline_table",
+    "discipline_shift",
 ]
 
 
