@@ -23,6 +23,7 @@ BY_BLOCKS = [
     "discipline_matrix",
     "discipline_table",
     "discipline_shift",
+    "sr_candidates",
 ]
 
 
