@@ -24,6 +24,7 @@ BY_BLOCKS = [
     "discipline_table",
     "discipline_shift",
     "sr_candidates",
+    "sr_candidates_20_5",
 ]
 
 
