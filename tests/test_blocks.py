@@ -25,6 +25,7 @@ BY_BLOCKS = [
     "discipline_shift",
     "sr_candidates",
     "sr_candidates_20_5",
+    "sr_candidates_unkeyed",
 ]
 
 
