@@ -27,6 +27,7 @@ BY_BLOCKS = [
     "sr_candidates_20_5",
     "sr_candidates_unkeyed",
     "sr_candidates_dropwords",
+    "tail_share",
 ]
 
 
