@@ -28,6 +28,7 @@ BY_BLOCKS = [
     "sr_candidates_unkeyed",
     "sr_candidates_dropwords",
     "tail_share",
+    "year_gap",
 ]
 
 
