@@ -29,6 +29,7 @@ BY_BLOCKS = [
     "sr_candidates_dropwords",
     "tail_share",
     "year_gap",
+    "yield_summary",
 ]
 
 
