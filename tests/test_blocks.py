@@ -30,6 +30,7 @@ BY_BLOCKS = [
     "tail_share",
     "year_gap",
     "yield_summary",
+    "al_cases_candidates",
 ]
 
 
