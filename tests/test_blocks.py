@@ -31,6 +31,7 @@ BY_BLOCKS = [
     "year_gap",
     "yield_summary",
     "al_cases_candidates",
+    "al_cases_fixpoint",
 ]
 
 
