@@ -4,11 +4,13 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from textreuse import workloads  # noqa: F401  it registers its queries
 from textreuse.operators import alignment as al
 from textreuse.operators import blocks as bl
 from textreuse.operators import normalize as nz
+from textreuse.operators import retrieval as sr
 from textreuse.registry import QUERIES
 from textreuse.sources.catalog import documents
 
@@ -55,3 +57,17 @@ def test_packed_columns_come_back(spark):
         columns = {"wide": wide, "rising": np.sort(wide), "runs": np.sort(some.integers(0, 9, n)), "small": some.integers(0, 99, n).astype(np.int32), "data": np.array([b"x"] * n, object)}
         back = bl.unpack(bl.pack(columns))
         assert all(v.dtype == back[c].dtype and Counter(v.tolist()) == Counter(back[c].tolist()) and (v == back[c]).all() for c, v in columns.items())
+
+
+@pytest.mark.parametrize("n, m", [(50, 10), (3, 4)])
+def test_fingerprints_made_in_tasks_are_the_postings(spark, sf, n, m, monkeypatch):
+    """A bucket is a bucket of SQL's sketches, keyed by slot or not; no digest is taken by row."""
+    docs = documents(spark, sf).unionAll(spark.createDataFrame([(10_000, None), (10_001, ""), (10_002, "é ß É"), (None, "a b")], "doc_id long, text string"))
+    posts = sr.occurrences(sr.sketched(docs, n, m, "md5")).where("doc_id is not null").select("doc_id", F.conv(F.substring("hash", 1, 16), 16, -10).cast("bigint").alias("g"))
+    want = set(map(tuple, posts.collect()))
+    got = [tuple(r) for r in bl.fingerprints(nz.worded(docs), n, m).select("doc_id", "g").collect()]
+    assert set(got) == want and len(got) < 1.2 * len(want) and want
+    hashes = sr.occurrences(sr.sketched(docs, n, m, "md5")).groupBy("hash").agg(F.count_distinct("slot").alias("k"))
+    assert hashes.where("k > 1").count() == 0  # so slots need not be told apart by a key
+    monkeypatch.setattr(sr, "hashed", lambda *_, **__: pytest.fail("a digest is taken for each word of each passage"))
+    assert QUERIES["sr_candidates_unkeyed"](spark, sf).count()
