@@ -48,6 +48,17 @@ def test_runs_components_and_seeds_by_blocks(spark, texts, blocks, cells, monkey
     assert bl.runs(texts.limit(0), bl.cleaned(texts.limit(0))).count() == bl.seeds_one_sided(texts.limit(0), bl.cleaned(texts.limit(0))).count() == 0
 
 
+@pytest.mark.parametrize("name, plain", [("al_cases", None)])
+def test_queries_of_runs_shuffle_no_row_of_a_pair(spark, sf, name, plain, monkeypatch):
+    runs = al.runs_of_grams(al.grams(nz.worded(documents(spark, sf)), context=True))
+    want = rows_of(al.components(runs, near=plain) if plain else runs if name == "al_runs" else al.merge(runs), workloads.CASES)
+    for made in ("runs_of_grams", "seeds_by_index", "shared_grams"):
+        monkeypatch.setattr(al, made, lambda *_, **__: pytest.fail("rows of pairs are shuffled"))
+    df = QUERIES[name](spark, sf)
+    assert "Exchange" not in df._jdf.queryExecution().executedPlan().toString()
+    assert rows_of(df, workloads.CASES) == want and want
+
+
 def test_seeds_within_runs_are_not_made():
     """A line of two contexts in many documents: what is enumerated are ends of runs, not pairs of equal grams."""
     docs, n = 200, 8
@@ -56,8 +67,8 @@ def test_seeds_within_runs_are_not_made():
     words = np.stack([np.concatenate([own[d, :1], h, own[d, 1:]]) if d < 3 else np.concatenate([h[:1], h, h[:1]]) for d in range(docs)])
     at = np.tile(np.arange(words.shape[1]), docs)
     a = bl._grams(np.arange(docs), np.full(docs, words.shape[1]), words.reshape(-1), 2 * at, 2 * at + 1, n, None, False)
-    doc = {"doc": a["doc_id"]}
-    ends = bl._Ends(a | doc, a | doc, "before", 1, "begin").size.sum()
+    more = {"doc": a["doc_id"], "gram": np.unique(a["g"], return_inverse=True)[1], "met": np.ones(len(a["g"]), bool)}
+    ends = bl._Ends(a | more, a | more, "before", 1, "begin").size.sum()
     grams = np.unique(a["g"], return_counts=True)[1]
     assert ends < 0.4 * (grams**2).sum()
     runs = [r for r in bl._runs(a, a, True)]
