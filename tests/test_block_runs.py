@@ -48,7 +48,7 @@ def test_runs_components_and_seeds_by_blocks(spark, texts, blocks, cells, monkey
     assert bl.runs(texts.limit(0), bl.cleaned(texts.limit(0))).count() == bl.seeds_one_sided(texts.limit(0), bl.cleaned(texts.limit(0))).count() == 0
 
 
-@pytest.mark.parametrize("name, plain", [("al_runs", None), ("al_cases", None), ("al_cases_components", "both")])
+@pytest.mark.parametrize("name, plain", [("al_runs", None), ("al_cases", None), ("al_cases_components", "both"), ("al_cases_near_either", "either")])
 def test_queries_of_runs_shuffle_no_row_of_a_pair(spark, sf, name, plain, monkeypatch):
     runs = al.runs_of_grams(al.grams(nz.worded(documents(spark, sf)), context=True))
     want = rows_of(al.components(runs, near=plain) if plain else runs if name == "al_runs" else al.merge(runs), workloads.CASES)
