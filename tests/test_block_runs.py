@@ -87,3 +87,9 @@ def test_words_are_told_apart_wherever_they_stand():
             assert seen.setdefault(w, h) == h
     assert len(set(seen.values())) == len(seen) == len(words)
 
+
+def test_sketches_without_frequent_words_need_no_postings(spark, sf, monkeypatch):
+    rows = sr.without_frequent(nz.worded(documents(spark, sf)), 0.3)
+    want = rows_of(sr.candidates_by_join(sr.postings(sr.minhash(sr.chop(rows, 50), 10, "md5"))))
+    monkeypatch.setattr(sr, "postings", lambda *_, **__: pytest.fail("postings are shuffled to be made distinct"))
+    assert rows_of(QUERIES["sr_candidates_dropwords"](spark, sf), ["a_doc", "b_doc"]) == want and want
