@@ -93,3 +93,11 @@ def test_sketches_without_frequent_words_need_no_postings(spark, sf, monkeypatch
     want = rows_of(sr.candidates_by_join(sr.postings(sr.minhash(sr.chop(rows, 50), 10, "md5"))))
     monkeypatch.setattr(sr, "postings", lambda *_, **__: pytest.fail("postings are shuffled to be made distinct"))
     assert rows_of(QUERIES["sr_candidates_dropwords"](spark, sf), ["a_doc", "b_doc"]) == want and want
+
+
+@pytest.mark.parametrize("name, more", [("discipline_table", 0), ("discipline_shift", 0), ("discipline_matrix", 0), ("year_gap", 0), ("yield_summary", 0), ("tail_share", 4)])
+def test_only_what_is_counted_leaves_a_task_of_cases(spark, sf, name, more, monkeypatch):
+    made, by_blocks = [], bl.by_blocks
+    monkeypatch.setattr(bl, "by_blocks", lambda *args, **how: made.append(by_blocks(*args, **how)) or made[-1])
+    assert QUERIES[name](spark, sf).count()
+    assert [df.columns for df in made] == [[*al.PAIR, *al.SPAN[:more]]]
